@@ -27,3 +27,17 @@ def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .token_counts import token_counts
 
     return token_counts(table(spark, sf_dir, "documents"))
+
+
+@_query
+def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .substring_dedup import digest, repeated_words
+
+    return digest(repeated_words(table(spark, sf_dir, "documents")))
+
+
+@_query
+def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .suffix_dedup import digest, repeated_bytes
+
+    return digest(repeated_bytes(table(spark, sf_dir, "documents")))
