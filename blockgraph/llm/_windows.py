@@ -15,6 +15,7 @@ Rows are told apart by doc_id and a hash of the text. Rows with a null doc_id ta
 from __future__ import annotations
 
 import re
+from collections import Counter
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
@@ -31,7 +32,7 @@ SEGMENT = 1 << 20
 _SPACES = bytes.maketrans(bytes(range(9, 14)), b" " * 5)
 
 
-@dataclass
+@dataclass(slots=True)
 class Entry:
     """One distinct packed string of a bucket: its minimiser, earliest place, number of places, anchor and windows.
 
@@ -66,19 +67,18 @@ class Windows:
         starts = np.arange(len(text))
         return text, starts, starts + 1, _byte_grams(np.frombuffer(text, np.uint8), self.seed)
 
-    def strings(self, text: bytes) -> Iterator[tuple[int, bytes, int, int, int]]:
-        """Minimiser value, packed string, first window, anchor and number of windows of each run of one text."""
+    def strings(self, text: bytes) -> Iterator[tuple[np.ndarray, list[bytes], np.ndarray, np.ndarray, np.ndarray]]:
+        """Minimiser values, packed strings, first windows, anchors and numbers of windows of the runs of one text."""
         if len(text) < self.length * (2 if self.words else 1) - 1:
             return
         step = SEGMENT
-        if not self.words and len(text) > step + self.length:  # long texts by segments of windows
-            for at in range(0, len(text) - self.length + 1, step):
-                for value, s, first, anchor, n in self._strings(text[at : at + step + self.length - 1]):
-                    yield value, s, first + at, anchor, n
+        if self.words or len(text) <= step + self.length:
+            yield from self._strings(text, 0)
             return
-        yield from self._strings(text)
+        for at in range(0, len(text) - self.length + 1, step):  # long texts by segments of windows
+            yield from self._strings(text[at : at + step + self.length - 1], at)
 
-    def _strings(self, text: bytes) -> Iterator[tuple[int, bytes, int, int, int]]:
+    def _strings(self, text: bytes, shift: int) -> Iterator[tuple[np.ndarray, list[bytes], np.ndarray, np.ndarray, np.ndarray]]:
         text, starts, ends, grams = self.units(text)
         if len(starts) < self.length:
             return
@@ -91,15 +91,14 @@ class Windows:
             first, last = np.array(pieces).T
         values = least[first]
         seen = np.zeros(1 << 16, bool)
-        seen[(values & np.uint64(0xFFFF)).astype(np.int64)] = True
-        at = np.flatnonzero(seen[(grams & np.uint64(0xFFFF)).astype(np.int64)])
+        seen[values & np.uint64(0xFFFF)] = True
+        at = np.flatnonzero(seen[grams & np.uint64(0xFFFF)])
         if len(at) == len(values) and np.array_equal(grams[at], values):
-            anchors = (starts[at] - starts[first]).tolist()
+            anchors = starts[at] - starts[first]
         else:
-            anchors = self._anchors(grams, at, values, first, last, reach, starts)
+            anchors = np.array(self._anchors(grams, at, values, first, last, reach, starts))
         low, high = starts[first].tolist(), ends[last + self.length - 2].tolist()
-        for value, a, b, f, anchor, n in zip(values.tolist(), low, high, first.tolist(), anchors, (last - first).tolist(), strict=True):
-            yield value, text[a:b], f, anchor, n
+        yield values, [text[a:b] for a, b in zip(low, high, strict=True)], first + shift, anchors, last - first
 
     def _anchors(self, grams, at, values, first, last, reach, starts) -> list[int]:
         places: dict[int, list[int]] = {}
@@ -128,150 +127,231 @@ def _byte_grams(data: np.ndarray, seed: int) -> np.ndarray:
     return out
 
 
-def _blob(entries: list[list]) -> bytes:
-    value, text, place, count, anchor, windows = zip(*entries, strict=True)
-    doc, key, first = zip(*place, strict=True)
-    return b"".join(
-        [
-            len(entries).to_bytes(8, "little"),
-            np.array(value, np.uint64).tobytes(),
-            np.array(doc, np.int64).tobytes(),
-            np.array(key, np.int64).tobytes(),
-            np.array(first, np.int64).tobytes(),
-            np.array(anchor, np.int32).tobytes(),
-            np.array(count, np.int32).tobytes(),
-            np.array(windows, np.int32).tobytes(),
-            np.array([len(t) for t in text], np.int32).tobytes(),
-            *text,
-        ]
-    )
-
-
-def _entries(blob: bytes) -> Iterator[Entry]:
-    n, at = int.from_bytes(blob[:8], "little"), 8
-    columns = []
-    for kind in (np.uint64, np.int64, np.int64, np.int64, np.int32, np.int32, np.int32, np.int32):
-        columns.append(np.frombuffer(blob, kind, n, at).tolist())
+COLUMNS = (("value", np.uint64), ("doc", np.int64), ("key", np.int64), ("first", np.int64), ("anchor", np.int32), ("count", np.int32), ("n", np.int32), ("size", np.int32))
+
+
+def _joined(arrays: list[np.ndarray], parts: list[bytes]) -> bytes:
+    return b"".join([len(arrays[0]).to_bytes(8, "little"), *(a.tobytes() for a in arrays), *parts])
+
+
+def _split(blob: bytes, kinds: list) -> tuple[list[np.ndarray], int]:
+    n, at, arrays = int.from_bytes(blob[:8], "little"), 8, []
+    for kind in kinds:
+        arrays.append(np.frombuffer(blob, kind, n, at))
         at += n * np.dtype(kind).itemsize
-    for value, doc, key, first, anchor, count, windows, size in zip(*columns, strict=True):
-        yield Entry(blob[at : at + size], value, (doc, key, first), count, anchor, windows)
-        at += size
+    return arrays, at
+
+
+def _dealt(names: list[str], parts: np.ndarray, blob_of: Callable[[np.ndarray], bytes], level: int) -> pa.RecordBatch:
+    """One row (part, size, blob) for each part that occurs; blob_of gets the row numbers of a part in order."""
+    order = np.argsort(parts, kind="stable")
+    cut = np.flatnonzero(np.diff(parts[order], prepend=-1))
+    blobs = [blob_of(rows) for rows in np.split(order, cut[1:])] if len(order) else []
+    codec = pa.Codec("zstd", level)
+    return pa.RecordBatch.from_arrays([pa.array(parts[order[cut]], pa.int32()), pa.array([len(b) for b in blobs], pa.int64()), pa.array([codec.compress(b, asbytes=True) for b in blobs], pa.binary())], names)
+
+
+def _opened(blobs: pa.Table) -> Iterator[bytes]:
+    codec = pa.Codec("zstd")
+    for size, blob in zip(blobs.column("size").to_pylist(), blobs.column("blob"), strict=True):
+        yield codec.decompress(blob.as_buffer(), size, asbytes=True)
 
 
 def _packs(batch: pa.RecordBatch) -> Iterator[list[tuple[int, int, bytes]]]:
-    """Texts of a batch in packs of bounded bytes."""
+    """Rows of a batch in packs of bounded bytes, each in order of doc_id and key."""
     pack, held = [], 0
     for doc, key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), texts_of(batch.column(2)), strict=True):
         pack.append((doc, key, text))
         held += len(text)
         if held >= PACK_BYTES:
-            yield pack
+            yield sorted(pack)
             pack, held = [], 0
     if pack:
-        yield pack
+        yield sorted(pack)
+
+
+def _part_of(doc: np.ndarray, key: np.ndarray, parts: int) -> np.ndarray:
+    return (mix(doc.astype(np.int64).view(np.uint64) ^ mix(key.astype(np.int64).view(np.uint64))) % np.uint64(parts)).astype(np.int32)
 
 
 def _send(windows: Windows, buckets: int) -> Callable:
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = pa.Codec("zstd", 1)
         for batch in batches:
             for pack in _packs(batch):
-                index: dict[bytes, int] = {}
-                entries: list[list] = []
-                for doc, key, text in pack:
-                    for value, s, first, anchor, n in windows.strings(text):
-                        k = index.setdefault(s, len(entries))
-                        place = (doc, key, first)
-                        if k == len(entries):
-                            entries.append([value, s, place, 1, anchor, n])
-                        else:
-                            known = entries[k]
-                            known[3] = min(known[3] + 1, 1 << 30)
-                            if place < known[2]:
-                                known[2] = place
-                by: dict[int, list] = {}
-                for entry in entries:
-                    by.setdefault((entry[0] >> 20) % buckets, []).append(entry)
-                blobs = [_blob(own) for own in by.values()]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(list(by), pa.int32()), pa.array([len(b) for b in blobs], pa.int64()), pa.array([codec.compress(b, asbytes=True) for b in blobs], pa.binary())],
-                    ["bucket", "size", "blob"],
-                )
+                found = [(k, *runs) for k, (_, _, text) in enumerate(pack) for runs in windows.strings(text)]
+                if not found:
+                    continue
+                row = np.repeat([f[0] for f in found], [len(f[1]) for f in found])
+                texts = [s for f in found for s in f[2]]
+                value, first, anchor, n = (np.concatenate([f[i] for f in found]) for i in (1, 3, 4, 5))
+                del found
+                earliest = dict(zip(reversed(texts), range(len(texts) - 1, -1, -1), strict=True))
+                keep = np.sort(np.fromiter(earliest.values(), np.int64, len(earliest)))
+                count = np.ones(len(texts), np.int64)
+                if len(keep) < len(texts):
+                    for s, times in Counter(texts).items():
+                        count[earliest[s]] = times
+                doc, key = np.array([p[0] for p in pack], np.int64), np.array([p[1] for p in pack], np.int64)
+                columns = {"value": value, "doc": doc[row], "key": key[row], "first": first, "anchor": anchor, "count": count, "n": n}
+
+                def blob_of(rows: np.ndarray) -> bytes:
+                    own = keep[rows]
+                    parts = [texts[k] for k in own.tolist()]
+                    columns["size"] = np.array([len(s) for s in parts])
+                    return _joined([(columns[c] if c == "size" else columns[c][own]).astype(kind) for c, kind in COLUMNS], parts)
+
+                bucket = ((value[keep] >> np.uint64(20)) % np.uint64(buckets)).astype(np.int32)
+                yield _dealt(["bucket", "size", "blob"], bucket, blob_of, 3)
 
     return send
 
 
 Judge = Callable[[list[list[Entry]]], list[list[np.ndarray]]]
-
-
-def _settle(judge: Judge, lone: Callable[[Entry], bool]) -> Callable:
-    """What a bucket does. judge: which windows of each entry stay, for groups of entries with one minimiser; lone:
-    whether all windows of the only entry of a minimiser stay, where its anchor shows that they differ."""
-
-    def settle(tables: pa.Table) -> pa.Table:
-        codec = pa.Codec("zstd")
+ANSWER = (np.int64, np.int64, np.int64, np.int32, np.int32)
+
+
+def _settle(judge: Judge, most: int, parts: int) -> Callable:
+    """What a bucket does. judge: which windows of each entry stay, for groups of entries with one minimiser; the only
+    entry of a minimiser stays whole, where its anchor shows that its windows differ, if it has at most `most` places."""
+
+    def settle(blobs: pa.Table) -> pa.Table:
+        columns: dict[str, list] = {c: [] for c, _ in COLUMNS}
+        held, where = [], []
+        for blob in _opened(blobs):
+            arrays, at = _split(blob, [kind for _, kind in COLUMNS])
+            for (c, _), a in zip(COLUMNS, arrays, strict=True):
+                columns[c].append(a)
+            where.append(at + np.cumsum(arrays[-1], dtype=np.int64) - arrays[-1])
+            held.append(blob)
+        whole = {c: np.concatenate(a) for c, a in columns.items()}
+        start, source = np.concatenate(where), np.repeat(np.arange(len(held)), [len(w) for w in where])
+        _, inverse, times = np.unique(whole["value"], return_inverse=True, return_counts=True)
+        lone = (times[inverse] == 1) & (whole["anchor"] >= 0)
         known: dict[bytes, Entry] = {}
-        for size, blob in zip(tables.column("size").to_pylist(), tables.column("blob"), strict=True):
-            for new in _entries(codec.decompress(blob.as_buffer(), size, asbytes=True)):
-                entry = known.setdefault(new.text, new)
-                if entry is not new:
-                    entry.count += new.count
-                    entry.place = min(entry.place, new.place)
+        rows = np.flatnonzero(~lone)
+        picked = [whole[c][rows].tolist() for c, _ in COLUMNS]
+        for value, doc, key, first, anchor, count, n, size, at, k in zip(*picked, start[rows].tolist(), source[rows].tolist(), strict=True):
+            new = Entry(held[k][at : at + size], value, (doc, key, first), count, anchor, n)
+            entry = known.setdefault(new.text, new)
+            if entry is not new:
+                entry.count += new.count
+                entry.place = min(entry.place, new.place)
+        del held
         groups: dict[int, list[Entry]] = {}
         for entry in known.values():
             groups.setdefault(entry.value, []).append(entry)
-        out: tuple[list, ...] = ([], [], [], [], [])
-
-        def say(entry: Entry, kept: bytes | None) -> None:
-            for column, x in zip(out, (*entry.place, entry.n, kept), strict=True):
-                column.append(x)
-
+        said: list[tuple[int, int, int, int, bytes]] = []
         contested = []
         for group in groups.values():
-            if len(group) == 1 and group[0].anchor >= 0:
-                if lone(group[0]):
-                    say(group[0], None)
-            else:
+            if len(group) > 1 or group[0].anchor < 0:
                 contested.append(group)
+            elif group[0].count <= most:
+                said.append((*group[0].place, group[0].n, b""))
         for group, answers in zip(contested, judge(contested), strict=True):
             for entry, stays in zip(group, answers, strict=True):
-                if stays.all():
-                    say(entry, None)
-                elif stays.any():
-                    say(entry, np.packbits(stays).tobytes())
-        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.binary())
-        return pa.table([pa.array(c, k) for c, k in zip(out, kinds, strict=True)], names=["doc_id", "key", "first", "n", "kept"])
+                if stays.any():
+                    said.append((*entry.place, entry.n, b"" if stays.all() else np.packbits(stays).tobytes()))
+        alone = np.flatnonzero(lone & (whole["count"] <= most))
+        more = list(zip(*said, strict=True)) or [()] * 5
+        doc, key, first, n = (np.concatenate((whole[c][alone], np.array(m, np.int64))) for c, m in zip(("doc", "key", "first", "n"), more, strict=False))
+        masks = more[4]
 
-    return settle
+        def blob_of(own: np.ndarray) -> bytes:
+            tail = [masks[k] for k in (own[own >= len(alone)] - len(alone)).tolist()]
+            sizes = np.zeros(len(own), np.int64)
+            sizes[own >= len(alone)] = [len(m) for m in tail]
+            return _joined([a.astype(kind) for a, kind in zip((doc[own], key[own], first[own], n[own], sizes), ANSWER, strict=True)], tail)
 
+        return pa.Table.from_batches([_dealt(["part", "size", "blob"], _part_of(doc, key, parts), blob_of, 3)])
 
-def windows_that_stay(docs: DataFrame, windows: Windows, judge: Judge, lone: Callable[[Entry], bool]) -> DataFrame:
-    """doc_id, key, text and said of each row of docs(doc_id, text): said lists (first, n, kept), the windows
-    first .. first + n - 1 of which those stay whose bit is set in kept, or all where kept is null."""
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_key(F.col("text")).alias("key"), F.coalesce("text", F.lit("")).alias("text")).where(F.col("doc_id").isNotNull())
-    sent = rows.mapInArrow(_send(windows, 4 * shuffle_partitions(docs.sparkSession)), "bucket int, size long, blob binary")
-    said = sent.groupBy("bucket").applyInArrow(_settle(judge, lone), "doc_id long, key long, first long, n int, kept binary")
-    lists = said.groupBy("doc_id", "key").agg(F.collect_list(F.struct("first", "n", "kept")).alias("said"))
-    return rows.join(lists, ["doc_id", "key"], "left")
+    return settle
 
 
-def removed_units(n_units: int, length: int, said: list[dict] | None) -> np.ndarray:
-    """Which units of a text some window covers that doesn't stay."""
-    n = n_units - length + 1
-    if n <= 0:
-        return np.zeros(n_units, bool)
-    goes = np.ones(n, bool)
-    for x in said or ():
-        first, many, kept = x["first"], x["n"], x["kept"]
-        goes[first : first + many] = False if kept is None else ~np.unpackbits(np.frombuffer(kept, np.uint8), count=many).astype(bool)
-    edge = np.zeros(n_units + 1, np.int32)
-    at = np.flatnonzero(goes)
-    np.add.at(edge, at, 1)
-    np.add.at(edge, at + length, -1)
+def _pack_texts(parts: int) -> Callable:
+    def pack_texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for pack in _packs(batch):
+                doc, key = np.array([p[0] for p in pack], np.int64), np.array([p[1] for p in pack], np.int64)
+                sizes = np.array([len(p[2]) for p in pack], np.int64)
+
+                def blob_of(own: np.ndarray) -> bytes:
+                    return _joined([doc[own], key[own], sizes[own]], [pack[k][2] for k in own.tolist()])
+
+                yield _dealt(["part", "size", "blob"], _part_of(doc, key, parts), blob_of, 3)
+
+    return pack_texts
+
+
+def _apply(strike: Callable[[bytes, Callable[[int], np.ndarray]], tuple], schema: pa.Schema, length: int) -> Callable:
+    def apply(texts: pa.Table, answers: pa.Table) -> pa.Table:
+        columns: list[list[np.ndarray]] = [[], [], [], [], []]
+        masks: list[bytes] = []
+        for blob in _opened(answers):
+            arrays, at = _split(blob, list(ANSWER))
+            for column, a in zip(columns, arrays, strict=True):
+                column.append(a)
+            masks += [blob[e - s : e] for e, s in zip((at + np.cumsum(arrays[4], dtype=np.int64)).tolist(), arrays[4].tolist(), strict=True)]
+        doc, key, first, n, size = (np.concatenate(c) if c else np.zeros(0, np.int64) for c in columns)
+        order = np.lexsort((key, doc))
+        doc, key, first, n, size = doc[order], key[order], first[order], n[order].astype(np.int64), size[order]
+        rows = []
+        for blob in _opened(texts):
+            (docs, keys, sizes), at = _split(blob, [np.int64, np.int64, np.int64])
+            low, high = np.searchsorted(doc, docs), np.searchsorted(doc, docs, "right")
+            for d, k, s, a, e in zip(docs.tolist(), keys.tolist(), sizes.tolist(), low.tolist(), high.tolist(), strict=True):
+                own = np.arange(a, e)
+                own = own[key[a:e] == k]
+
+                def removed(units: int, own: np.ndarray = own) -> np.ndarray:
+                    return removed_units(units, length, first[own], n[own], [masks[j] if size[o] else b"" for j, o in zip(order[own].tolist(), own.tolist(), strict=True)] if size[own].any() else None)
+
+                rows.append((d, *strike(blob[at : at + s], removed)))
+                at += s
+        return pa.table([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), schema, strict=True)] if rows else [pa.array([], f.type) for f in schema], schema=schema)
+
+    return apply
+
+
+def without_repeats(docs: DataFrame, windows: Windows, judge: Judge, most: int, strike: Callable, schema: pa.Schema, ddl: str) -> DataFrame:
+    """strike(text, removed) for each row of docs(doc_id, text), after doc_id; removed(number of units) flags the units
+    that some window covers which doesn't stay."""
+    spark = docs.sparkSession
+    buckets = 4 * shuffle_partitions(spark)
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_key(F.col("text")).alias("key"), F.coalesce("text", F.lit("")).alias("text")).where(F.col("doc_id").isNotNull())
+    sent = rows.mapInArrow(_send(windows, buckets), "bucket int, size long, blob binary")
+    said = sent.groupBy("bucket").applyInArrow(_settle(judge, most, buckets), "part int, size long, blob binary")
+    texts = rows.mapInArrow(_pack_texts(buckets), "part int, size long, blob binary")
+    return texts.groupBy("part").cogroup(said.groupBy("part")).applyInArrow(_apply(strike, schema, windows.length), ddl)
+
+
+def removed_units(units: int, length: int, first: np.ndarray, n: np.ndarray, masks: list[bytes] | None) -> np.ndarray:
+    """Which units of a text some window covers that doesn't stay; first, n: runs of windows that stay, whole where
+    masks has nothing for them."""
+    windows = units - length + 1
+    if windows <= 0:
+        return np.zeros(units, bool)
+    edge = np.zeros(windows + 1, np.int32)
+    edge[first] += 1
+    np.subtract.at(edge, first + n, 1)
+    goes = np.cumsum(edge[:-1]) == 0
+    for f, many, mask in zip(first.tolist(), n.tolist(), masks or (), strict=False):
+        if mask:
+            goes[f : f + many] = ~np.unpackbits(np.frombuffer(mask, np.uint8), count=many).astype(bool)
+    if not goes.any():
+        return np.zeros(units, bool)
+    edge = np.zeros(units + 1, np.int32)
+    edge[:windows] += goes
+    edge[length : length + windows] -= goes
     return np.cumsum(edge[:-1]) > 0
 
 
-def runs_of(flags: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def runs_of(flags: np.ndarray) -> tuple[list[int], list[int]]:
     """Start and end of each maximal run of set flags."""
+    if not flags.any():
+        return [], []
     edge = np.diff(np.concatenate(([0], flags.astype(np.int8), [0])))
-    return np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
+    return np.flatnonzero(edge == 1).tolist(), np.flatnonzero(edge == -1).tolist()
+
+
+SPANS = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
+SPANS_DDL = "array<struct<start:long,end:long>>"

@@ -12,7 +12,7 @@ documents of their own, ordered by a hash of the text; rows with a null doc_id a
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable
 from itertools import groupby
 
 import numpy as np
@@ -20,10 +20,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._windows import Entry, Windows, removed_units, runs_of, windows_that_stay
+from ._windows import SPANS, SPANS_DDL, Entry, Windows, runs_of, without_repeats
 
-SEED_WORDS = 5
-SPAN = "array<struct<start:long,end:long>>"
+SEED_WORDS = 4
 
 
 def _judge(length: int):
@@ -45,31 +44,21 @@ def _judge(length: int):
     return judge
 
 
+def _strike(text: bytes, removed: Callable) -> tuple:
+    words = text.split()
+    starts, ends = runs_of(removed(len(words)))
+    at, parts = 0, []
+    for a, b in zip(starts, ends, strict=True):
+        parts += words[at:a]
+        at = b
+    return len(words), [{"start": a, "end": b} for a, b in zip(starts, ends, strict=True)], b" ".join(parts + words[at:] if at else words).decode()
+
+
 def repeated_words(docs: DataFrame, length: int = 20) -> DataFrame:
     """doc_id, n_words, removed (spans of word numbers, end exclusive) and kept_text (kept words joined by a space)."""
     windows = Windows(length, min(SEED_WORDS, length), words=True)
-
-    def strike(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            counts, spans, kept = [], [], []
-            for text, said in zip(batch.column(1).cast(pa.binary()).to_pylist(), batch.column(2).to_pylist(), strict=True):
-                words = text.split()
-                gone = removed_units(len(words), length, said)
-                starts, ends = runs_of(gone)
-                counts.append(len(words))
-                spans.append([{"start": a, "end": b} for a, b in zip(starts.tolist(), ends.tolist(), strict=True)])
-                at, parts = 0, []
-                for a, b in zip(starts.tolist(), ends.tolist(), strict=True):
-                    parts += words[at:a]
-                    at = b
-                kept.append(b" ".join(parts + words[at:] if at else words))
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(counts, pa.int64()), pa.array(spans, pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))), pa.array(kept, pa.binary()).cast(pa.string())],
-                ["doc_id", "n_words", "removed", "kept_text"],
-            )
-
-    found = windows_that_stay(docs, windows, _judge(length), lambda entry: True)
-    return found.select("doc_id", "text", "said").mapInArrow(strike, f"doc_id long, n_words long, removed {SPAN}, kept_text string")
+    schema = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("removed", SPANS), ("kept_text", pa.string())])
+    return without_repeats(docs, windows, _judge(length), 1 << 62, _strike, schema, f"doc_id long, n_words long, removed {SPANS_DDL}, kept_text string")
 
 
 def digest(found: DataFrame) -> DataFrame:

@@ -14,19 +14,18 @@ are ignored. Kept bytes are joined as they are, so they may not be valid UTF-8.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._windows import Entry, Windows, removed_units, runs_of, windows_that_stay
+from ._windows import SPANS, SPANS_DDL, Entry, Windows, runs_of, without_repeats
 
-SEED_BYTES = 24
+SEED_BYTES = 16
 SHALLOW = 48
 STEP = 8
-SPAN = "array<struct<start:long,end:long>>"
 
 
 def common_prefix(a: bytes, b: bytes) -> int:
@@ -169,27 +168,18 @@ def _judge(length: int, seed: int):
     return judge
 
 
+def _strike(text: bytes, removed: Callable) -> tuple:
+    starts, ends = runs_of(removed(len(text)))
+    kept = b"".join(text[a:b] for a, b in zip([0, *ends], [*starts, len(text)], strict=True)) if starts else text
+    return len(text), [{"start": a, "end": b} for a, b in zip(starts, ends, strict=True)], kept
+
+
 def repeated_bytes(docs: DataFrame, length: int = 200) -> DataFrame:
     """doc_id, n_bytes, removed (maximal spans of bytes, end exclusive) and kept (the other bytes)."""
     seed = max(8, min(SEED_BYTES, length // 8 * 8))
     windows = Windows(length, seed, words=False)
-
-    def strike(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            counts, spans, kept = [], [], []
-            for text, said in zip(batch.column(1).cast(pa.binary()).to_pylist(), batch.column(2).to_pylist(), strict=True):
-                starts, ends = runs_of(removed_units(len(text), length, said))
-                starts, ends = starts.tolist(), ends.tolist()
-                counts.append(len(text))
-                spans.append([{"start": a, "end": b} for a, b in zip(starts, ends, strict=True)])
-                kept.append(b"".join(text[a:b] for a, b in zip([0, *ends], [*starts, len(text)], strict=True)))
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(counts, pa.int64()), pa.array(spans, pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))), pa.array(kept, pa.binary())],
-                ["doc_id", "n_bytes", "removed", "kept"],
-            )
-
-    found = windows_that_stay(docs, windows, _judge(length, seed), lambda entry: entry.count < 2)
-    return found.select("doc_id", "text", "said").mapInArrow(strike, f"doc_id long, n_bytes long, removed {SPAN}, kept binary")
+    schema = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("removed", SPANS), ("kept", pa.binary())])
+    return without_repeats(docs, windows, _judge(length, seed), 1, _strike, schema, f"doc_id long, n_bytes long, removed {SPANS_DDL}, kept binary")
 
 
 def digest(found: DataFrame) -> DataFrame:
