@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
+from . import line_dedup
 from ._common import table
 
 QUERIES: dict = {}
@@ -41,3 +42,18 @@ def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .suffix_dedup import digest, repeated_bytes
 
     return digest(repeated_bytes(table(spark, sf_dir, "documents")))
+
+
+@_query
+def op7_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .near_dedup import digest, near_duplicates
+
+    return digest(near_duplicates(spark, table(spark, sf_dir, "documents")))
+
+
+@_query
+def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_dedup.digest(line_dedup.dedup_lines(table(spark, sf_dir, "documents")))
+
+
+ORACLES["op10_line_dedup"] = line_dedup.ORACLE
