@@ -93,6 +93,8 @@ class Windows:
         seen = np.zeros(1 << 16, bool)
         seen[values & np.uint64(0xFFFF)] = True
         at = np.flatnonzero(seen[grams & np.uint64(0xFFFF)])
+        ordered, candidates = np.sort(values), grams[at]
+        at = at[ordered[np.minimum(np.searchsorted(ordered, candidates), len(ordered) - 1)] == candidates]
         if len(at) == len(values) and np.array_equal(grams[at], values):
             anchors = starts[at] - starts[first]
         else:
@@ -118,9 +120,9 @@ def _byte_grams(data: np.ndarray, seed: int) -> np.ndarray:
     n = len(data) - seed + 1
     if n <= 0:
         return np.zeros(0, np.uint64)
-    eight = np.zeros(len(data) - 7, np.uint64)
-    for j in range(8):
-        eight = (eight << np.uint64(8)) | data[j : j + len(eight)]
+    eight, raw = np.empty(len(data) - 7, np.uint64), data.tobytes()
+    for j in range(min(8, len(eight))):
+        eight[j::8] = np.frombuffer(raw, np.uint64, (len(raw) - j) // 8, j)
     out = mix(eight[:n])
     for j in range(8, seed, 8):
         out = mix(out * np.uint64(0x9E3779B97F4A7C15) + eight[j : j + n])
@@ -316,11 +318,12 @@ def without_repeats(docs: DataFrame, windows: Windows, judge: Judge, most: int,
     """strike(text, removed) for each row of docs(doc_id, text), after doc_id; removed(number of units) flags the units
     that some window covers which doesn't stay."""
     spark = docs.sparkSession
-    buckets = 4 * shuffle_partitions(spark)
+    parts = shuffle_partitions(spark)
+    buckets = 2 * parts
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_key(F.col("text")).alias("key"), F.coalesce("text", F.lit("")).alias("text")).where(F.col("doc_id").isNotNull())
     sent = rows.mapInArrow(_send(windows, buckets), "bucket int, size long, blob binary")
-    said = sent.groupBy("bucket").applyInArrow(_settle(judge, most, buckets), "part int, size long, blob binary")
-    texts = rows.mapInArrow(_pack_texts(buckets), "part int, size long, blob binary")
+    said = sent.groupBy("bucket").applyInArrow(_settle(judge, most, parts), "part int, size long, blob binary")
+    texts = rows.mapInArrow(_pack_texts(parts), "part int, size long, blob binary")
     return texts.groupBy("part").cogroup(said.groupBy("part")).applyInArrow(_apply(strike, schema, windows.length), ddl)
 
 

@@ -135,11 +135,17 @@ def _anchored(group: list[Entry], order: list[int], length: int, seed: int) -> l
     right = _classes(order, rights, length - offsets)
     left = _classes(deep_shallow(lefts), lefts, offsets)
     both = left * len(group) + right
-    for o in range(len(offsets)):
-        _, where, times = np.unique(both[o], return_inverse=True, return_counts=True)
-        for k in np.flatnonzero(times[where] > 1).tolist():
-            if 0 <= (w := group[k].anchor - o) < group[k].n:
-                lone[k][w] = False
+    ranked = np.argsort(both, axis=1, kind="stable")
+    both = np.take_along_axis(both, ranked, axis=1)
+    same = both[:, 1:] == both[:, :-1]
+    twice = np.zeros(both.shape, bool)
+    twice[:, 1:] |= same
+    twice[:, :-1] |= same
+    shared = np.zeros(both.shape, bool)
+    np.put_along_axis(shared, ranked, twice, axis=1)
+    for k, e in enumerate(group):
+        at = e.anchor - np.flatnonzero(shared[:, k])
+        lone[k][at[(at >= 0) & (at < e.n)]] = False
     return lone
 
 
