@@ -57,18 +57,25 @@ def symbols(text: bytes) -> np.ndarray:
     return word_hashes(data, *word_bounds(data, BREAKS))
 
 
-def embed(windows: np.ndarray, sizes: np.ndarray, walk: int, steps: np.ndarray) -> np.ndarray:
-    """What the CGK walk number `walk` over each row of windows (its first `size` symbols) writes at the given steps."""
-    rows, at = np.arange(len(windows)), np.zeros(len(windows), np.int64)
-    out = np.zeros((len(windows), len(steps)), np.uint64)
-    wanted = {int(s): k for k, s in enumerate(steps)}
-    for step in range(int(steps.max()) + 1):
-        over = at >= sizes
-        current = np.where(over, np.uint64(0), windows[rows, np.minimum(at, windows.shape[1] - 1)])
-        if step in wanted:
-            out[:, wanted[step]] = current
-        bit = mix(current + np.uint64((walk << 20) + step)) >> np.uint64(63)
-        at += bit.astype(np.int64)
+def sampled_steps(item_sizes: np.ndarray) -> np.ndarray:
+    """windows x REPEATS x SAMPLES: the steps each walk is looked at, drawn by the size of the item."""
+    key = np.arange(SAMPLES, dtype=np.uint64)[None, None, :] + (np.arange(REPEATS, dtype=np.uint64) << np.uint64(32))[None, :, None]
+    draw = mix(key + (item_sizes.astype(np.uint64) << np.uint64(8))[:, None, None])
+    return (draw % (2 * item_sizes).astype(np.uint64)[:, None, None]).astype(np.int64)
+
+
+def embed(windows: np.ndarray, sizes: np.ndarray, steps: np.ndarray) -> np.ndarray:
+    """What REPEATS CGK walks over each row of windows (its first `size` symbols) write at the given steps."""
+    rows, at = np.arange(len(windows))[:, None], np.zeros(steps.shape[:2], np.int64)
+    walk = np.arange(REPEATS, dtype=np.uint64)[None, :] << np.uint64(20)
+    out = np.zeros(steps.shape, np.uint64)
+    padded = np.concatenate((windows, np.zeros((len(windows), 1), np.uint64)), axis=1)
+    padded[np.arange(windows.shape[1] + 1)[None, :] >= sizes[:, None]] = 0
+    for step in range(int(steps.max(initial=0)) + 1):
+        current = padded[rows, at]
+        np.copyto(out, current[:, :, None], where=steps == step)
+        at += (mix(current + (walk + np.uint64(step))) >> np.uint64(63)).astype(np.int64)
+        np.minimum(at, windows.shape[1], out=at)
     return out
 
 
@@ -97,16 +104,13 @@ class Items:
             out[k, : len(r)] = r
         return out
 
-    def _keys(self, windows: np.ndarray, sizes: np.ndarray, item_sizes: np.ndarray) -> np.ndarray:
-        """A key for each window and walk: steps are drawn by the item's size, so that equal sizes share them."""
-        out = np.zeros((len(windows), REPEATS), np.uint64)
-        for size in np.unique(item_sizes).tolist():
-            own = np.flatnonzero(item_sizes == size)
-            for walk in range(REPEATS):
-                draw = mix(np.arange(SAMPLES, dtype=np.uint64) + np.uint64((walk << 32) + (size << 8)))
-                steps = np.unique((draw % np.uint64(2 * size)).astype(np.int64))
-                for column in embed(windows[own], sizes[own], walk, steps).T:
-                    out[own, walk] = mix(out[own, walk] * np.uint64(0x9E3779B97F4A7C15) + column)
+    @staticmethod
+    def _keys(windows: np.ndarray, sizes: np.ndarray, item_sizes: np.ndarray) -> np.ndarray:
+        """A key for each window and walk; items of equal size share the steps."""
+        written = embed(windows, sizes, sampled_steps(item_sizes))
+        out = np.zeros(written.shape[:2], np.uint64)
+        for k in range(SAMPLES):
+            out = mix(out * np.uint64(0x9E3779B97F4A7C15) + written[:, :, k])
         return out
 
     def search(self, text: np.ndarray) -> list[tuple[int, int, int, int]]:
@@ -128,13 +132,17 @@ class Items:
         for at in range(0, len(pairs), 2048):
             item, start = pairs[at : at + 2048].T
             sizes = np.minimum(self.sizes[item], len(text) - start)
-            windows = self._matrix([text[s : s + n] for s, n in zip(start.tolist(), sizes.tolist(), strict=True)])
-            near = (self._keys(windows, sizes, self.sizes[item]) == self.keys[item]).any(axis=1)
-            for i, s in zip(item[near].tolist(), start[near].tolist(), strict=True):
+            equal = [np.array_equal(text[s : s + n], self.words[i]) for i, s, n in zip(item.tolist(), start.tolist(), sizes.tolist(), strict=True)]
+            near = np.array(equal)  # equal windows have equal embeddings, whatever the walk
+            other = np.flatnonzero(~near)
+            if len(other):
+                windows = self._matrix([text[s : s + n] for s, n in zip(start[other].tolist(), sizes[other].tolist(), strict=True)])
+                near[other] = (self._keys(windows, sizes[other], self.sizes[item[other]]) == self.keys[item[other]]).any(axis=1)
+            for i, s, same in zip(item[near].tolist(), start[near].tolist(), np.array(equal)[near].tolist(), strict=True):
                 edits = int(self.edits[i])
                 low = max(0, s - edits)
                 passage = text[low : s + len(self.words[i]) + edits]
-                distance, a, e = closest_passage(self.words[i], passage, edits)
+                distance, a, e = (0, s - low, s - low + len(self.words[i])) if same else closest_passage(self.words[i], passage, edits)
                 if distance <= edits and (i not in best or (distance, low + a) < best[i][:2]):
                     best[i] = distance, low + a, e - a
         return [(self.ids[i], start, n, distance) for i, (distance, start, n) in sorted(best.items())]
