@@ -19,11 +19,14 @@ from __future__ import annotations
 
 import math
 from bisect import bisect_left, insort
+from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ._common import texts_of
+
 CAPACITY = 2048
 SHARD = 8192
 SCHEMA = "doc_id long, piece int, length long, bin long, start long"
@@ -87,11 +90,14 @@ def _bits(values: list) -> list[int]:
     return [numbers.get(v, 0) for v in values]
 
 
-def pack_items(items: list[tuple[int, int, object, object]], capacity: int) -> list[tuple[int, int, int, int, int]]:
+def pack_items(items: list[tuple[int, int, object, object]], capacity: int) -> list[tuple[int, int, int, int | None, int | None]]:
     """(item, piece, length, bin, start) for items (doc_id, length, source, cluster) in any order."""
     source, cluster = _bits([i[2] for i in items]), _bits([i[3] for i in items])
     bins, out, todo = Bins(capacity), [], []
     for k, (doc, length, *_) in enumerate(items):
+        if not length or length < 0:
+            out.append((k, 0, 0, None, None))
+            continue
         full, left = divmod(length, capacity)
         pieces = [capacity] * full + [left] * (left > 0)
         todo += [(-size, doc is None, doc or 0, piece, k) for piece, size in enumerate(pieces)]
@@ -105,27 +111,33 @@ def _pack_shard(capacity: int):
     def pack(shard: pa.Table) -> pa.Table:
         items = sorted(zip(*(shard.column(c).to_pylist() for c in ("doc_id", "length", "source", "cluster", "shard")), strict=True), key=lambda r: tuple((x is None, x) for x in r if x is None or not isinstance(x, str)) + tuple(str(x) for x in r))
         first = items[0][4] << 32 if items else 0
-        rows = [(items[k][0], piece, size, first + number, start) for k, piece, size, number, start in pack_items([i[:4] for i in items], capacity)]
+        rows = [(items[k][0], piece, size, None if number is None else first + number, start) for k, piece, size, number, start in pack_items([i[:4] for i in items], capacity)]
         columns = list(zip(*rows, strict=True)) or [()] * 5
         return pa.table([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()), strict=True)], names=["doc_id", "piece", "length", "bin", "start"])
 
     return pack
 
 
-def pack(items: DataFrame, capacity: int = CAPACITY, shard: int = SHARD) -> DataFrame:
-    """doc_id, piece, length, bin and start for items(doc_id, length, source, cluster)."""
+def pack(items: DataFrame, many: int, capacity: int = CAPACITY, shard: int = SHARD) -> DataFrame:
+    """doc_id, piece, length, bin and start for items(doc_id, length, source, cluster), about `many` of them."""
     rows = items.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("length").cast("long").alias("length"), F.col("source").cast("string").alias("source"), F.col("cluster").cast("long").alias("cluster"))
-    shards = max(1, math.ceil(items.count() / shard))
-    placed = rows.where(F.col("length") > 0).withColumn("shard", F.pmod(F.xxhash64("doc_id", "cluster", "length"), F.lit(shards)))
-    packed = placed.groupBy("shard").applyInArrow(_pack_shard(capacity), SCHEMA)
-    outside = rows.where(F.coalesce(F.col("length") <= 0, F.lit(True))).select("doc_id", F.lit(0).alias("piece"), F.lit(0).cast("long").alias("length"), F.lit(None).cast("long").alias("bin"), F.lit(None).cast("long").alias("start"))
-    return packed.unionAll(outside)
+    shards = max(1, math.ceil(many / shard))
+    placed = rows.withColumn("shard", F.pmod(F.xxhash64("doc_id", "cluster", "length"), F.lit(shards)))
+    return placed.groupBy("shard").applyInArrow(_pack_shard(capacity), SCHEMA)
+
+
+def _measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        words = pa.array([len(t.split()) for t in texts_of(batch.column(1))], pa.int64())
+        yield pa.RecordBatch.from_arrays([batch.column(0), words, batch.column(2), batch.column(3)], ["doc_id", "length", "source", "cluster"])
 
 
-def word_count(text: Column) -> Column:
-    return F.coalesce(F.regexp_count(text, F.lit(r"[^\x20\x09-\x0D]+")), F.lit(0)).cast("long")
+def measured(docs: DataFrame) -> DataFrame:
+    """doc_id, length (words), source and cluster (a hash of the text) of docs(doc_id, text, source)."""
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.col("source").cast("string").alias("source"), F.xxhash64("text").alias("cluster"))
+    return rows.mapInArrow(_measure, "doc_id long, length long, source string, cluster long")
 
 
 def pack_documents(docs: DataFrame, capacity: int = CAPACITY, shard: int = SHARD) -> DataFrame:
     """Pack docs(doc_id, text, source) by number of words; equal texts form a duplicate cluster."""
-    return pack(docs.select("doc_id", word_count(F.col("text")).alias("length"), "source", F.xxhash64("text").alias("cluster")), capacity, shard)
+    return pack(measured(docs), docs.count(), capacity, shard)
