@@ -25,6 +25,8 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ._common import materialise
+
 SAMPLE = 4096
 BLOCK = 1024
 QUERY_BLOCK = 4096
@@ -150,9 +152,10 @@ def top_k(spark: SparkSession, vectors: DataFrame, is_query: Column, k: int = 10
     def meet(which: Column, asked: DataFrame, first: int, last: int) -> DataFrame:
         dealt = banded.where(which).withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
         sent = asked.withColumn("band", F.explode(F.sequence(F.lit(first), F.lit(last))))
+        sent = sent.toDF(*sent.columns)  # columns of their own: both sides come from one table
         return dealt.groupBy("band", "block").cogroup(sent.groupBy("band", "block")).applyInArrow(_tile(k, dims, rotation, lead), "query_id long, vec_id long, score long")
 
-    found = meet(F.col("band") == 0, queries, 0, 0)
+    found = materialise(meet(F.col("band") == 0, queries, 0, 0), "longest")
     if bands > 1:
         floors = found.groupBy("query_id").agg(F.min("score").alias("least"), F.count("*").alias("n")).where(F.col("n") == k).select(F.col("query_id").alias("vec_id"), F.col("least").cast("double").alias("least"))
         raised = queries.join(floors, "vec_id", "left").withColumn("floor", F.coalesce("least", "floor")).drop("least")
