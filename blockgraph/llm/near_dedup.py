@@ -175,7 +175,8 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, block: int = BLOCK) ->
     links = materialise(dealt.groupBy("cluster", "low", "high").applyInArrow(_confirm, "a long, b long"), "links")
     groups = components(links, "groups").select(F.col("node").alias("doc_id"), "root")
     named = classes.select("same", "doc_id").join(groups, "doc_id", "left").select("same", F.coalesce("root", "doc_id").alias("component_id"))
-    return profiles.select("doc_id", "key", "same", "n_shingles").join(named, "same").select("doc_id", "key", "n_shingles", "component_id")
+    alone = F.when(F.col("n_shingles") == 0, F.col("doc_id")).otherwise(F.col("component_id"))  # wordless texts are one class, but no group
+    return profiles.select("doc_id", "key", "same", "n_shingles").join(named, "same").select("doc_id", "key", "n_shingles", alone.alias("component_id"))
 
 
 def digest(found: DataFrame) -> DataFrame:
