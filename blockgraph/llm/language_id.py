@@ -23,6 +23,7 @@ from pyspark.sql import functions as F
 from ._common import mix
 
 ORDERS = (1, 2, 3)
+LAP = max(ORDERS) - 1
 BUCKETS = 1 << 15
 CHUNK_CHARS = 1 << 18
 MAX_LANGUAGES = 500
@@ -36,53 +37,48 @@ def _bucket_ids(codes: np.ndarray, order: int, buckets: int) -> np.ndarray:
     return (mix(key) & np.uint64(buckets - 1)).astype(np.int64)
 
 
-def _chunks(texts: list[str]) -> Iterator[tuple[list[int], np.ndarray, np.ndarray]]:
-    """Row numbers, lower-cased code points joined by a blank on both sides, and where each piece starts.
+class Chunk:
+    """Pieces of texts: row of each, code points of all, where each starts, and whether its text goes on after it.
 
-    A long text comes in several pieces; pieces overlap so that no n-gram is lost or counted twice.
+    A long text comes in several pieces, which overlap by the longest order less one; a piece leaves n-grams inside its
+    overlap to the next one, so none is lost or counted twice.
     """
-    rows, parts, held = [], [], 0
-    lap = max(ORDERS) - 1
+
+    def __init__(self, rows: list[int], parts: list[str], goes_on: list[bool]) -> None:
+        self.rows, self.goes_on = rows, goes_on
+        self.codes = np.frombuffer("".join(parts).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+        self.starts = np.cumsum([0, *map(len, parts)])
+
+    def grams(self, buckets: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """Bucket numbers and piece numbers of all n-grams, order by order."""
+        piece = np.repeat(np.arange(len(self.rows)), np.diff(self.starts))
+        for order in ORDERS:
+            if len(self.codes) < order:
+                continue
+            keep = np.ones(len(self.codes) - order + 1, bool)
+            for j in range(1, order):  # n-grams over the end of a piece
+                at = self.starts[1:-1] - j
+                keep[at[(at >= 0) & (at < len(keep))]] = False
+            for k in np.flatnonzero(self.goes_on):
+                keep[self.starts[k + 1] - LAP : max(self.starts[k + 1] - order + 1, 0)] = False
+            yield _bucket_ids(self.codes, order, buckets)[keep], piece[: len(keep)][keep]
+
+
+def _chunks(texts: list[str]) -> Iterator[Chunk]:
+    """Lower-cased texts, blanks around each, in chunks of bounded size."""
+    rows, parts, goes_on, held = [], [], [], 0
     for k, text in enumerate(texts):
         text = f" {text.lower()} "
-        for at in range(0, max(1, len(text) - lap), CHUNK_CHARS):
-            part = text[at : at + CHUNK_CHARS + lap]
+        for at in range(0, max(1, len(text) - LAP), CHUNK_CHARS):
+            parts.append(text[at : at + CHUNK_CHARS + LAP])
             rows.append(k)
-            parts.append(part)
-            held += len(part)
+            goes_on.append(at + CHUNK_CHARS < len(text) - LAP)
+            held += len(parts[-1])
             if held >= CHUNK_CHARS:
-                yield _joined(rows, parts)
-                rows, parts, held = [], [], 0
+                yield Chunk(rows, parts, goes_on)
+                rows, parts, goes_on, held = [], [], [], 0
     if rows:
-        yield _joined(rows, parts)
-
-
-def _joined(rows: list[int], parts: list[str]) -> tuple[list[int], np.ndarray, np.ndarray]:
-    codes = np.frombuffer("".join(parts).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
-    return rows, codes, np.cumsum([0, *map(len, parts)])
-
-
-def _inner(starts: np.ndarray, order: int, total: int) -> np.ndarray:
-    """Which n-gram positions do not run over the end of their piece."""
-    keep = np.ones(total - order + 1, bool)
-    for j in range(1, order):
-        at = starts[1:-1] - j
-        keep[at[(at >= 0) & (at < len(keep))]] = False
-    return keep
-
-
-def _grams(rows: list[int], codes: np.ndarray, starts: np.ndarray, buckets: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Bucket numbers and piece numbers of all n-grams, order by order."""
-    piece = np.repeat(np.arange(len(rows)), np.diff(starts))
-    lap = max(ORDERS) - 1
-    for order in ORDERS:
-        if len(codes) < order:
-            continue
-        keep = _inner(starts, order, len(codes))
-        for k in range(len(rows) - 1):  # a piece that the same text continues leaves its overlap to the next
-            if rows[k] == rows[k + 1]:
-                keep[starts[k + 1] - lap : max(starts[k + 1] - order + 1, 0)] = False
-        yield _bucket_ids(codes, order, buckets)[keep], piece[: len(keep)][keep]
+        yield Chunk(rows, parts, goes_on)
 
 
 def has_letter(text: Column) -> Column:
@@ -108,9 +104,9 @@ def train(docs: DataFrame, buckets: int = BUCKETS, max_docs_per_lang: int = 4000
         total = np.zeros((len(langs), buckets), np.int64)
         for batch in batches:
             texts, lang = batch.column(0).to_pylist(), [number[x] for x in batch.column(1).to_pylist()]
-            for rows, codes, starts in _chunks(texts):
-                cell = np.array([lang[r] for r in rows], np.int64) * buckets
-                for ids, piece in _grams(rows, codes, starts, buckets):
+            for chunk in _chunks(texts):
+                cell = np.array([lang[r] for r in chunk.rows], np.int64) * buckets
+                for ids, piece in chunk.grams(buckets):
                     total += np.bincount(cell[piece] + ids, minlength=total.size).reshape(total.shape)
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(total.ravel()[at], pa.int64())], ["cell", "n"])
@@ -126,13 +122,13 @@ def train(docs: DataFrame, buckets: int = BUCKETS, max_docs_per_lang: int = 4000
 def _log_odds(texts: list[str], table: np.ndarray, buckets: int) -> np.ndarray:
     """Texts x languages: summed log probabilities of each text's n-grams."""
     sums = np.zeros((len(texts), table.shape[1]))
-    for rows, codes, starts in _chunks(texts):
-        part = np.zeros((len(rows), table.shape[1]))
-        for ids, piece in _grams(rows, codes, starts, buckets):
+    for chunk in _chunks(texts):
+        part = np.zeros((len(chunk.rows), table.shape[1]))
+        for ids, piece in chunk.grams(buckets):
             first = np.flatnonzero(np.diff(piece, prepend=-1))
             if len(first):
                 part[piece[first]] += np.add.reduceat(table[ids], first, axis=0, dtype=np.float64)
-        np.add.at(sums, rows, part)
+        np.add.at(sums, chunk.rows, part)
     return sums
 
 
