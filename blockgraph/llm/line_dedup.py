@@ -16,6 +16,8 @@ if two 64-bit hashes collide at once.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -24,66 +26,79 @@ from ._common import text_key
 MIN_RUN = 2
 
 
+def let(value: Column, then: Callable[[Column], Column]) -> Column:
+    """then(value) with value computed once a row. A column that a lambda refers to would be put into the lambda by the
+    optimiser and computed once an element."""
+    return F.get(F.transform(F.array(value), then), F.lit(0))
+
+
 def _numbers(size: Column) -> Column:
     return F.when(size > 0, F.sequence(F.lit(0), size - 1)).otherwise(F.array().cast("array<int>"))
 
 
-def _parts(min_run: int) -> list[tuple[str, Column]]:
-    """Lines, the numbers of those that aren't blank, their hashes and the number of windows, each from the ones before."""
-    return [
-        ("__lines", F.split(F.coalesce(F.col("__text"), F.lit("")), "\n", -1)),
-        ("__full", F.filter(_numbers(F.size("__lines")), lambda i: F.trim(F.get("__lines", i)) != "")),
-        ("__windows", F.greatest(F.lit(0), F.size("__full") - (min_run - 1))),
-    ]
+def _with_lines(text: Column, then: Callable[[Column, Column], Column]) -> Column:
+    """then(lines, numbers of the lines that aren't blank)."""
+    lines = F.split(F.coalesce(text, F.lit("")), "\n", -1)
+    full = lambda found: F.filter(_numbers(F.size(found)), lambda i: F.trim(F.get(found, i)) != "")
+    return let(lines, lambda found: let(full(found), lambda kept: then(found, kept)))
+
+
+def _windows(text: Column, min_run: int) -> Column:
+    """Number, fingerprint and hash of each window of a text."""
+
+    def of(hashes: Column) -> Column:
+        at = _numbers(F.size(hashes) - (min_run - 1))
+        return F.transform(at, lambda i: F.struct(i.alias("at"), F.array_min(F.slice(hashes, i + 1, min_run)).alias("mark"), F.xxhash64(F.slice(hashes, i + 1, min_run)).alias("around")))
 
+    return _with_lines(text, lambda lines, full: let(F.transform(full, lambda i: F.xxhash64(F.get(lines, i))), of))
 
-def _with_parts(df: DataFrame, min_run: int) -> DataFrame:
-    for name, value in _parts(min_run):
-        df = df.withColumn(name, value)
-    return df
 
+def _judged(text: Column, first: Column, min_run: int) -> Column:
+    """n_lines, removed and kept_text, given the windows that stay; first null: all stay."""
 
-def repeated_windows_first(docs: DataFrame, min_run: int) -> DataFrame:
+    def of(lines: Column, full: Column) -> Column:
+        windows = _numbers(F.size(full) - (min_run - 1))
+        again = F.array_except(windows, F.coalesce(first, windows))
+        covered = F.array_distinct(F.flatten(F.transform(again, lambda w: F.sequence(w, w + (min_run - 1)))))
+        return let(F.transform(covered, lambda k: F.get(full, k)), lambda removed: kept(lines, removed))
+
+    def kept(lines: Column, removed: Column) -> Column:
+        stays = F.array_except(_numbers(F.size(lines)), removed)
+        text = F.array_join(F.transform(stays, lambda i: F.get(lines, i)), "\n")
+        return F.struct(F.size(lines).cast("long").alias("n_lines"), F.sort_array(removed).alias("removed"), text.alias("kept_text"))
+
+    return _with_lines(text, of)
+
+
+def first_windows(docs: DataFrame, min_run: int) -> DataFrame:
     """__id, __key and the window numbers __first of each document that are the earliest of their kind."""
-    rows = docs.select(F.col("doc_id").cast("long").alias("__id"), text_key(F.col("text")).alias("__key"), F.col("text").alias("__text")).where(F.col("doc_id").isNotNull() & (F.length("text") > 0))
-    lines = _with_parts(rows, min_run).where(F.col("__windows") > 0).withColumn("__hash", F.transform("__full", lambda i: F.xxhash64(F.get("__lines", i))))
-    window = F.transform(
-        _numbers(F.col("__windows")),
-        lambda i: F.struct(i.alias("at"), F.array_min(F.slice("__hash", i + 1, min_run)).alias("mark"), F.xxhash64(F.slice("__hash", i + 1, min_run)).alias("around")),
-    )
-    placed = lines.select("__id", "__key", F.explode(window).alias("w")).select("__id", "__key", "w.*")
+    rows = docs.select(F.col("doc_id").cast("long").alias("__id"), text_key(F.col("text")).alias("__key"), "text").where(F.col("doc_id").isNotNull() & (F.length("text") > 0))
+    placed = rows.select("__id", "__key", F.explode(_windows(F.col("text"), min_run)).alias("w")).select("__id", "__key", "w.*")
     earliest = placed.groupBy("mark", "around").agg(F.min(F.struct("__id", "__key", "at")).alias("p"))
     return earliest.select("p.*").groupBy("__id", "__key").agg(F.collect_list("at").alias("__first"))
 
 
 def removed_runs(docs: DataFrame, min_run: int = MIN_RUN) -> DataFrame:
-    """All columns of docs, with __lines, __removed (line numbers) and __kept (line numbers)."""
-    rows = docs.withColumns({"__id": F.col("doc_id").cast("long"), "__key": text_key(F.col("text")), "__text": F.col("text")})
-    joined = _with_parts(rows.join(repeated_windows_first(docs, min_run), ["__id", "__key"], "left"), min_run)
-    first = F.coalesce("__first", F.when(F.col("__id").isNull(), _numbers(F.col("__windows"))).otherwise(F.array().cast("array<int>")))
-    repeats = F.array_except(_numbers(F.col("__windows")), first)
-    covered = F.array_distinct(F.flatten(F.transform(repeats, lambda w: F.sequence(w, w + (min_run - 1)))))
-    joined = joined.withColumn("__removed", F.transform(covered, lambda k: F.get("__full", k)))
-    return joined.withColumn("__kept", F.array_except(_numbers(F.size("__lines")), F.col("__removed"))).drop("__id", "__key", "__first", "__full", "__windows", "__text")
-
-
-def kept_text() -> Column:
-    return F.array_join(F.transform("__kept", lambda i: F.get("__lines", i)), "\n")
+    """All columns of docs and __found(n_lines, removed, kept_text)."""
+    rows = docs.withColumns({"__id": F.col("doc_id").cast("long"), "__key": text_key(F.col("text"))})
+    joined = rows.join(first_windows(docs, min_run), ["__id", "__key"], "left")
+    first = F.when(F.col("__id").isNotNull(), F.coalesce("__first", F.array().cast("array<int>")))
+    return joined.withColumn("__found", _judged(F.col("text"), first, min_run)).drop("__id", "__key", "__first")
 
 
 def dedup_lines(docs: DataFrame, min_run: int = MIN_RUN) -> DataFrame:
     """doc_id, n_lines, removed (line numbers from 0, ascending) and kept_text of each row with a doc_id."""
     found = removed_runs(docs.select("doc_id", "text").where(F.col("doc_id").isNotNull()), min_run)
-    lines = F.when(F.length("text") > 0, F.size("__lines")).otherwise(0).cast("long")
-    return found.select(F.col("doc_id").cast("long").alias("doc_id"), lines.alias("n_lines"), F.sort_array("__removed").alias("removed"), F.when(F.col("text").isNotNull(), kept_text()).alias("kept_text"))
+    lines = F.when(F.length("text") > 0, F.col("__found.n_lines")).otherwise(0)
+    return found.select(F.col("doc_id").cast("long").alias("doc_id"), lines.alias("n_lines"), "__found.removed", F.when(F.col("text").isNotNull(), F.col("__found.kept_text")).alias("kept_text"))
 
 
 def without_repeats(docs: DataFrame, min_run: int = MIN_RUN) -> DataFrame:
     """docs with its columns, repeated runs taken out of text (n_chars follows); a text of which nothing but blank
     lines is left goes with its row."""
     found = removed_runs(docs, min_run)
-    touched = F.size("__removed") > 0
-    found = found.where(~touched | (F.trim(F.regexp_replace(kept_text(), "\n", "")) != "")).withColumn("text", F.when(touched, kept_text()).otherwise(F.col("text")))
+    touched = F.size("__found.removed") > 0
+    found = found.where(~touched | (F.trim(F.regexp_replace("__found.kept_text", "\n", "")) != "")).withColumn("text", F.when(touched, F.col("__found.kept_text")).otherwise(F.col("text")))
     if "n_chars" in docs.columns:
         kind = docs.schema["n_chars"].dataType
         found = found.withColumn("n_chars", F.when(touched, F.length("text")).otherwise(F.col("n_chars")).cast(kind))
