@@ -83,7 +83,7 @@ def draw_alias(table: Column, u: Column) -> Column:
 
 def numpy_uniform(seed: int, *keys: np.ndarray | int) -> np.ndarray:
     """Uniform numbers from integer keys, for the Arrow backends."""
-    state = np.uint64(seed & 0xFFFFFFFF) * np.uint64(0x9E3779B97F4A7C15)
+    state = np.uint64((seed & 0xFFFFFFFF) * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF)
     with np.errstate(over="ignore"):
         for key in keys:
             state = (np.asarray(key).astype(np.uint64) + state) * np.uint64(0xBF58476D1CE4E5B9)
