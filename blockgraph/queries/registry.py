@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import hard, measures, relational, soft  # noqa: F401  register their queries
+from . import hard, measures, relational, soft, workloads  # noqa: F401  register their queries
 from .base import ORACLES, QUERIES
 
 __all__ = ["ORACLES", "QUERIES", "flagship"]
