@@ -12,30 +12,36 @@ from pyspark.sql import DataFrame, SparkSession
 
 from blockgraph.llm import decontamination, language_id, line_dedup, near_dedup, packing
 from blockgraph.llm._common import materialise, table
+from blockgraph.session import ship
 
 
 def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps documents whose language is recognised."""
+    ship(spark)
     return language_id.confident(spark, docs)
 
 
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Deletes later copies of repeated runs of lines."""
+    ship(spark)
     return line_dedup.without_repeats(docs)
 
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps the smallest document of each near-duplicate group."""
+    ship(spark)
     return near_dedup.one_of_each(spark, docs)
 
 
 def benchmark_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops documents that hold a benchmark item."""
+    ship(spark)
     return decontamination.clean(spark, docs, table(spark, sf_dir, "benchmark"))
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Places documents into sequences: doc_id, piece, length, bin, start."""
+    ship(spark)
     return packing.pack_documents(docs)
 
 
