@@ -87,3 +87,19 @@ def soft_gaussian(points: DataFrame, k: int, seed: int = 1, stop: Stop | None =
         centres = new
         trace.add(soft_entropy(points, centres).first()[0])
     return Fit({"centres": centres}, trace)
+
+
+class KMeansProblem:
+    """k-means as a problem for the generic hard loop: assignment is the expectation, means are the maximisation."""
+
+    def __init__(self, points: DataFrame) -> None:
+        self.points = points
+
+    def expect(self, state: dict[str, DataFrame]) -> DataFrame:
+        return assign(self.points, state["centres"])
+
+    def maximise(self, state: dict[str, DataFrame], expected: DataFrame) -> dict[str, DataFrame]:
+        return {"centres": write_state(centres_of(expected, state["centres"]), "centres")}
+
+    def entropy(self, state: dict[str, DataFrame]) -> float:
+        return gaussian_entropy(self.expect(state)).first()[0]

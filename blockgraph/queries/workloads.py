@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from pyspark.sql import functions as F
+
 from ..eval import workloads as w
 from ..plans.state import write_state
 from ..sources import tables as t
@@ -45,3 +47,30 @@ def workload_anonymise(spark, sf_dir):
 @query()
 def workload_expansion_cost(spark, sf_dir):
     return w.expansion_cost(spark, sf_dir, (100, 200))
+
+
+@query()
+def workload_scaling(spark, sf_dir):
+    """Seconds of one table-scored round at 1, 2 and 4 tasks."""
+    from ..eval.scaling import scaling
+    from ..graph import vertices
+    from ..hard.fit import one_round
+    from ..init import random_labels
+
+    edges = t.g1_copurchase(spark, sf_dir).select("src", "dst")
+    labels = write_state(random_labels(vertices(edges), 4, 1), "labels")
+    return scaling(edges, lambda e: one_round(e, labels, 4, 0.3, "table", 1, 1).write.format("noop").mode("overwrite").save())
+
+
+@query()
+def state_size(spark, sf_dir):
+    """Bytes of the soft and the hard state of the rating graph."""
+    from ..eval.scaling import state_bytes
+    from ..init import random_labels
+    from ..soft.steps import starts
+
+    edges = write_state(t.g4_rating(spark, sf_dir).select("src", "dst", (F.col("cat") - 1).alias("cat")), "edges")
+    left, right, _ = starts(edges, (10, 10, 5), 1)
+    hard = [random_labels(edges.select(F.col(c).alias("id")).distinct(), 10, 1) for c in ("src", "dst")]
+    rows = [("soft", sum(map(state_bytes, (left, right)))), ("hard", sum(map(state_bytes, hard)))]
+    return spark.createDataFrame(rows, "kind string, bytes long")

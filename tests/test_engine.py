@@ -227,6 +227,25 @@ def test_kmeans_lowers_its_entropy(spark, sf):
     assert all(a >= b - 1e-6 for a, b in zip(fit.trace.entropies, fit.trace.entropies[1:]))
 
 
+def test_generic_loop_runs_kmeans(spark, sf):
+    from blockgraph.em.loop import run_hard_em
+
+    pts = write_state(t.planted_points(spark, sf).select("id", "vec"), "p")
+    own = ep.kmeans(pts, 3, 1, Stop(max_iter=2)).trace.entropies
+    generic = run_hard_em(ep.KMeansProblem(pts), {"centres": write_state(ep.start_centres(pts, 3, 1), "c")}, Stop(max_iter=2)).trace.entropies
+    assert np.allclose(own, generic)
+
+
+def test_fit_auto_picks_by_cost(ratings):
+    assert steps.fit_auto(ratings, 2, 2, 5, 20, stop=Stop(max_iter=1)).trace.run_id == "exact"
+    assert steps.fit_auto(ratings, 12, 12, 5, 2, stop=Stop(max_iter=1)).trace.run_id == "sampled"
+
+
+def test_draws_may_grow(ratings):
+    fit = steps.fit_sampled(ratings, 2, 2, 5, lambda n: 2 * n, 1, Stop(max_iter=2))
+    assert len(fit.trace.entropies) == 3
+
+
 def test_random_numbers(spark):
     row = spark.range(1).select(portable(5, "7").alias("u")).first()
     assert abs(row["u"] - 0.2224815922201402) < 1e-15
