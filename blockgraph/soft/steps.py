@@ -103,7 +103,8 @@ def sampled_step(edges: DataFrame, left: DataFrame, right: DataFrame, cat: DataF
 def _arrow_edges(na: int, nb: int, nc: int, theta: np.ndarray, draws: int | None, seed: int, round_: int):
     """Edge batches with both vectors -> one row of share sums for each vertex of the batch, and of tensor mass.
 
-    kind 0: left vertex, 1: right vertex (vec: summed shares, n: edges, cost: 0), 2: tensor (vec: mass, cost: entropy).
+    kind 0: left vertex, 1: right vertex (vec: summed shares, n: edges), 2: tensor (id: c * A + a, vec: mass by b; the
+    entropy rides as cost on its first row).
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -144,7 +145,8 @@ def _arrow_edges(na: int, nb: int, nc: int, theta: np.ndarray, draws: int | None
                 sums = np.stack([np.bincount(where, shares[:, k], len(keys)) for k in range(shares.shape[1])], axis=1)
                 yield _rows(kind, keys, sums, np.bincount(where), np.zeros(len(keys)))
         if seen:
-            yield _rows(2, np.zeros(1, np.int64), mass.reshape(1, -1), np.zeros(1, np.int64), np.array([cost]))
+            rows = nc * na
+            yield _rows(2, np.arange(rows), mass.reshape(rows, nb), np.zeros(rows, np.int64), np.where(np.arange(rows) == 0, cost, 0.0))
 
     return run
 
@@ -170,12 +172,11 @@ def arrow_step(edges: DataFrame, left: DataFrame, right: DataFrame, theta: np.nd
     met = edges.select("src", "dst", "cat").join(left.select(F.col("id").alias("src"), F.col("vec").alias("ml")), "src").join(right.select(F.col("id").alias("dst"), F.col("vec").alias("mr")), "dst").select("src", "dst", "cat", "ml", "mr")
     sent = met.mapInArrow(_arrow_edges(na, nb, nc, theta, draws, seed, round_), "kind int, id long, vec array<double>, n long, cost double")
     wide = max(na, nb)
-    sent = write_state(sent, "sent")
-    sums = sent.where("kind < 2").groupBy("kind", "id").agg(F.sum("n").alias("deg"), *[F.sum(F.get("vec", F.lit(k))).alias(f"s{k}") for k in range(wide)])
-    state = write_state(sums.select("kind", "id", F.array(*[F.col(f"s{k}") / F.col("deg") for k in range(wide)]).alias("vec")), "mem")
-    parts = sent.where("kind = 2").select("vec", "cost").toPandas()
-    drop_state(sent)
-    mass = np.sum([np.array(v) for v in parts["vec"]], axis=0).reshape(nc, na, nb).transpose(1, 2, 0)
+    sums = sent.groupBy("kind", "id").agg(F.sum("n").alias("deg"), F.sum("cost").alias("cost"), *[F.sum(F.get("vec", F.lit(k))).alias(f"s{k}") for k in range(wide)])
+    share = lambda k: F.when(F.col("kind") < 2, F.try_divide(F.col(f"s{k}"), F.col("deg"))).otherwise(F.col(f"s{k}"))
+    state = write_state(sums.select("kind", "id", "cost", F.array(*[share(k) for k in range(wide)]).alias("vec")), "mem")
+    parts = state.where("kind = 2").orderBy("id").select("vec", "cost").toPandas()  # A * C rows
+    mass = (np.array([v[:nb] for v in parts["vec"]], float) if len(parts) else np.zeros((nc * na, nb))).reshape(nc, na, nb).transpose(1, 2, 0)
     whole = mass.sum(axis=2, keepdims=True)
     new = np.where(whole > 0, mass / np.where(whole > 0, whole, 1), theta.reshape(na, nb, nc))
     pick = lambda kind, size: state.where(F.col("kind") == kind).select("id", F.slice("vec", 1, size).alias("vec"))
