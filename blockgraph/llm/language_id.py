@@ -1,9 +1,10 @@
 """Language identification: multinomial naive Bayes over hashed character n-grams.
 
-Learning takes at most max_docs_per_lang labelled documents of each language, chosen by a hash of doc_id and read
-whole, of at most 500 languages, the commonest ones; these bounds are the one place where this operator samples. The table of log probabilities has
-buckets x languages entries, whatever the size of the corpus, and is broadcast. Prediction runs over every whole text:
-n-grams of a batch become bucket numbers, their rows of the table are gathered and summed per document in numpy.
+Learning takes about max_docs_per_lang labelled documents of each language (all, where there are fewer), chosen by a
+hash of doc_id and read whole, of at most 500 languages, the commonest ones; these bounds are the one place where this
+operator samples. The table of log probabilities has buckets x languages entries, whatever the size of the corpus, and
+is broadcast. Prediction runs over every whole text: n-grams of a batch become bucket numbers, their rows of the table
+are gathered and summed per document in numpy.
 
 Defined results: lang_pred is "und" and score 0.0 for a text that is null or has no letter, and where nothing could be
 learned; score is the posterior probability of the language named. Ties go to the alphabetically smaller language.
