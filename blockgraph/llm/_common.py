@@ -76,9 +76,11 @@ def sliding_min(values: np.ndarray, width: int) -> np.ndarray:
 
 
 def texts_of(column: pa.Array) -> Iterator[bytes]:
-    """UTF-8 bytes of each row, null as empty."""
-    for value in column.cast(pa.binary()).to_pylist():
-        yield value or b""
+    """UTF-8 bytes of each row, null as empty; few rows at a time become Python objects."""
+    column = column.cast(pa.binary())
+    for at in range(0, len(column), 128):
+        for value in column.slice(at, 128).to_pylist():
+            yield value or b""
 
 
 WORD_BREAKS = np.zeros(256, bool)

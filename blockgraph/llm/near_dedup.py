@@ -100,13 +100,15 @@ def _unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     times, plus = _multipliers()
-    for batch in batches:
-        sets, signatures = [], []
-        for text in texts_of(batch.column(batch.schema.get_field_index("text"))):
-            members = shingles(normalised(text))
-            sets.append(members.tobytes())
-            signatures.append(minima(members, times, plus).astype(np.uint32).tobytes())
-        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.array(sets, pa.binary()), pa.array(signatures, pa.binary())], ["node", "cluster", "blocks", "members", "signature"])
+    for whole in batches:
+        for at in range(0, whole.num_rows, 512):  # sets are larger than texts: small batches leave
+            batch = whole.slice(at, 512)
+            sets, signatures = [], []
+            for text in texts_of(batch.column(batch.schema.get_field_index("text"))):
+                members = shingles(normalised(text))
+                sets.append(members.tobytes())
+                signatures.append(minima(members, times, plus).astype(np.uint32).tobytes())
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.array(sets, pa.binary()), pa.array(signatures, pa.binary())], ["node", "cluster", "blocks", "members", "signature"])
 
 
 def joining_links(nodes: list[int], sets: list[np.ndarray], signatures: np.ndarray, side: np.ndarray | None) -> list[tuple[int, int]]:
