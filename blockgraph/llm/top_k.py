@@ -1,7 +1,7 @@
 """Exact top-k inner products: vectors by descending length, SVD-rotated partial sums, Cauchy-Schwarz bounds.
 
-Components are turned into whole numbers floor(scale * x). Candidates are dealt by descending length into bands, and
-each band meets each block of queries in one task. The longest band goes first; the k-th score it gives a query is a
+Components are turned into whole numbers floor(scale * x). Candidates are dealt by descending length into bands, which
+are written once, so that every vector lies in just one; each band meets each block of queries in one task. The longest band goes first; the k-th score it gives a query is a
 floor for all other bands. Inside a task candidates come in descending length: a block whose longest vector cannot reach
 a query's floor by Cauchy-Schwarz is skipped for it; for the rest the inner product over the leading coordinates of a
 common rotation, plus the product of the lengths of what remains, bounds the score from above, and only pairs whose
@@ -147,6 +147,7 @@ def top_k(spark: SparkSession, vectors: DataFrame, is_query: Column, k: int = 10
     blocks = max(1, math.ceil(n_queries / QUERY_BLOCK))
     length = F.aggregate("v", F.lit(0.0), lambda total, x: total + x * x)
     banded = whole.withColumn("length", length).repartitionByRange(bands, F.desc("length"), "vec_id").select("vec_id", "v", F.spark_partition_id().alias("band"))
+    banded = materialise(banded, "banded")  # the cuts are sampled: a second evaluation would cut elsewhere
     queries = whole.where(is_query).withColumns({"block": F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int"), "floor": F.lit(float("-inf"))})
 
     def meet(which: Column, asked: DataFrame, first: int, last: int) -> DataFrame:

@@ -282,6 +282,24 @@ def test_top_k_matches_brute_force(spark, bands, monkeypatch):
     assert got == brute_top(singles, 10, 20)
 
 
+def test_top_k_deals_each_vector_to_one_band(spark):
+    """Thousands of vectors, the real block sizes: the cuts between bands are sampled, the answer must not depend on them."""
+    rng = np.random.default_rng(5)
+    x = rng.normal(size=(20_000, 16)).astype(np.float32)
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    df = spark.createDataFrame(list(enumerate(x.tolist())), "vec_id long, embedding array<float>").repartition(4)
+    whole = np.floor(x.astype(np.float64) * 1024)
+    want = {}
+    for q in range(0, len(x), 100):
+        scores = whole @ whole[q]
+        scores[q] = -np.inf
+        for rank, i in enumerate(np.lexsort((np.arange(len(x)), -scores))[:10].tolist()):
+            want[q, rank + 1] = (i, int(scores[i]))
+    for _ in range(2):
+        got = [((r["query_id"], r["rank"]), (r["vec_id"], r["score"])) for r in top_k.top_k(spark, df, F.pmod("vec_id", F.lit(100)) == 0).collect()]
+        assert len(got) == len(want) and dict(got) == want
+
+
 def test_top_k_of_few_and_none(spark):
     few = spark.createDataFrame([(0, [1.0, 2.0]), (1, [2.0, 1.0])], "vec_id long, embedding array<float>")
     assert [tuple(r) for r in top_k.top_k(spark, few, F.col("vec_id") == 0).collect()] == [(0, 1, 1, 4 * 1024 * 1024)]
