@@ -60,6 +60,12 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 ORACLES["op10_line_dedup"] = line_dedup.ORACLE
 
 
+@_query
+def op10_line_dedup_long_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Runs of lines, and lines of LONG_WORDS words and more on their own."""
+    return line_dedup.digest(line_dedup.dedup_lines(table(spark, sf_dir, "documents"), long_words=line_dedup.LONG_WORDS))
+
+
 @_query
 def op1_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat_format.digest(chat_format.formatted(table(spark, sf_dir, "conversations")))

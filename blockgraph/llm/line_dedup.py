@@ -8,6 +8,10 @@ then earlier line) is the original. A window that isn't the earliest is a repeat
 fuse into runs, which are deleted. Only the earliest positions travel back to the documents, so a line that a third of
 all texts share costs one row per map task before the shuffle and one row after it.
 
+With `long_words` a line of at least that many words is also a window of its own, so a passage held in one line, or a
+document of one line, is found wherever it stands; shorter lines count only inside runs. Without it (the default, and
+what ORACLE says) only runs of `min_run` lines are found.
+
 Defined results: windows are judged on the input; a null text has no lines and stays null; rows with a null doc_id
 keep their text; rows that repeat another's doc_id and text get the same answer; rows with one doc_id and different
 texts are documents of their own, ordered by a hash of the text. Two windows of different lines count as equal only
@@ -24,6 +28,7 @@ from pyspark.sql import functions as F
 from ._common import text_key
 
 MIN_RUN = 2
+LONG_WORDS = 8
 
 
 def let(value: Column, then: Callable[[Column], Column]) -> Column:
@@ -43,23 +48,42 @@ def _with_lines(text: Column, then: Callable[[Column, Column], Column]) -> Colum
     return let(lines, lambda found: let(full(found), lambda kept: then(found, kept)))
 
 
-def _windows(text: Column, min_run: int) -> Column:
-    """Number, fingerprint and hash of each window of a text."""
+def _long(lines: Column, full: Column, long_words: int) -> Column:
+    """Which lines that aren't blank, counted without the blank ones, have at least long_words words."""
+    words = lambda i: F.size(F.filter(F.split(F.get(lines, F.get(full, i)), "[ \\t-\\r]+"), lambda word: word != ""))
+    return F.filter(_numbers(F.size(full)), lambda i: words(i) >= long_words)
+
+
+def _windows(text: Column, min_run: int, long_words: int | None) -> Column:
+    """Number, fingerprint and hash of each window of a text. The long line k on its own has the number -1 - k; its
+    two hashes have different seeds."""
 
     def of(hashes: Column) -> Column:
         at = _numbers(F.size(hashes) - (min_run - 1))
         return F.transform(at, lambda i: F.struct(i.alias("at"), F.array_min(F.slice(hashes, i + 1, min_run)).alias("mark"), F.xxhash64(F.slice(hashes, i + 1, min_run)).alias("around")))
 
-    return _with_lines(text, lambda lines, full: let(F.transform(full, lambda i: F.xxhash64(F.get(lines, i))), of))
+    def all_of(lines: Column, full: Column) -> Column:
+        runs = let(F.transform(full, lambda i: F.xxhash64(F.get(lines, i))), of)
+        if long_words is None:
+            return runs
+        line = lambda i: F.get(lines, F.get(full, i))
+        alone = lambda i: F.struct((-1 - i).alias("at"), F.xxhash64(line(i)).alias("mark"), F.xxhash64(F.lit(1), line(i)).alias("around"))
+        return F.concat(runs, F.transform(_long(lines, full, long_words), alone))
+
+    return _with_lines(text, all_of)
 
 
-def _judged(text: Column, first: Column, min_run: int) -> Column:
+def _judged(text: Column, first: Column, min_run: int, long_words: int | None) -> Column:
     """n_lines, removed and kept_text, given the windows that stay; first null: all stay."""
 
     def of(lines: Column, full: Column) -> Column:
         windows = _numbers(F.size(full) - (min_run - 1))
+        lines_of = lambda w: F.sequence(w, w + (min_run - 1))
+        if long_words is not None:
+            windows = F.concat(windows, F.transform(_long(lines, full, long_words), lambda i: -1 - i))
+            lines_of = lambda w: F.when(w < 0, F.array(-1 - w)).otherwise(F.sequence(w, w + (min_run - 1)))
         again = F.array_except(windows, F.coalesce(first, windows))
-        covered = F.array_distinct(F.flatten(F.transform(again, lambda w: F.sequence(w, w + (min_run - 1)))))
+        covered = F.array_distinct(F.flatten(F.transform(again, lines_of)))
         return let(F.transform(covered, lambda k: F.get(full, k)), lambda removed: kept(lines, removed))
 
     def kept(lines: Column, removed: Column) -> Column:
@@ -70,33 +94,34 @@ def _judged(text: Column, first: Column, min_run: int) -> Column:
     return _with_lines(text, of)
 
 
-def first_windows(docs: DataFrame, min_run: int) -> DataFrame:
+def first_windows(docs: DataFrame, min_run: int, long_words: int | None = None) -> DataFrame:
     """__id, __key and the window numbers __first of each document that are the earliest of their kind."""
     rows = docs.select(F.col("doc_id").cast("long").alias("__id"), text_key(F.col("text")).alias("__key"), "text").where(F.col("doc_id").isNotNull() & (F.length("text") > 0))
-    placed = rows.select("__id", "__key", F.explode(_windows(F.col("text"), min_run)).alias("w")).select("__id", "__key", "w.*")
-    earliest = placed.groupBy("mark", "around").agg(F.min(F.struct("__id", "__key", "at")).alias("p"))
+    placed = rows.select("__id", "__key", F.explode(_windows(F.col("text"), min_run, long_words)).alias("w")).select("__id", "__key", "w.*")
+    line = [] if long_words is None else [F.when(F.col("at") < 0, -1 - F.col("at")).otherwise(F.col("at")).alias("line")]
+    earliest = placed.groupBy("mark", "around").agg(F.min(F.struct("__id", "__key", *line, "at")).alias("p"))
     return earliest.select("p.*").groupBy("__id", "__key").agg(F.collect_list("at").alias("__first"))
 
 
-def removed_runs(docs: DataFrame, min_run: int = MIN_RUN) -> DataFrame:
+def removed_runs(docs: DataFrame, min_run: int = MIN_RUN, long_words: int | None = None) -> DataFrame:
     """All columns of docs and __found(n_lines, removed, kept_text)."""
     rows = docs.withColumns({"__id": F.col("doc_id").cast("long"), "__key": text_key(F.col("text"))})
-    joined = rows.join(first_windows(docs, min_run), ["__id", "__key"], "left")
+    joined = rows.join(first_windows(docs, min_run, long_words), ["__id", "__key"], "left")
     first = F.when(F.col("__id").isNotNull(), F.coalesce("__first", F.array().cast("array<int>")))
-    return joined.withColumn("__found", _judged(F.col("text"), first, min_run)).drop("__id", "__key", "__first")
+    return joined.withColumn("__found", _judged(F.col("text"), first, min_run, long_words)).drop("__id", "__key", "__first")
 
 
-def dedup_lines(docs: DataFrame, min_run: int = MIN_RUN) -> DataFrame:
+def dedup_lines(docs: DataFrame, min_run: int = MIN_RUN, long_words: int | None = None) -> DataFrame:
     """doc_id, n_lines, removed (line numbers from 0, ascending) and kept_text of each row with a doc_id."""
-    found = removed_runs(docs.select("doc_id", "text").where(F.col("doc_id").isNotNull()), min_run)
+    found = removed_runs(docs.select("doc_id", "text").where(F.col("doc_id").isNotNull()), min_run, long_words)
     lines = F.when(F.length("text") > 0, F.col("__found.n_lines")).otherwise(0)
     return found.select(F.col("doc_id").cast("long").alias("doc_id"), lines.alias("n_lines"), "__found.removed", F.when(F.col("text").isNotNull(), F.col("__found.kept_text")).alias("kept_text"))
 
 
-def without_repeats(docs: DataFrame, min_run: int = MIN_RUN) -> DataFrame:
+def without_repeats(docs: DataFrame, min_run: int = MIN_RUN, long_words: int | None = None) -> DataFrame:
     """docs with its columns, repeated runs taken out of text (n_chars follows); a text of which nothing but blank
     lines is left goes with its row."""
-    found = removed_runs(docs, min_run)
+    found = removed_runs(docs, min_run, long_words)
     touched = F.size("__found.removed") > 0
     found = found.where(~touched | (F.trim(F.regexp_replace("__found.kept_text", "\n", "")) != "")).withColumn("text", F.when(touched, F.col("__found.kept_text")).otherwise(F.col("text")))
     if "n_chars" in docs.columns:

@@ -111,6 +111,33 @@ def test_lines_match_brute_force(spark):
     assert got == brute_lines(rows)
 
 
+def brute_long_lines(rows, words):
+    """Line numbers of later copies of lines with at least so many words, for each document."""
+    seen, out = set(), {}
+    for d, t, *_ in sorted(rows):
+        out[d] = set()
+        for k, line in enumerate((t or "").split("\n")):
+            if len(line.encode().split()) >= words:
+                out[d] |= {k} if line in seen else set()
+                seen.add(line)
+    return out
+
+
+def test_long_lines_go_alone(spark, sf):
+    told = "one two three four five six seven eight"
+    rows = line_rows() + [(300, told, "en", "s"), (301, told, "en", "s"), (302, f"own\n\n{told}\nelse\n{told} nine\n{told}", "en", "s"), (303, "one two three four", "en", "s"), (304, "one two three four", "en", "s"), (305, f"{told} nine\tten", "en", "s"), (306, f"x\n{told}  nine\nelse\n{told} nine", "en", "s")]
+    rows += [(1000 + r["doc_id"], r["text"], "en", "s") for r in spark.read.parquet(f"{sf}/documents.parquet").collect()]
+    got = {r["doc_id"]: (r["n_lines"], r["removed"], r["kept_text"]) for r in line_dedup.dedup_lines(frame(spark, rows), long_words=line_dedup.LONG_WORDS).collect()}
+    runs, alone, text = brute_lines(rows), brute_long_lines(rows, line_dedup.LONG_WORDS), {d: t for d, t, *_ in rows}
+    want = {}
+    for d, (n, gone, _) in runs.items():
+        gone = sorted({*gone, *alone[d]})
+        want[d] = (n, gone, "\n".join(x for k, x in enumerate((text[d] or "").split("\n")) if k not in gone) if text[d] is not None else None)
+    assert got == want
+    assert [got[d][1] for d in (300, 301, 302, 303, 304)] == [[], [0], [2, 5], [], []]
+    assert 301 not in {r["doc_id"] for r in line_dedup.without_repeats(frame(spark, rows), long_words=line_dedup.LONG_WORDS).select("doc_id").collect()}
+
+
 def test_line_edge_cases(spark):
     rows = [(1, "a b\nc d\ne", "en", "s"), (1, "a b\nc d\ne", "en", "s"), (2, "x\na b\nc d", "en", "s"), (3, None, None, None), (None, "a b\nc d", "en", "s"), (4, "a b\nc d", "en", "s")]
     got = sorted((r["doc_id"], r["kept_text"]) for r in line_dedup.dedup_lines(frame(spark, rows)).where("doc_id <> 3").collect())
