@@ -70,14 +70,15 @@ def entropy_of(edges: DataFrame, labels: DataFrame, n_blocks: int) -> float:
 
 def fit_simple(edges: DataFrame, n_blocks: int, frac: Frac = 0.1, scorer: str = "table", seed: int = 1, stop: Stop | None = None, start: DataFrame | None = None, ids: DataFrame | None = None, min_block: int = 0, backend: str = "auto") -> HardFit:
     """Cluster a simple graph. backend: frames (any size), local (rounds in one task, table scores, graphs of at most
-    LOCAL_EDGES edges) or auto, which counts the edges first."""
+    LOCAL_EDGES edges) or auto, which counts the edges first. Both draw the same vertices, read frac every round and
+    stop alike, so the size does not change the answer."""
     stop = stop or Stop(max_iter=30)
     edges = edges.select("src", "dst")
     labels = start or random_labels(ids or vertices(edges), n_blocks, seed)
     if backend == "auto":
         backend = "local" if scorer == "table" and not min_block and edges.count() <= LOCAL_EDGES else "frames"
     if backend == "local":
-        return fit_local(edges, labels, n_blocks, share(frac, 1), seed, stop)
+        return fit_local(edges, labels, n_blocks, frac, seed, stop)
     trace = Trace("hard")
     labels = write_state(labels.select("id", "lab"), "labels")
     trace.add(entropy_of(edges, labels, n_blocks))
@@ -90,7 +91,7 @@ def fit_simple(edges: DataFrame, n_blocks: int, frac: Frac = 0.1, scorer: str =
     return HardFit(labels.select("id", "lab"), trace)
 
 
-def _run_local(n_blocks: int, frac: float, seed: int, max_iter: int, budget_s: float | None):
+def _run_local(n_blocks: int, fracs: list[float], seed: int, stop: Stop):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = pa.Table.from_batches(list(batches))
         kind, a, b = (table.column(c).to_numpy() for c in ("kind", "a", "b"))
@@ -98,7 +99,7 @@ def _run_local(n_blocks: int, frac: float, seed: int, max_iter: int, budget_s: f
         ids, lab = a[kind == 0][order], b[kind == 0][order]
         graph = kernel.Graph(len(ids), np.searchsorted(ids, a[kind == 1]), np.searchsorted(ids, b[kind == 1]))
         rows = [(graph.entropy(lab, n_blocks), 0)]
-        for lab, entropy, moved in kernel.rounds(graph, lab, n_blocks, frac, max_iter, seed, stop_when_still=10, budget_s=budget_s):
+        for lab, entropy, moved in kernel.rounds(graph, lab, n_blocks, fracs, stop.max_iter, seed, ids, stop):
             rows.append((entropy, moved))
         yield pa.RecordBatch.from_arrays(
             [
@@ -113,11 +114,12 @@ def _run_local(n_blocks: int, frac: float, seed: int, max_iter: int, budget_s: f
     return run
 
 
-def fit_local(edges: DataFrame, labels: DataFrame, n_blocks: int, frac: float, seed: int, stop: Stop) -> HardFit:
+def fit_local(edges: DataFrame, labels: DataFrame, n_blocks: int, frac: Frac, seed: int, stop: Stop) -> HardFit:
     """All rounds in one task; the caller has checked the size."""
     sent = labels.select(F.lit(0).cast("long").alias("kind"), F.col("id").alias("a"), F.col("lab").cast("long").alias("b")).unionAll(edges.select(F.lit(1).cast("long"), "src", "dst"))
     trace = Trace("hard")
-    ran = write_state(sent.coalesce(1).mapInArrow(_run_local(n_blocks, frac, seed, stop.max_iter, stop.time_budget_s), "kind long, a long, b long, value double"), "local")
+    fracs = [share(frac, number) for number in range(1, stop.max_iter + 1)]
+    ran = write_state(sent.coalesce(1).mapInArrow(_run_local(n_blocks, fracs, seed, stop), "kind long, a long, b long, value double"), "local")
     steps = ran.where("kind = 1").orderBy("a").collect()
     took = trace.elapsed()
     trace.rows = [("hard", r["a"], took * (k + 1) / len(steps), r["value"], r["b"]) for k, r in enumerate(steps)]

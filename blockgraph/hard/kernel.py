@@ -4,10 +4,12 @@ from __future__ import annotations
 
 import itertools
 import time
+from collections.abc import Iterator, Sequence
 
 import numpy as np
 
-from ..rng import numpy_uniform
+from ..em.loop import Stop
+from ..rng import portable_numpy
 
 
 def g(x: np.ndarray) -> np.ndarray:
@@ -93,24 +95,28 @@ def table_scores(graph: Graph, lab: np.ndarray, k: int, chosen: np.ndarray) -> n
     return scores
 
 
-def rounds(graph: Graph, lab: np.ndarray, k: int, frac: float, max_iter: int, seed: int, stop_when_still: int = 0, budget_s: float | None = None):
-    """Yield (labels, entropy, moved) after each round of re-deciding a random share of the vertices."""
-    lab, began, still = lab.copy(), time.monotonic(), 0
-    ids = np.arange(graph.n)
-    for i in range(1, max_iter + 1):
-        chosen = ids[numpy_uniform(seed, ids, i) < frac] if frac < 1 else ids
+def rounds(graph: Graph, lab: np.ndarray, k: int, frac: float | Sequence[float], max_iter: int, seed: int, ids: np.ndarray | None = None, stop: Stop | None = None) -> Iterator[tuple[np.ndarray, float, int]]:
+    """Yield (labels, entropy, moved) after each round of re-deciding a random share of the vertices: the draws, shares,
+    ties and stopping of the DataFrame rounds. ids: names of the vertices; frac: one share, or one a round; without
+    stop there are max_iter rounds."""
+    lab, began = lab.copy(), time.monotonic()
+    ids = np.arange(graph.n) if ids is None else ids
+    fracs = [frac] * max_iter if np.isscalar(frac) else frac
+    entropies = [graph.entropy(lab, k)]
+    while len(entropies) <= max_iter and not (stop and stop.reached(entropies, time.monotonic() - began)):
+        number = len(entropies)
+        frac = fracs[number - 1]
+        chosen = np.flatnonzero(portable_numpy(seed, "choose", number, ids) < frac) if frac < 1 else np.arange(graph.n)
         moved = 0
         if len(chosen):
             scores = table_scores(graph, lab, k, chosen)
             own = scores[np.arange(len(chosen)), lab[chosen]]
             best = np.round(scores, 9).argmin(axis=1)
-            go = own - scores[np.arange(len(chosen)), best] > 1e-9
+            go = own - scores.min(axis=1) > 1e-9
             moved = int(go.sum())
             lab[chosen[go]] = best[go]
-        yield lab.copy(), graph.entropy(lab, k), moved
-        still = still + 1 if not moved else 0
-        if (stop_when_still and still >= stop_when_still) or (budget_s is not None and time.monotonic() - began >= budget_s):
-            return
+        entropies.append(graph.entropy(lab, k))
+        yield lab.copy(), entropies[-1], moved
 
 
 def polish(graph: Graph, lab: np.ndarray, k: int, max_moves: int = 10_000) -> tuple[np.ndarray, int]:

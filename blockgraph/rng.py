@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import Column
@@ -24,6 +26,13 @@ def portable(seed: int, purpose: str, *keys: Column | int | str) -> Column:
     return uniform_of(_text(seed, purpose, keys))
 
 
+def portable_numpy(seed: int, purpose: str, round_: int, ids: np.ndarray) -> np.ndarray:
+    """portable(seed, purpose, round_, id) for an array of ids, outside Spark."""
+    prefix = f"{seed}|{purpose}|{round_}|".encode()
+    digests = b"".join(hashlib.md5(prefix + b"%d" % i).digest() for i in ids.tolist())
+    return (np.frombuffer(digests, ">u8")[::2] >> np.uint64(64 - 4 * HEX_DIGITS)) / SPAN
+
+
 def fast(seed: int, purpose: str, *keys: Column | int | str) -> Column:
     """The same idea over xxhash64: not portable, cheaper."""
     return F.shiftrightunsigned(F.xxhash64(F.lit(seed), F.lit(purpose), *[k if isinstance(k, Column) else F.lit(k) for k in keys]), 11) / F.lit(float(1 << 53))

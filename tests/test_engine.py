@@ -93,6 +93,16 @@ def test_planted_blocks_return_from_noise(planted, backend):
     assert mp.ari(truth, truth).first()["ari"] == 1.0
 
 
+@pytest.mark.parametrize("frac", [0.3, lambda number: 0.5 if number < 3 else 0.2])
+def test_backends_give_equal_labels(planted, frac):
+    start = write_state(noisy(planted), "start")
+    for stop in (Stop(max_iter=4, tol=0), Stop(max_iter=6, tol=0.05, patience=2)):
+        local, frames = (hf.fit_simple(planted, 4, frac, seed=9, start=start, stop=stop, backend=b) for b in ("local", "frames"))
+        assert sorted(map(tuple, local.labels.collect())) == sorted(map(tuple, frames.labels.collect()))
+        assert [r[4] for r in local.trace.rows] == [r[4] for r in frames.trace.rows]
+        assert np.allclose(local.trace.entropies, frames.trace.entropies, rtol=1e-9)
+
+
 def test_scorers_agree_with_exact_on_planted(planted):
     start = write_state(noisy(planted), "start")
     st, links = stats.block_pairs(planted, start, 4), write_state(stats.vertex_links(planted, start), "links")
