@@ -100,6 +100,13 @@ def theta_degree_pairs(spark, sf_dir):
     return deg.select(F.col("id").alias("low"), (F.col("deg") + 1).alias("d")).join(deg.select(F.col("id").alias("high"), F.col("deg").alias("d")), "d").select("low", "high")
 
 
+@query()
+def theta_degree_pairs_all(spark, sf_dir):
+    """The same over all vertices; no twin, the theta join is quadratic there."""
+    deg = degrees(_graph(spark, sf_dir))
+    return deg.select(F.col("id").alias("low"), (F.col("deg") + 1).alias("d")).join(deg.select(F.col("id").alias("high"), F.col("deg").alias("d")), "d").select("low", "high")
+
+
 @query("SELECT a.user_id, a.event_id AS first_id, b.event_id AS second_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 6 HOUR")
 def interval_coactivity(spark, sf_dir):
     """Events of a user within six hours: hour buckets make the interval an equi-join."""
@@ -139,6 +146,15 @@ def outer_block_grid(spark, sf_dir):
     return grid.join(ends.groupBy("a", "b").agg(F.count("*").alias("hit")), ["a", "b"], "full").select("a", "b", F.coalesce("hit", F.lit(0)).alias("hit"))
 
 
+@query()
+def outer_block_grid_all(spark, sf_dir):
+    """The same over all edges: hit is the count of the block pair."""
+    edges = _graph(spark, sf_dir)
+    ends = stats.labelled(edges, _labels(edges)).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+    grid = stats.blocks(spark, K, "a").join(stats.blocks(spark, K, "b"), F.col("a") <= F.col("b"))
+    return grid.join(ends.groupBy("a", "b").agg(F.count("*").alias("hit")), ["a", "b"], "full").select("a", "b", F.coalesce("hit", F.lit(0)).alias("hit"))
+
+
 @query("SELECT l_partkey AS part, count(*) AS lines, CAST(sum(l_quantity) AS BIGINT) AS quantity FROM lineitem GROUP BY 1")
 def degree_by_part(spark, sf_dir):
     return T(spark, sf_dir, "lineitem").groupBy(F.col("l_partkey").alias("part")).agg(F.count("*").alias("lines"), F.sum("l_quantity").cast("long").alias("quantity"))
