@@ -280,6 +280,13 @@ def recommend_top_n(spark, sf_dir):
     return predict.top_n(edges, left.join(wanted, "id", "left_semi"), right, cat, _values(spark), 5).select("src", "dst", "rank", F.round("pred", 6).alias("pred"))
 
 
+@query()
+def recommend_top_n_all(spark, sf_dir):
+    """Five unseen parts for every customer; no twin, all pairs are too many for it."""
+    edges, left, right, cat = _state(spark, sf_dir)
+    return predict.top_n_all(edges, left, right, cat, _values(spark), 5).select("src", "dst", "rank", F.round("pred", 6).alias("pred"))
+
+
 @query(f"{FOLDS} SELECT round(sqrt(avg((value - (SELECT avg(value) FROM tr)) ** 2)), 6) AS rmse FROM te")
 def rmse_constant(spark, sf_dir):
     _, train, test = _folds(spark, sf_dir)

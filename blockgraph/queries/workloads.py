@@ -46,7 +46,7 @@ def workload_anonymise(spark, sf_dir):
 
 @query()
 def workload_expansion_cost(spark, sf_dir):
-    return w.expansion_cost(spark, sf_dir, (100, 200))
+    return w.expansion_cost(spark, sf_dir, (200, 2000))
 
 
 @query()

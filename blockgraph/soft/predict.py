@@ -2,7 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+import math
+
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -72,3 +77,50 @@ def top_n(train: DataFrame, left: DataFrame, right: DataFrame, cat: DataFrame, v
     scored = soft(unseen, left, right, cat, values)
     order = W.partitionBy("src").orderBy(F.desc(F.round("pred", 9)), "dst")
     return scored.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= n).select("src", "dst", "rank", "pred")
+
+
+def _best_of_tile(matrix: np.ndarray, n: int, rows: int = 256):
+    """The n best unseen items of one block for each user of another; rows users are scored at a time."""
+
+    def tile(table: pa.Table) -> pa.Table:
+        users, items, seen = (table.filter(pc.equal(table.column("kind"), kind)) for kind in range(3))
+        src, dst = users.column("x").to_numpy(), items.column("x").to_numpy()
+        out = [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]
+        if len(src) and len(dst):
+            vectors = lambda part: part.column("vec").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(len(part), -1)
+            ml, mr = vectors(users) @ matrix, vectors(items)
+            by_user, by_item = np.argsort(src), np.argsort(dst)
+            src, ml, dst, mr = src[by_user], ml[by_user], dst[by_item], mr[by_item]
+            seen_at = np.searchsorted(src, seen.column("x").to_numpy()), np.searchsorted(dst, seen.column("y").to_numpy())
+            for at in range(0, len(src), rows):
+                pred = ml[at : at + rows] @ mr.T
+                key = np.round(pred, 9)
+                here = (seen_at[0] >= at) & (seen_at[0] < at + rows)
+                key[seen_at[0][here] - at, seen_at[1][here]] = -np.inf
+                best = np.argsort(-key, axis=1, kind="stable")[:, :n]
+                u, k = np.nonzero(np.take_along_axis(key, best, 1) > -np.inf)
+                v = best[u, k]
+                out = [np.concatenate(pair) for pair in zip(out, (src[at + u], dst[v], pred[u, v]))]
+        return pa.table(dict(zip(("src", "dst", "pred"), out)))
+
+    return tile
+
+
+def top_n_all(train: DataFrame, left: DataFrame, right: DataFrame, cat: DataFrame, values: DataFrame, n: int, block: int = 4096) -> DataFrame:
+    """top_n for all users: blocks of users meet blocks of items as matrices and send on n items a user. The ends of
+    train have memberships."""
+    cells = mean_tensor(cat, values).collect()
+    matrix = np.zeros((max(r["a"] for r in cells) + 1, max(r["b"] for r in cells) + 1))
+    for r in cells:
+        matrix[r["a"], r["b"]] = r["mean"]
+    n_left, n_right = (max(1, math.ceil(side.count() / block)) for side in (left, right))
+    place = lambda c, k: F.pmod(F.xxhash64(F.col(c).cast("long")), F.lit(k)).cast("int")
+    each = lambda k: F.explode(F.sequence(F.lit(0), F.lit(k - 1)))
+    row = lambda df, u, v, kind, x, y, vec: df.select(u.alias("u"), v.alias("v"), F.lit(kind).alias("kind"), F.col(x).cast("long").alias("x"), y.cast("long").alias("y"), vec.cast("array<double>").alias("vec"))
+    none: Column = F.lit(None)
+    users = row(left, place("id", n_left), each(n_right), 0, "id", none, F.col("vec"))
+    items = row(right, each(n_left), place("id", n_right), 1, "id", none, F.col("vec"))
+    seen = row(train, place("src", n_left), place("dst", n_right), 2, "src", F.col("dst"), none)
+    found = users.unionAll(items).unionAll(seen).groupBy("u", "v").applyInArrow(_best_of_tile(matrix, n), "src long, dst long, pred double")
+    order = W.partitionBy("src").orderBy(F.desc(F.round("pred", 9)), "dst")
+    return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= n).select("src", "dst", "rank", "pred")

@@ -2,7 +2,12 @@
 
 from collections import Counter, defaultdict
 
+import numpy as np
+
 from blockgraph.queries import relational as rel
+from blockgraph.queries import soft as qs
+from blockgraph.queries import workloads as qw
+from blockgraph.soft import predict
 
 
 def test_degree_pairs_and_grid_of_the_whole_graph(spark, sf):
@@ -19,3 +24,27 @@ def test_degree_pairs_and_grid_of_the_whole_graph(spark, sf):
     grid = {(r["a"], r["b"]): r["hit"] for r in rel.outer_block_grid_all(spark, sf).collect()}
     assert grid == {(a, b): hits[a, b] for a in range(rel.K) for b in range(a, rel.K)}
     assert sum(grid.values()) == len(edges)
+
+
+def test_every_user_gets_unseen_items(spark, sf):
+    edges, left, right, cat = qs._state(spark, sf)
+    vectors = lambda df: dict(sorted((r["id"], np.array(r["vec"])) for r in df.collect()))
+    ml, mr = vectors(left), vectors(right)
+    mean = np.zeros((qs.A, qs.B))
+    for r in cat.collect():
+        mean[r["a"], r["b"]] += r["p"] * (r["c"] + 1)
+    seen = {(r["src"], r["dst"]) for r in edges.collect()}
+    items, all_mr, want = list(mr), np.array(list(mr.values())), {}
+    for u, x in ml.items():
+        scores = np.round(all_mr @ (x @ mean), 9)
+        order = [i for i in np.argsort(-scores, kind="stable") if (u, items[i]) not in seen][:5]
+        want |= {(u, k + 1): (items[i], scores[i]) for k, i in enumerate(order)}
+    found = predict.top_n_all(edges, left, right, cat, qs._values(spark), 5, block=60).collect()
+    got = {(r["src"], r["rank"]): (r["dst"], r["pred"]) for r in found}
+    assert len(found) == len(got) and set(got) == set(want)
+    assert all(got[k][0] == want[k][0] and abs(got[k][1] - want[k][1]) < 1e-8 for k in want)
+    assert {u for u, _ in got} == set(ml)
+
+
+def test_expansion_at_the_surveyed_sizes(spark, sf):
+    assert {r["n"] for r in qw.workload_expansion_cost(spark, sf).collect()} == {200, 2000}
