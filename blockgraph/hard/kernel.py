@@ -64,12 +64,12 @@ def table_scores(graph: Graph, lab: np.ndarray, k: int, chosen: np.ndarray) -> n
     enter = cost(hit, miss + size[None, :]) - now
     leave = now - cost(hit, miss - (size[None, :] - np.eye(k)))
     whole = hit + miss + size[None, :]
-    g_hit = g(np.arange(len(graph.src) + 2, dtype=float))
     # of a pair (a, b), by b: what entering costs but for the two terms that depend on the vertex's own links
     base = (g(whole) - now - enter).T
     base_own = (g(whole - 1) - now - enter).T
     hit_t, rest_t = hit.T.astype(np.int64), (miss + size[None, :]).T
     row, b, x = graph.links(chosen, lab, k)
+    g_hit = g(np.arange(len(graph.src) + int(x.max(initial=0)) + 2, dtype=float))  # the own column is looked up before it is replaced
     y = lab[chosen][row]
     own = b == y
     scores = np.tile(enter.sum(axis=1), (len(chosen), 1))
