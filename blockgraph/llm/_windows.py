@@ -6,6 +6,13 @@ that value, so equal windows always meet, and a text costs about (length + run)
 `length` times. Before the shuffle equal strings of a pack of texts become one entry with a count and the earliest
 place, so a passage that a third of all texts share costs one entry per pack, not one per text.
 
+Buckets and parts are as many as the bytes of the corpus ask for, so what one task holds at a time doesn't grow with it.
+A minimiser whose strings would outgrow a bucket is crowded: crowded() estimates loads on every SAMPLE_ONE_IN-th document
+and returns a bitmap of fixed size. A crowded minimiser's windows are dealt by more of their content: the offset of the
+minimiser in the window falls into one of PARTS slices, the units that all windows of that slice share around the
+minimiser are hashed, and (minimiser, slice, hash) takes the minimiser's place. All of that is a function of the window,
+so equal windows still meet, and which minimisers count as crowded changes the dealing only, never the answer.
+
 A bucket answers with the windows that stay: nothing is sent back for the rest, so answers are bounded by the distinct
 content of the corpus however often a passage is repeated.
 
@@ -14,6 +21,8 @@ Rows are told apart by doc_id and a hash of the text. Rows with a null doc_id ta
 
 from __future__ import annotations
 
+import hashlib
+import math
 import re
 from collections import Counter
 from collections.abc import Callable, Iterator
@@ -21,12 +30,18 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ._common import gram_hashes, mix, shuffle_partitions, sliding_min, text_key, texts_of, word_bounds, word_hashes
 
 PACK_BYTES = 12 << 20
+BUCKET_BYTES = 32 << 20
+PART_BYTES = 16 << 20
+CROWDED_BYTES = 24 << 20
+SAMPLE_ONE_IN = 256
+SLOTS = 1 << 26
+PARTS = 8
 RUN_LIMIT = 4096
 SEGMENT = 1 << 20
 _SPACES = bytes.maketrans(bytes(range(9, 14)), b" " * 5)
@@ -67,18 +82,18 @@ class Windows:
         starts = np.arange(len(text))
         return text, starts, starts + 1, _byte_grams(np.frombuffer(text, np.uint8), self.seed)
 
-    def strings(self, text: bytes) -> Iterator[tuple[np.ndarray, list[bytes], np.ndarray, np.ndarray, np.ndarray]]:
+    def strings(self, text: bytes, crowd: Crowd | None = None) -> Iterator[tuple[np.ndarray, list[bytes], np.ndarray, np.ndarray, np.ndarray]]:
         """Minimiser values, packed strings, first windows, anchors and numbers of windows of the runs of one text."""
         if len(text) < self.length * (2 if self.words else 1) - 1:
             return
         step = SEGMENT
         if self.words or len(text) <= step + self.length:
-            yield from self._strings(text, 0)
+            yield from self._strings(text, 0, crowd)
             return
         for at in range(0, len(text) - self.length + 1, step):  # long texts by segments of windows
-            yield from self._strings(text[at : at + step + self.length - 1], at)
+            yield from self._strings(text[at : at + step + self.length - 1], at, crowd)
 
-    def _strings(self, text: bytes, shift: int) -> Iterator[tuple[np.ndarray, list[bytes], np.ndarray, np.ndarray, np.ndarray]]:
+    def _strings(self, text: bytes, shift: int, crowd: Crowd | None) -> Iterator[tuple[np.ndarray, list[bytes], np.ndarray, np.ndarray, np.ndarray]]:
         text, starts, ends, grams = self.units(text)
         if len(starts) < self.length:
             return
@@ -100,7 +115,34 @@ class Windows:
         else:
             anchors = np.array(self._anchors(grams, at, values, first, last, reach, starts))
         low, high = starts[first].tolist(), ends[last + self.length - 2].tolist()
-        yield values, [text[a:b] for a, b in zip(low, high, strict=True)], first + shift, anchors, last - first
+        strings = [text[a:b] for a, b in zip(low, high, strict=True)]
+        packed = crowd.holds(values) if crowd is not None else np.zeros(0, bool)
+        if packed.any():
+            stay = np.flatnonzero(~packed)
+            yield values[stay], [strings[k] for k in stay.tolist()], first[stay] + shift, anchors[stay], (last - first)[stay]
+            rows = [row for k in np.flatnonzero(packed).tolist() for row in self._apart(text, starts, ends, grams, values[k], int(first[k]), int(last[k]))]
+            value, strings, begins, anchors, n = zip(*rows, strict=True)
+            yield np.array(value, np.uint64), list(strings), np.array(begins) + shift, np.array(anchors), np.array(n)
+        else:
+            yield values, strings, first + shift, anchors, last - first
+
+    def _apart(self, text: bytes, starts: np.ndarray, ends: np.ndarray, grams: np.ndarray, value: np.uint64, first: int, last: int) -> Iterator[tuple[int, bytes, int, int, int]]:
+        """The run of windows first .. last - 1 of a crowded minimiser, by slices of the minimiser's offset: value of
+        slice and shared units, string, first window, anchor and number of windows of each part."""
+        reach = self.length - self.seed + 1
+        width = max(1, math.ceil(reach / PARTS))
+        found = np.flatnonzero(grams[first : last + reach - 1] == value) + first
+        windows = np.arange(first, last)
+        at = found[np.searchsorted(found, windows)]  # the leftmost place of the minimiser in each window
+        slices = (at - windows) // width
+        cut = np.flatnonzero((np.diff(at, prepend=-1) != 0) | (np.diff(slices, prepend=-1) != 0))
+        for a, e in zip(cut.tolist(), [*cut[1:].tolist(), len(windows)], strict=True):
+            anchor, part = int(at[a]), int(slices[a])
+            low, high = anchor - part * width, anchor - min(part * width + width, reach) + 1 + self.length
+            mark = hashlib.blake2b(text[starts[low] : ends[high - 1]], digest_size=8, key=value.tobytes() + bytes([part]))
+            begin, end = first + a, first + e
+            once = np.searchsorted(found, end + reach - 1) - np.searchsorted(found, begin) == 1
+            yield int.from_bytes(mark.digest(), "little"), text[starts[begin] : ends[end + self.length - 2]], begin, int(starts[anchor] - starts[begin]) if once else -1, end - begin
 
     def _anchors(self, grams, at, values, first, last, reach, starts) -> list[int]:
         places: dict[int, list[int]] = {}
@@ -115,6 +157,46 @@ class Windows:
         return out
 
 
+@dataclass(frozen=True)
+class Crowd:
+    """Crowded minimisers as a bitmap over the low bits of their values."""
+
+    bits: np.ndarray
+
+    def holds(self, values: np.ndarray) -> np.ndarray:
+        slot = (values & np.uint64(SLOTS - 1)).astype(np.int64)
+        return (self.bits[slot >> 3] >> (slot & 7).astype(np.uint8)) & 1 > 0
+
+
+def _loads(windows: Windows) -> Callable:
+    def loads(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for pack in _packs(batch):
+                runs = [r for *_, text in pack for r in windows.strings(text)]
+                if runs:
+                    slot, inverse = np.unique(np.concatenate([r[0] for r in runs]) & np.uint64(SLOTS - 1), return_inverse=True)
+                    load = np.bincount(inverse, [len(s) for r in runs for s in r[1]])
+                    yield pa.RecordBatch.from_arrays([pa.array(slot.astype(np.int64)), pa.array(load.astype(np.int64))], ["slot", "load"])
+
+    return loads
+
+
+def crowded(spark: SparkSession, rows: DataFrame, windows: Windows) -> Crowd | None:
+    """Minimisers whose strings add up to more than CROWDED_BYTES, by a sample of rows(doc_id, key, text); None if there
+    are none. The bitmap has SLOTS bits (8 MB), whatever the corpus."""
+    sample = rows.where(F.pmod(F.xxhash64("doc_id", "key"), F.lit(SAMPLE_ONE_IN)) == 0)
+    loads = sample.mapInArrow(_loads(windows), "slot long, load long").groupBy("slot").agg(F.sum("load").alias("load"))
+    heavy = loads.where(F.col("load") * SAMPLE_ONE_IN > CROWDED_BYTES).select((F.col("slot") + 1).alias("slot"))  # bitmap functions count from 1
+    pieces = heavy.groupBy(F.bitmap_bucket_number("slot").alias("k")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("slot")).alias("bits")).collect()
+    if not pieces:
+        return None
+    bits = np.zeros(SLOTS // 8, np.uint8)
+    for r in pieces:
+        piece = np.frombuffer(r["bits"], np.uint8)
+        bits[(r["k"] - 1) * len(piece) : r["k"] * len(piece)] = piece
+    return Crowd(bits)
+
+
 def _byte_grams(data: np.ndarray, seed: int) -> np.ndarray:
     """Hash of each run of seed bytes, seed a multiple of 8."""
     n = len(data) - seed + 1
@@ -176,11 +258,14 @@ def _part_of(doc: np.ndarray, key: np.ndarray, parts: int) -> np.ndarray:
     return (mix(doc.astype(np.int64).view(np.uint64) ^ mix(key.astype(np.int64).view(np.uint64))) % np.uint64(parts)).astype(np.int32)
 
 
-def _send(windows: Windows, buckets: int) -> Callable:
+def _send(windows: Windows, buckets: int, shared) -> Callable:
+    """shared: a broadcast Crowd, or None."""
+
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        crowd = shared.value if shared is not None else None
         for batch in batches:
             for pack in _packs(batch):
-                found = [(k, *runs) for k, (_, _, text) in enumerate(pack) for runs in windows.strings(text)]
+                found = [(k, *runs) for k, (_, _, text) in enumerate(pack) for runs in windows.strings(text, crowd) if len(runs[0])]
                 if not found:
                     continue
                 row = np.repeat([f[0] for f in found], [len(f[1]) for f in found])
@@ -318,10 +403,13 @@ def without_repeats(docs: DataFrame, windows: Windows, judge: Judge, most: int,
     """strike(text, removed) for each row of docs(doc_id, text), after doc_id; removed(number of units) flags the units
     that some window covers which doesn't stay."""
     spark = docs.sparkSession
-    parts = shuffle_partitions(spark)
-    buckets = 2 * parts
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_key(F.col("text")).alias("key"), F.coalesce("text", F.lit("")).alias("text")).where(F.col("doc_id").isNotNull())
-    sent = rows.mapInArrow(_send(windows, buckets), "bucket int, size long, blob binary")
+    size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    parts = max(shuffle_partitions(spark), math.ceil(size / PART_BYTES))
+    buckets = max(shuffle_partitions(spark), math.ceil(4 * size / BUCKET_BYTES))  # packed strings take up to four times the text
+    crowd = crowded(spark, rows, windows)
+    shared = spark.sparkContext.broadcast(crowd) if crowd is not None else None
+    sent = rows.mapInArrow(_send(windows, buckets, shared), "bucket int, size long, blob binary")
     said = sent.groupBy("bucket").applyInArrow(_settle(judge, most, parts), "part int, size long, blob binary")
     texts = rows.mapInArrow(_pack_texts(parts), "part int, size long, blob binary")
     return texts.groupBy("part").cogroup(said.groupBy("part")).applyInArrow(_apply(strike, schema, windows.length), ddl)

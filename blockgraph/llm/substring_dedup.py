@@ -7,11 +7,14 @@ bucket (see _windows), where sorting the windows of a minimiser brings equal one
 
 Defined results: a null text has no words; texts shorter than a window lose nothing; a row that repeats another's
 doc_id and text is the same document twice and gets the same answer; rows with one doc_id and different texts are
-documents of their own, ordered by a hash of the text; rows with a null doc_id are left out; other columns are ignored.
+documents of their own, ordered by a hash of the text; rows with a null doc_id are left out; other columns are ignored;
+an empty table gives an empty result. Texts of any length are read whole: one text, its hashes and its answer are in a
+task's memory at a time, never a prefix.
 """
 
 from __future__ import annotations
 
+from bisect import bisect_left
 from collections.abc import Callable
 from itertools import groupby
 
@@ -25,19 +28,36 @@ from ._windows import SPANS, SPANS_DDL, Entry, Windows, runs_of, without_repeats
 SEED_WORDS = 4
 
 
+def _breaks(text: bytes) -> list[int]:
+    return [-1, *(i for i, c in enumerate(text) if c == 0x20), len(text)]
+
+
+def _keep_earliest(windows: list[tuple], stays: list[np.ndarray]) -> None:
+    """Sorting brings equal windows together, the earliest first; it stays. windows: (words, place, entry, number)."""
+    windows.sort()
+    for _, same in groupby(windows, key=lambda w: w[0]):
+        *_, k, i = next(same)
+        stays[k][i] = True
+
+
 def _judge(length: int):
     def judge(groups: list[list[Entry]]) -> list[list[np.ndarray]]:
         answers = []
         for group in groups:
-            windows, stays = [], [np.zeros(e.n, bool) for e in group]
-            for k, e in enumerate(group):
-                breaks = [-1, *(i for i, c in enumerate(e.text) if c == 0x20), len(e.text)]
+            stays = [np.zeros(e.n, bool) for e in group]
+            breaks = [_breaks(e.text) for e in group]
+
+            def window(k: int, i: int) -> tuple:
+                e, at = group[k], breaks[k]
                 doc, key, first = e.place
-                windows += [(e.text[breaks[i] + 1 : breaks[i + length]], doc, key, first + i, k, i) for i in range(e.n)]
-            windows.sort()
-            for _, same in groupby(windows, key=lambda w: w[0]):
-                *_, k, i = next(same)
-                stays[k][i] = True
+                return e.text[at[i] + 1 : at[i + length]], doc, key, first + i, k, i
+
+            if any(e.anchor < 0 for e in group):
+                _keep_earliest([window(k, i) for k, e in enumerate(group) for i in range(e.n)], stays)
+            else:  # equal windows have the minimiser at the same offset: one offset at a time
+                anchors = [bisect_left(at, e.anchor) - 1 for at, e in zip(breaks, group, strict=True)]
+                for offset in range(max(anchors) + 1):
+                    _keep_earliest([window(k, a - offset) for k, a in enumerate(anchors) if 0 <= a - offset < group[k].n], stays)
             answers.append(stays)
         return answers
 

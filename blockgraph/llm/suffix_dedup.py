@@ -9,7 +9,8 @@ window starts.
 
 Defined results: texts are UTF-8 bytes, a null text is empty; matches never cross documents; overlaps count; windows
 are judged on the input. Repeated rows are repeats of each other. Rows with a null doc_id are left out; other columns
-are ignored. Kept bytes are joined as they are, so they may not be valid UTF-8.
+are ignored; an empty table gives an empty result. Kept bytes are joined as they are, so they may not be valid UTF-8.
+Very long texts are read whole, by segments of SEGMENT windows that overlap by a window.
 """
 
 from __future__ import annotations
@@ -26,6 +27,7 @@ from ._windows import SPANS, SPANS_DDL, Entry, Windows, runs_of, without_repeats
 SEED_BYTES = 16
 SHALLOW = 48
 STEP = 8
+CELLS = 1 << 17
 
 
 def common_prefix(a: bytes, b: bytes) -> int:
@@ -108,11 +110,15 @@ def _blind(group: list[int], suffixes: list[bytes]) -> list[int]:
     return order
 
 
-def _classes(order: list[int], texts: list[bytes], depths: np.ndarray) -> np.ndarray:
+def _neighbours(order: list[int], texts: list[bytes]) -> np.ndarray:
+    """Common prefix of each text with the one before it in the order."""
+    return np.array([common_prefix(texts[a], texts[b]) for a, b in zip(order, order[1:])], np.int32)
+
+
+def _classes(order: np.ndarray, near: np.ndarray, depths: np.ndarray) -> np.ndarray:
     """depths x texts: texts with one number in a row agree in their first `depth` bytes and have that many."""
-    near = np.array([common_prefix(texts[a], texts[b]) for a, b in zip(order, order[1:])], np.int64)
-    numbers = np.zeros((len(depths), len(texts)), np.int64)
-    numbers[:, order[1:]] = np.cumsum(near[None, :] < depths[:, None], axis=1)
+    numbers = np.zeros((len(depths), len(order)), np.int64)
+    numbers[:, order[1:]] = np.cumsum(near[None, :] < depths[:, None], axis=1, dtype=np.int64)
     return numbers
 
 
@@ -131,22 +137,28 @@ def _anchored(group: list[Entry], order: list[int], length: int, seed: int) -> l
                         flags[max(low, 0) : high + 1] = False
         return lone
     lefts = [e.text[: e.anchor][::-1] for e in group]
-    offsets = np.arange(length - seed + 1)
-    right = _classes(order, rights, length - offsets)
-    left = _classes(deep_shallow(lefts), lefts, offsets)
-    both = left * len(group) + right
-    ranked = np.argsort(both, axis=1, kind="stable")
-    both = np.take_along_axis(both, ranked, axis=1)
-    same = both[:, 1:] == both[:, :-1]
-    twice = np.zeros(both.shape, bool)
-    twice[:, 1:] |= same
-    twice[:, :-1] |= same
-    shared = np.zeros(both.shape, bool)
-    np.put_along_axis(shared, ranked, twice, axis=1)
-    for k, e in enumerate(group):
-        at = e.anchor - np.flatnonzero(shared[:, k])
-        lone[k][at[(at >= 0) & (at < e.n)]] = False
-    return lone
+    left_order = deep_shallow(lefts)
+    near_right, near_left = _neighbours(order, rights), _neighbours(left_order, lefts)
+    del rights, lefts
+    right_order, left_order = np.array(order), np.array(left_order)
+    anchors, sizes = np.array([e.anchor for e in group]), np.array([e.n for e in group])
+    begins, flat = np.cumsum(sizes) - sizes, np.concatenate(lone)
+    step = max(1, CELLS // len(group))
+    for low in range(0, length - seed + 1, step):  # some offsets at a time: memory follows the group, not 185 times it
+        offsets = np.arange(low, min(low + step, length - seed + 1))
+        both = _classes(left_order, near_left, offsets) * len(group) + _classes(right_order, near_right, length - offsets)
+        ranked = np.argsort(both, axis=1)
+        both = np.take_along_axis(both, ranked, axis=1)
+        same = both[:, 1:] == both[:, :-1]
+        twice = np.zeros(both.shape, bool)
+        twice[:, 1:] |= same
+        twice[:, :-1] |= same
+        row, at = np.nonzero(twice)
+        entry = ranked[row, at]
+        window = anchors[entry] - offsets[row]
+        valid = (window >= 0) & (window < sizes[entry])
+        flat[begins[entry[valid]] + window[valid]] = False
+    return np.split(flat, begins[1:])
 
 
 def _all_starts(group: list[Entry], length: int) -> list[np.ndarray]:

@@ -5,7 +5,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from blockgraph.llm import substring_dedup, suffix_dedup
+from blockgraph.llm import _windows, substring_dedup, suffix_dedup
 from blockgraph.llm.suffix_dedup import deep_shallow
 
 
@@ -90,6 +90,48 @@ def test_given_documents_match_brute_force(spark, sf):
     assert {r["doc_id"]: (r["n_bytes"], r["n_removed"], r["n_spans"], r["kept_sha256"]) for r in got} == brute_bytes(rows, 200)
 
 
+@pytest.mark.parametrize("seed", [1, 2])
+def test_crowded_minimisers_change_nothing(spark, monkeypatch, seed):
+    """Every second minimiser counts as crowded, and buckets and parts are many and small."""
+    bits = np.random.default_rng(seed).integers(0, 256, _windows.SLOTS // 8, np.uint8)
+    monkeypatch.setattr(_windows, "crowded", lambda *_: _windows.Crowd(bits))
+    monkeypatch.setattr(_windows, "BUCKET_BYTES", 1 << 13)
+    monkeypatch.setattr(_windows, "PART_BYTES", 1 << 12)
+    rows = planted(seed)
+    got = substring_dedup.digest(substring_dedup.repeated_words(docs_frame(spark, rows))).collect()
+    assert {r["doc_id"]: (r["n_words"], r["n_removed"], r["kept_sha256"]) for r in got} == brute_words(rows, 20)
+    got = suffix_dedup.digest(suffix_dedup.repeated_bytes(docs_frame(spark, rows))).collect()
+    assert {r["doc_id"]: (r["n_bytes"], r["n_removed"], r["n_spans"], r["kept_sha256"]) for r in got} == brute_bytes(rows, 200)
+
+
+def test_crowded_minimisers_are_found(spark, monkeypatch):
+    monkeypatch.setattr(_windows, "SAMPLE_ONE_IN", 1)
+    monkeypatch.setattr(_windows, "CROWDED_BYTES", 4000)
+    windows = _windows.Windows(20, 4, words=True)
+    texts = [" ".join([*(f"a{d}x{i}" for i in range(30)), *(f"s{i}" for i in range(20)), *(f"b{d}x{i}" for i in range(30))]) for d in range(40)]
+    rows = spark.createDataFrame([(d, 0, t) for d, t in enumerate(texts)], "doc_id long, key long, text string")
+    crowd = _windows.crowded(spark, rows, windows)
+    load = {}
+    for t in texts:
+        for values, strings, *_ in windows.strings(t.encode()):
+            for v, s in zip(values.tolist(), strings, strict=True):
+                load[v] = load.get(v, 0) + len(s)
+    assert {v for v, n in load.items() if n > 4000} == {v for v in load if crowd.holds(np.array([v], np.uint64))[0]} != set()
+    monkeypatch.setattr(_windows, "CROWDED_BYTES", 1 << 30)
+    assert _windows.crowded(spark, rows, windows) is None
+
+
+def test_long_texts_match_brute_force(spark):
+    """Texts far above the others, over several segments, with repeats inside and across."""
+    rnd = random.Random(3)
+    base = "".join(rnd.choice("abcdefgh ") for _ in range(30_000))
+    rows = [(1, base + "tail one"), (2, base[500:20_000] + " " + base[:900]), (3, "z" * 5000)]
+    got = suffix_dedup.digest(suffix_dedup.repeated_bytes(docs_frame(spark, rows))).collect()
+    assert {r["doc_id"]: (r["n_bytes"], r["n_removed"], r["n_spans"], r["kept_sha256"]) for r in got} == brute_bytes(rows, 200)
+    got = substring_dedup.digest(substring_dedup.repeated_words(docs_frame(spark, rows))).collect()
+    assert {r["doc_id"]: (r["n_words"], r["n_removed"], r["kept_sha256"]) for r in got} == brute_words(rows, 20)
+
+
 def test_repeated_rows_and_empty_table(spark):
     text = " ".join(f"w{i}" for i in range(60))
     rows = [(1, text), (1, text), (2, text)]
