@@ -410,8 +410,10 @@ def without_repeats(docs: DataFrame, windows: Windows, judge: Judge, most: int,
     crowd = crowded(spark, rows, windows)
     shared = spark.sparkContext.broadcast(crowd) if crowd is not None else None
     sent = rows.mapInArrow(_send(windows, buckets, shared), "bucket int, size long, blob binary")
-    said = sent.groupBy("bucket").applyInArrow(_settle(judge, most, parts), "part int, size long, blob binary")
+    said = sent.repartition(max(shuffle_partitions(spark), buckets // 2), "bucket").groupBy("bucket").applyInArrow(_settle(judge, most, parts), "part int, size long, blob binary")
     texts = rows.mapInArrow(_pack_texts(parts), "part int, size long, blob binary")
+    tasks = max(shuffle_partitions(spark), parts // 2)
+    texts, said = texts.repartition(tasks, "part"), said.repartition(tasks, "part")
     return texts.groupBy("part").cogroup(said.groupBy("part")).applyInArrow(_apply(strike, schema, windows.length), ddl)
 
 
