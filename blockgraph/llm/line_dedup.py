@@ -1,12 +1,17 @@
 """Line dedup by winnowing over line hashes, in DataFrame functions only.
 
-A text is split at line feeds; blank lines (nothing but spaces) are passed over and stay. Every `min_run` consecutive
-lines form a window whose smallest line hash is its fingerprint, so any repeated run of at least `min_run` lines is
-certain to show the same fingerprint at the same offset in both places. Positions are joined by fingerprint together
-with the hash of the lines that extend it both ways inside the window; the earliest position of each (smaller doc_id,
-then earlier line) is the original. A window that isn't the earliest is a repeat; overlapping and neighbouring repeats
-fuse into runs, which are deleted. Only the earliest positions travel back to the documents, so a line that a third of
-all texts share costs one row per map task before the shuffle and one row after it.
+A text is split at line feeds; blank lines (nothing but spaces) are passed over and stay.
+
+1. Winnowing. Of every `min_run` consecutive lines the one with the smallest hash (the rightmost of equals) is chosen; a
+   line that several windows choose is one position. Two equal runs of `min_run` lines choose the same line, so every
+   repeated run is certain to show a fingerprint in both places.
+2. Positions meet by fingerprint. Each is extended both ways, to as many lines on each side as the windows that chose
+   it reach: (fingerprint, lines to the left, hash of the lines on both sides). Of the positions that agree in one such
+   extension the earliest (smaller doc_id, then earlier line) is the original. A fingerprint with many extensions
+   is parted by them before the shuffle's end, so a line that a third of all texts share costs one row per map task and
+   extension, and no pair of positions is ever listed.
+3. Runs. A chosen position that is not the original of an extension is a repeat of the lines it was extended over;
+   overlapping and neighbouring ones fuse into runs of any length, which are deleted. Only originals travel back.
 
 With `long_words` a line of at least that many words is also a window of its own, so a passage held in one line, or a
 document of one line, is found wherever it stands; shorter lines count only inside runs. Without it (the default, and
@@ -14,8 +19,9 @@ what ORACLE says) only runs of `min_run` lines are found.
 
 Defined results: windows are judged on the input; a null text has no lines and stays null; rows with a null doc_id
 keep their text; rows that repeat another's doc_id and text get the same answer; rows with one doc_id and different
-texts are documents of their own, ordered by a hash of the text. Two windows of different lines count as equal only
-if two 64-bit hashes collide at once.
+texts are documents of their own, ordered by a hash of the text; an empty table gives an empty result; columns of any
+other name stay as they are. Very long texts are judged whole, as arrays of lines in one row. Two windows of different
+lines count as equal only if two 64-bit hashes collide at once.
 """
 
 from __future__ import annotations
@@ -54,20 +60,32 @@ def _long(lines: Column, full: Column, long_words: int) -> Column:
     return F.filter(_numbers(F.size(full)), lambda i: words(i) >= long_words)
 
 
-def _windows(text: Column, min_run: int, long_words: int | None) -> Column:
-    """Number, fingerprint and hash of each window of a text. The long line k on its own has the number -1 - k; its
-    two hashes have different seeds."""
+def _positions(hashes: Column, min_run: int) -> Column:
+    """Chosen lines: at, mark (the fingerprint) and sides, what each window that chose the line adds around it: how many
+    lines to the left (offset) and a hash of the lines on both sides."""
+    starts = _numbers(F.size(hashes) - (min_run - 1))
 
-    def of(hashes: Column) -> Column:
-        at = _numbers(F.size(hashes) - (min_run - 1))
-        return F.transform(at, lambda i: F.struct(i.alias("at"), F.array_min(F.slice(hashes, i + 1, min_run)).alias("mark"), F.xxhash64(F.slice(hashes, i + 1, min_run)).alias("around")))
+    def pick(i: Column) -> Column:
+        window = F.slice(hashes, i + 1, min_run)
+        return (i + min_run - F.array_position(F.reverse(window), F.array_min(window))).cast("int")
+
+    def position(picks: Column, p: Column) -> Column:
+        chose = F.filter(F.sequence(F.greatest(p - (min_run - 1), F.lit(0)), F.least(p, F.size(picks) - 1)), lambda i: F.get(picks, i) == p)
+        around = lambda i: F.xxhash64(F.slice(hashes, i + 1, p - i), F.slice(hashes, p + 2, i + (min_run - 1) - p))
+        return F.struct(p.alias("at"), F.get(hashes, p).alias("mark"), F.transform(chose, lambda i: F.struct((p - i).alias("offset"), around(i).alias("around"))).alias("sides"))
+
+    return let(F.transform(starts, pick), lambda picks: F.transform(F.array_distinct(picks), lambda p: position(picks, p)))
+
+
+def _fingerprints(text: Column, min_run: int, long_words: int | None) -> Column:
+    """Chosen positions of a text. A long line on its own has the offset -1 and extends over itself only."""
 
     def all_of(lines: Column, full: Column) -> Column:
-        runs = let(F.transform(full, lambda i: F.xxhash64(F.get(lines, i))), of)
+        runs = let(F.transform(full, lambda i: F.xxhash64(F.get(lines, i))), lambda hashes: _positions(hashes, min_run))
         if long_words is None:
             return runs
         line = lambda i: F.get(lines, F.get(full, i))
-        alone = lambda i: F.struct((-1 - i).alias("at"), F.xxhash64(line(i)).alias("mark"), F.xxhash64(F.lit(1), line(i)).alias("around"))
+        alone = lambda i: F.struct(i.alias("at"), F.xxhash64(line(i)).alias("mark"), F.array(F.struct(F.lit(-1).alias("offset"), F.xxhash64(F.lit(1), line(i)).alias("around"))).alias("sides"))
         return F.concat(runs, F.transform(_long(lines, full, long_words), alone))
 
     return _with_lines(text, all_of)
@@ -94,40 +112,43 @@ def _judged(text: Column, first: Column, min_run: int, long_words: int | None) -
     return _with_lines(text, of)
 
 
-def first_windows(docs: DataFrame, min_run: int, long_words: int | None = None) -> DataFrame:
-    """__id, __key and the window numbers __first of each document that are the earliest of their kind."""
-    rows = docs.select(F.col("doc_id").cast("long").alias("__id"), text_key(F.col("text")).alias("__key"), "text").where(F.col("doc_id").isNotNull() & (F.length("text") > 0))
-    placed = rows.select("__id", "__key", F.explode(_windows(F.col("text"), min_run, long_words)).alias("w")).select("__id", "__key", "w.*")
-    line = [] if long_words is None else [F.when(F.col("at") < 0, -1 - F.col("at")).otherwise(F.col("at")).alias("line")]
-    earliest = placed.groupBy("mark", "around").agg(F.min(F.struct("__id", "__key", *line, "at")).alias("p"))
-    return earliest.select("p.*").groupBy("__id", "__key").agg(F.collect_list("at").alias("__first"))
+def originals(docs: DataFrame, min_run: int, long_words: int | None = None) -> DataFrame:
+    """id, key and first: the windows of each document whose chosen position is the earliest of its extension. A window
+    is named by its first line; a long line k on its own by -1 - k."""
+    rows = docs.select(F.col("doc_id").cast("long").alias("id"), text_key(F.col("text")).alias("key"), "text").where(F.col("doc_id").isNotNull() & (F.length("text") > 0))
+    positions = rows.select("id", "key", F.explode(_fingerprints(F.col("text"), min_run, long_words)).alias("p")).select("id", "key", "p.*")
+    extended = positions.select("id", "key", "at", "mark", F.inline("sides"))
+    place = F.struct("id", "key", "at")
+    earliest = extended.groupBy("mark", "offset", "around").agg(F.min(place).alias("p"))
+    window = F.when(F.col("offset") < 0, -1 - F.col("p.at")).otherwise(F.col("p.at") - F.col("offset"))
+    return earliest.select("p.id", "p.key", window.alias("window")).groupBy("id", "key").agg(F.collect_list("window").alias("first"))
 
 
 def removed_runs(docs: DataFrame, min_run: int = MIN_RUN, long_words: int | None = None) -> DataFrame:
-    """All columns of docs and __found(n_lines, removed, kept_text)."""
-    rows = docs.withColumns({"__id": F.col("doc_id").cast("long"), "__key": text_key(F.col("text"))})
-    joined = rows.join(first_windows(docs, min_run, long_words), ["__id", "__key"], "left")
-    first = F.when(F.col("__id").isNotNull(), F.coalesce("__first", F.array().cast("array<int>")))
-    return joined.withColumn("__found", _judged(F.col("text"), first, min_run, long_words)).drop("__id", "__key", "__first")
+    """row (a struct of all columns of docs) and found(n_lines, removed, kept_text)."""
+    rows = docs.select(F.struct(*docs.columns).alias("row"), F.col("doc_id").cast("long").alias("id"), text_key(F.col("text")).alias("key"))
+    joined = rows.join(originals(docs, min_run, long_words), ["id", "key"], "left")
+    first = F.when(F.col("id").isNotNull(), F.coalesce("first", F.array().cast("array<int>")))
+    return joined.select("row", _judged(F.col("row.text"), first, min_run, long_words).alias("found"))
 
 
 def dedup_lines(docs: DataFrame, min_run: int = MIN_RUN, long_words: int | None = None) -> DataFrame:
     """doc_id, n_lines, removed (line numbers from 0, ascending) and kept_text of each row with a doc_id."""
     found = removed_runs(docs.select("doc_id", "text").where(F.col("doc_id").isNotNull()), min_run, long_words)
-    lines = F.when(F.length("text") > 0, F.col("__found.n_lines")).otherwise(0)
-    return found.select(F.col("doc_id").cast("long").alias("doc_id"), lines.alias("n_lines"), "__found.removed", F.when(F.col("text").isNotNull(), F.col("__found.kept_text")).alias("kept_text"))
+    lines = F.when(F.length("row.text") > 0, F.col("found.n_lines")).otherwise(0)
+    return found.select(F.col("row.doc_id").cast("long").alias("doc_id"), lines.alias("n_lines"), "found.removed", F.when(F.col("row.text").isNotNull(), F.col("found.kept_text")).alias("kept_text"))
 
 
 def without_repeats(docs: DataFrame, min_run: int = MIN_RUN, long_words: int | None = None) -> DataFrame:
     """docs with its columns, repeated runs taken out of text (n_chars follows); a text of which nothing but blank
     lines is left goes with its row."""
     found = removed_runs(docs, min_run, long_words)
-    touched = F.size("__found.removed") > 0
-    found = found.where(~touched | (F.trim(F.regexp_replace("__found.kept_text", "\n", "")) != "")).withColumn("text", F.when(touched, F.col("__found.kept_text")).otherwise(F.col("text")))
+    touched = F.size("found.removed") > 0
+    stays = found.where(~touched | (F.trim(F.regexp_replace("found.kept_text", "\n", "")) != ""))
+    new = {"text": F.when(touched, F.col("found.kept_text")).otherwise(F.col("row.text"))}
     if "n_chars" in docs.columns:
-        kind = docs.schema["n_chars"].dataType
-        found = found.withColumn("n_chars", F.when(touched, F.length("text")).otherwise(F.col("n_chars")).cast(kind))
-    return found.select(docs.columns)
+        new["n_chars"] = F.when(touched, F.length("found.kept_text")).otherwise(F.col("row.n_chars")).cast(docs.schema["n_chars"].dataType)
+    return stays.select(*[new[c].alias(c) if c in new else F.col("row")[c].alias(c) for c in docs.columns])
 
 
 def digest(found: DataFrame) -> DataFrame:
