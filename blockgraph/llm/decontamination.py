@@ -11,18 +11,19 @@ replacement). Words are runs of letters and digits (ASCII punctuation and white
    window stays a candidate for its item if any of the keys agrees.
 3. Verification. The exact edit distance between the item and the best passage around the window decides.
 
-Items travel to the tasks in blocks of bounded bytes, one scan of the documents for each block, so neither a task nor the
-driver holds more than a block. Documents need no shuffle: each is judged where it is read.
+Items travel to the tasks in blocks of bounded bytes. Blocks go one after the other, with a scan of the documents and a
+written result for each, so neither a task nor the driver holds more than a block. Documents need no shuffle: each is judged where it is read.
 
 Defined results: null texts and items hold nothing; items without words never match; rows with a null doc_id or item_id
 are left out; repeated rows are judged each and reported once; of several passages the closest, then earliest is
-reported; other columns are ignored.
+reported (among equals the earliest end, then the latest start); other columns are ignored; an empty table gives an
+empty result. Very long texts are searched whole, their windows 2,048 at a time.
 """
 
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
@@ -30,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ._common import gram_hashes, mix, texts_of, word_bounds, word_hashes
+from ._common import forget, gram_hashes, materialise, mix, texts_of, word_bounds, word_hashes
 
 SHARE = 0.2
 SEED = 4
@@ -156,22 +157,19 @@ def closest_passage(item: np.ndarray, text: np.ndarray, edits: int) -> tuple[int
             if np.array_equal(text[a : a + len(item)], item):
                 return 0, a, a + len(item)
         return 1, 0, 0
-    words, row, begin = text.tolist(), [0] * (len(text) + 1), list(range(len(text) + 1))
-    for i, symbol in enumerate(item.tolist(), 1):
-        new, origin = [i], [0]
-        for j, w in enumerate(words, 1):
-            cost, source = row[j - 1] + (w != symbol), begin[j - 1]
-            if row[j] + 1 < cost:
-                cost, source = row[j] + 1, begin[j]
-            if new[j - 1] + 1 < cost:
-                cost, source = new[j - 1] + 1, origin[j - 1]
-            new.append(cost)
-            origin.append(source)
-        row, begin = new, origin
-        if min(row) > edits:
+    # one number for cost and start: cost * unit - start, so the least is the cheapest, then the one that starts last
+    unit, places = len(text) + 1, np.arange(len(text) + 1)
+    row, steps = -places, places * unit
+    for i, symbol in enumerate(item, 1):
+        new = np.empty_like(row)
+        new[0] = i * unit
+        np.minimum(row[:-1] + np.where(text == symbol, 0, unit), row[1:] + unit, out=new[1:])
+        row = np.minimum.accumulate(new - steps) + steps
+        if -(-row.min() // unit) > edits:
             return edits + 1, 0, 0
-    end = min(range(len(row)), key=row.__getitem__)
-    return row[end], begin[end], end
+    cost = -(-row // unit)
+    end = int(cost.argmin())
+    return int(cost[end]), int(cost[end] * unit - row[end]), end
 
 
 def _search(items: Items):
@@ -202,32 +200,43 @@ def _holds(items: Items):
     return holds
 
 
-def item_blocks(spark: SparkSession, benchmark: DataFrame) -> Iterator[tuple[list[int], list[bytes]]]:
-    """Items in blocks of at most about BLOCK_BYTES, by item_id, one collected at a time."""
+def item_blocks(benchmark: DataFrame, block_bytes: int = BLOCK_BYTES) -> tuple[int, Callable[[int], tuple[list[int], list[bytes]]]]:
+    """How many blocks of about block_bytes the items make, and a function that collects the items of one of them."""
     rows = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.coalesce("text", F.lit("")).alias("text")).where(F.col("item_id").isNotNull()).distinct()
     total = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    blocks = max(1, math.ceil(2 * total / BLOCK_BYTES)) if total > BLOCK_BYTES else 1
-    for k in range(blocks):
+    blocks = max(1, math.ceil(2 * total / block_bytes)) if total > block_bytes else 1
+
+    def block(k: int) -> tuple[list[int], list[bytes]]:
         own = rows.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == k).orderBy("item_id", "text").collect()
-        yield [r["item_id"] for r in own], [r["text"].encode() for r in own]
+        return [r["item_id"] for r in own], [r["text"].encode() for r in own]
+
+    return blocks, block
 
 
-def contaminated(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, share: float = SHARE) -> DataFrame:
+def contaminated(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, share: float = SHARE, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """doc_id, item_id, start and n_words (of the passage, in words) and distance for each item that a document holds."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where(F.col("doc_id").isNotNull() & F.col("text").isNotNull())
+    blocks, block = item_blocks(benchmark, block_bytes)
     found = None
-    for ids, texts in item_blocks(spark, benchmark):
-        part = rows.mapInArrow(_search(Items(ids, texts, share)), FOUND)
+    for k in range(blocks):
+        part = rows.mapInArrow(_search(Items(*block(k), share)), FOUND)
+        if blocks > 1:
+            part = materialise(part, "contaminated")
         found = part if found is None else found.unionAll(part)
     closest = F.min(F.struct("distance", "start", "n_words")).alias("c")
     return found.groupBy("doc_id", "item_id").agg(closest).select("doc_id", "item_id", "c.start", "c.n_words", "c.distance")
 
 
-def clean(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, share: float = SHARE) -> DataFrame:
-    """The rows of docs that hold no item, unchanged: flagged beside the row, without a join."""
+def clean(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, share: float = SHARE, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """The rows of docs that hold no item, unchanged: flagged beside the row, without a join. Rows that hold an item of
+    one block aren't searched again for the next."""
+    blocks, block = item_blocks(benchmark, block_bytes)
     out = docs
-    for ids, texts in item_blocks(spark, benchmark):
-        items = Items(ids, texts, share)
-
-        out = out.where(~_holds(items)("text"))
+    for k in range(blocks):
+        left = out.where(~_holds(Items(*block(k), share))("text"))
+        if k < blocks - 1:
+            left = materialise(left, "uncontaminated")
+            if k:
+                forget(out)
+        out = left
     return out
