@@ -1,14 +1,16 @@
 """Language identification: multinomial naive Bayes over hashed character n-grams.
 
 Learning takes about max_docs_per_lang labelled documents of each language (all, where there are fewer), chosen by a
-hash of doc_id and read whole, of at most 500 languages, the commonest ones; these bounds are the one place where this
-operator samples. The table of log probabilities has buckets x languages entries, whatever the size of the corpus, and
-is broadcast. Prediction runs over every whole text: n-grams of a batch become bucket numbers, their rows of the table
+hash of doc_id and read whole; that bound is the one place where this operator samples. Every language that occurs is
+learned. The table of log probabilities has buckets x languages entries, whatever the size of the corpus, and is
+broadcast; from TABLE_CELLS entries on more languages share fewer buckets (256 at least). Prediction runs over every whole text: n-grams of a batch become bucket numbers, their rows of the table
 are gathered and summed per document in numpy.
 
 Defined results: lang_pred is "und" and score 0.0 for a text that is null or has no letter, and where nothing could be
 learned; score is the posterior probability of the language named. Ties go to the alphabetically smaller language.
-Repeated rows are predicted each; languages that are null or empty are not learned.
+Repeated rows are predicted each; rows with a null language are not learned from, an empty string is a language like any
+other. Very long texts are read whole, by pieces. An empty table gives an empty result; columns of any other name stay
+as they are and are not looked at.
 """
 
 from __future__ import annotations
@@ -27,7 +29,7 @@ ORDERS = (1, 2, 3)
 LAP = max(ORDERS) - 1
 BUCKETS = 1 << 15
 CHUNK_CHARS = 1 << 18
-MAX_LANGUAGES = 500
+TABLE_CELLS = 1 << 26
 
 
 def _bucket_ids(codes: np.ndarray, order: int, buckets: int) -> np.ndarray:
@@ -87,18 +89,24 @@ def has_letter(text: Column) -> Column:
 
 
 def train(docs: DataFrame, buckets: int = BUCKETS, max_docs_per_lang: int = 4000) -> tuple[list[str], np.ndarray]:
-    """Languages in alphabetical order and the table of log probabilities, buckets x languages, float32.
+    """Languages in alphabetical order and the table of log probabilities, buckets x languages, float32; buckets is a
+    power of two.
 
     docs(doc_id, text, lang) holds the rows to learn from. What reaches the driver is one count per language and the
     non-empty cells of the table, both bounded by languages x buckets.
     """
-    labelled = docs.select(F.col("doc_id").cast("string").alias("k"), "text", "lang").where((F.col("lang") != "") & has_letter(F.col("text")))
-    sizes = {r["lang"]: r["n"] for r in docs.where(F.col("lang") != "").groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(MAX_LANGUAGES).collect()}
+    labelled = docs.select(F.col("doc_id").cast("string").alias("k"), "text", "lang").where(F.col("lang").isNotNull() & has_letter(F.col("text")))
+    sizes = {r["lang"]: r["n"] for r in docs.where(F.col("lang").isNotNull()).groupBy("lang").agg(F.count("*").alias("n")).collect()}
     langs = sorted(sizes)
     if not langs:
         return [], np.zeros((buckets, 0), np.float32)
-    share = F.create_map(*[F.lit(x) for lang in langs for x in (lang, min(1.0, max_docs_per_lang / sizes[lang]))])
-    drawn = F.pmod(F.xxhash64("k"), F.lit(1 << 30)) < F.try_element_at(share, F.col("lang")) * (1 << 30)
+    while buckets > 256 and buckets * len(langs) > TABLE_CELLS:
+        buckets //= 2
+    sampled = [lang for lang in langs if sizes[lang] > max_docs_per_lang]  # the others are taken whole
+    drawn = F.lit(True)
+    if sampled:
+        share = F.create_map(*[F.lit(x) for lang in sampled for x in (lang, max_docs_per_lang / sizes[lang])])
+        drawn = F.pmod(F.xxhash64("k"), F.lit(1 << 30)) < F.coalesce(F.try_element_at(share, F.col("lang")), F.lit(1.0)) * (1 << 30)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         number = {lang: k for k, lang in enumerate(langs)}
@@ -134,7 +142,7 @@ def _log_odds(texts: list[str], table: np.ndarray, buckets: int) -> np.ndarray:
 
 
 def with_language(spark: SparkSession, docs: DataFrame, model: tuple[list[str], np.ndarray]) -> DataFrame:
-    """docs with a struct __said(lang, score) beside each row; only the text travels to Python."""
+    """row (a struct of all columns of docs) and said(lang, score); only the text travels to Python."""
     langs, weights = model
     shared, buckets = spark.sparkContext.broadcast(weights), len(weights)
 
@@ -147,7 +155,8 @@ def with_language(spark: SparkSession, docs: DataFrame, model: tuple[list[str],
         return pd.DataFrame({"lang": [langs[k] for k in sums.argmax(axis=1)], "score": 1.0 / odds})
 
     none = F.struct(F.lit("und").alias("lang"), F.lit(0.0).alias("score"))
-    return docs.withColumn("__said", F.when(has_letter(F.col("text")), named("text")).otherwise(none))
+    rows = docs.select(F.struct(*docs.columns).alias("row"))
+    return rows.withColumn("said", F.when(has_letter(F.col("row.text")), named("row.text")).otherwise(none))
 
 
 def held_out(doc_id: Column) -> Column:
@@ -158,7 +167,7 @@ def identify(spark: SparkSession, docs: DataFrame, max_docs_per_lang: int = 4000
     """Learn from the rows that are not held out; predict all. doc_id, held_out, lang_pred, score."""
     model = train(docs.where(~held_out(F.col("doc_id"))), max_docs_per_lang=max_docs_per_lang)
     said = with_language(spark, docs.select("doc_id", "text"), model)
-    return said.select(F.col("doc_id").cast("long").alias("doc_id"), held_out(F.col("doc_id")).alias("held_out"), F.col("__said.lang").alias("lang_pred"), F.col("__said.score").alias("score"))
+    return said.select(F.col("row.doc_id").cast("long").alias("doc_id"), held_out(F.col("row.doc_id")).alias("held_out"), F.col("said.lang").alias("lang_pred"), F.col("said.score").alias("score"))
 
 
 def confident(spark: SparkSession, docs: DataFrame, least: float = 0.5) -> DataFrame:
@@ -168,4 +177,4 @@ def confident(spark: SparkSession, docs: DataFrame, least: float = 0.5) -> DataF
     """
     model = train(docs.where(~held_out(F.col("doc_id"))))
     said = with_language(spark, docs.where(F.col("doc_id").isNotNull()), model)
-    return said.where((F.col("__said.lang") != "und") & (F.col("__said.score") >= least)).drop("__said")
+    return said.where((F.col("said.lang") != "und") & (F.col("said.score") >= least)).select("row.*")
