@@ -5,8 +5,8 @@ split where no token of the vocabulary can cross: before a single space that fol
 space nor the space mark. Pieces with a space mark after another character would break that rule, so the vocabulary
 is searched for one when the model is loaded; if there is any, texts stay in one part.
 
-Defined results: a null text counts as empty (0 bytes, 0 tokens); repeated rows are counted each; an empty table gives
-an empty result; further columns of the input are ignored.
+Defined results: a null text counts as empty (0 bytes, 0 tokens); a null doc_id stays null; repeated rows are counted
+each; an empty table gives an empty result; further columns of the input, whatever their names, are ignored.
 """
 
 from __future__ import annotations
@@ -73,12 +73,13 @@ def count_texts(texts: list[str], model: str, batch_bytes: int = BATCH_BYTES) ->
 
     for k, text in enumerate(texts):
         for part in safe_parts(text) if splits else [text]:
-            if group and held + len(part) > batch_bytes:
+            size = len(part) if part.isascii() else len(part.encode())
+            if group and held + size > batch_bytes:
                 flush()
                 group, owners, held = [], [], 0
             group.append(part)
             owners.append(k)
-            held += len(part)
+            held += size
     if group:
         flush()
     return counts
@@ -90,8 +91,10 @@ def token_counts(docs: DataFrame, model: str | None = None, limit: int = 4096) -
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = [t or "" for t in batch.column(1).to_pylist()]
-            counts = pa.array(count_texts(texts, model), pa.int64())
+            counts = []
+            for at in range(0, batch.num_rows, 128):  # few rows at a time become Python objects
+                counts += count_texts([t or "" for t in batch.column(1).slice(at, 128).to_pylist()], model)
+            counts = pa.array(counts, pa.int64())
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), counts], ["doc_id", "n_bytes", "n_tokens"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"))
