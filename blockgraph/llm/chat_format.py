@@ -13,7 +13,7 @@ Pairs come from a table of turn lists, or from two makers:
 Defined results: turns go by (turn, role, text), nulls first; a row that repeats another whole counts once; a null
 role reads "unknown", a null text is empty; rows with a null conv_id are left out; a conversation that is a prefix of the
 other, or equal to it, gives an empty completion with no spans; conversations without an assistant turn are in no
-swapped pair; other columns are ignored.
+swapped pair; other columns are ignored; an empty table gives an empty result; texts of any length are rendered whole.
 """
 
 from __future__ import annotations

@@ -12,7 +12,8 @@ are in a task's memory, never texts, and a hot source or cluster is spread over
 
 Defined results: a row with length null, 0 or less is not packed and gets a null bin; a null source or cluster conflicts
 with nothing; repeated rows are packed each (they conflict if their cluster is equal); rows with a null doc_id are
-packed too; other columns are ignored.
+packed too; other columns are ignored; an empty table gives an empty result; a very long text takes as many pieces as its
+words ask for.
 """
 
 from __future__ import annotations

@@ -48,6 +48,42 @@ def test_language_edge_cases(spark):
     assert kept.columns == frame(spark, rows).columns and kept.where("doc_id IS NULL OR doc_id IN (4, 5, 6)").count() == 0
 
 
+def test_language_equals_a_plain_twin(spark):
+    """A dictionary-based naive Bayes over the same hashed n-grams, one n-gram at a time."""
+    rnd = random.Random(9)
+    letters = {"": "xyzw ", "aa": "abcde ", "bb": "abfgh ", "cc": "éñü a"}
+    make = lambda lang, n: "".join(rnd.choice(letters[lang]) for _ in range(n))
+    rows = [(k, make(lang, rnd.randrange(1, 60)), lang, "s") for k in range(90) for lang in [rnd.choice(list(letters))]]
+    rows += [(200, "ab é" * 3000, "aa", "s"), (201, "a", None, "s"), (202, "qqq", "bb", "s"), (203, "7", "aa", "s")]
+    buckets = language_id.BUCKETS
+
+    def grams(text):
+        codes = np.frombuffer(f" {text.lower()} ".encode("utf-32-le"), np.uint32).astype(np.uint64)
+        return [int(language_id._bucket_ids(codes[i : i + n], n, buckets)[0]) for n in language_id.ORDERS for i in range(len(codes) - n + 1)]
+
+    import zlib
+
+    lettered = lambda t: any(c.isalpha() for c in t or "")
+    counts = {lang: {} for lang in letters}
+    for d, t, lang, _ in rows:
+        if lang is not None and lettered(t) and zlib.crc32(str(d).encode()) % 4 != 2:
+            for g in grams(t):
+                counts[lang][g] = counts[lang].get(g, 0) + 1
+    totals = {lang: sum(c.values()) + 0.5 * buckets for lang, c in counts.items()}
+    want = {}
+    for d, t, *_ in rows:
+        if not lettered(t):
+            want[d] = ("und", 0.0)
+            continue
+        sums = {lang: sum(np.log((counts[lang].get(g, 0) + 0.5) / totals[lang]) for g in grams(t)) for lang in sorted(letters)}
+        best = max(sorted(sums), key=sums.get)
+        want[d] = (best, 1 / sum(np.exp(x - sums[best]) for x in sums.values()))
+    got = {r["doc_id"]: (r["lang_pred"], r["score"], r["held_out"]) for r in language_id.identify(spark, frame(spark, rows).withColumns({c: F.lit(1) for c in ("row", "said")})).collect()}
+    assert set(got) == set(want) and {g[0] for g in got.values()} == {"und", *letters}
+    for d, (lang, score) in want.items():
+        assert got[d][0] == lang and abs(got[d][1] - score) < 1e-3 and got[d][2] == (zlib.crc32(str(d).encode()) % 4 == 2)
+
+
 def test_long_texts_count_like_short_ones(monkeypatch):
     text, table = "le chat noir " * 50, np.random.default_rng(0).normal(size=(language_id.BUCKETS, 3)).astype(np.float32)
     whole = language_id._log_odds([text, "b", text], table, language_id.BUCKETS)
@@ -196,12 +232,33 @@ def test_near_matches_brute_force(spark, pool, block):
     assert got == brute_near(rows)
 
 
+@pytest.mark.parametrize("block", [3, 1024])
+def test_near_chains_of_different_texts(spark, pool, block):
+    """A template that all share chains them into one cluster; only neighbours of a chain of small edits are linked."""
+    rnd, rows = random.Random(12), []
+    template = words(rnd, 60, pool).split()
+    for k in range(12):
+        rows.append((k, " ".join(template + words(rnd, 70, pool).split()), "en", "s"))
+    text = words(rnd, 200, pool).split()
+    for k in range(25):
+        rows.append((100 + k, " ".join(text), "en", "s"))
+        for _ in range(4):
+            text[rnd.randrange(len(text))] = rnd.choice(pool)
+    rnd.shuffle(rows)
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in near_dedup.near_duplicates(spark, frame(spark, rows), block).collect()}
+    assert got == brute_near(rows)
+
+
 def test_near_edge_cases(spark, pool):
     rnd = random.Random(4)
     text = words(rnd, 40, pool)
     rows = [(5, text, "en", "s"), (5, text, "en", "s"), (5, words(rnd, 40, pool), "en", "s"), (9, text, "en", "s"), (None, text, "en", "s")]
     got = sorted((r["doc_id"], r["component_id"]) for r in near_dedup.near_duplicates(spark, frame(spark, rows)).collect())
     assert got == [(5, 5), (5, 5), (5, 5), (9, 5)]
+    rows = [(3, text, "en", "s"), (5, words(rnd, 40, pool), "en", "s"), (5, text, "en", "s"), (8, None, "en", "s"), (8, words(rnd, 40, pool), "en", "s"), (9, words(rnd, 6000, pool), "en", "s")]
+    got = sorted((r["doc_id"], r["component_id"], r["n_shingles"]) for r in near_dedup.near_duplicates(spark, frame(spark, rows)).collect())
+    assert [g[:2] for g in got] == [(3, 3), (5, 3), (5, 3), (8, 8), (8, 8), (9, 9)] and got[-1][2] == 5996
+    rows = [(5, text, "en", "s"), (5, text, "en", "s"), (5, words(rnd, 40, pool), "en", "s"), (9, text, "en", "s"), (None, text, "en", "s")]
     assert near_dedup.near_duplicates(spark, frame(spark, [])).count() == 0
     kept = near_dedup.one_of_each(spark, frame(spark, rows))
     assert kept.columns == frame(spark, rows).columns and [r["doc_id"] for r in kept.collect()] == [5]
@@ -271,10 +328,43 @@ def test_leaks_match_brute_force(spark, pool):
     assert all(got[p] == want[p] for p in got)
     clean = decontamination.clean(spark, frame(spark, rows), bench)
     assert {r["doc_id"] for r in clean.collect()} == {d for d, *_ in rows} - {d for d, _ in got}
+    blocks = {(r["doc_id"], r["item_id"]): r["distance"] for r in decontamination.contaminated(spark, frame(spark, rows), bench, block_bytes=200).collect()}
+    assert decontamination.item_blocks(bench, 200)[0] > 2 and blocks == got
+    assert {r["doc_id"] for r in decontamination.clean(spark, frame(spark, rows), bench, block_bytes=200).collect()} == {r["doc_id"] for r in clean.collect()}
     assert decontamination.contaminated(spark, frame(spark, []), bench).count() == 0
     assert decontamination.contaminated(spark, frame(spark, rows), bench.limit(0)).count() == 0
 
 
+def test_closest_passage_ties(pool):
+    """Least distance; among equals the earliest end, then the latest start: against every passage of the text."""
+    rnd = random.Random(4)
+    for _ in range(60):
+        item, text = ([rnd.randrange(4) for _ in range(rnd.randrange(1, n))] for n in (7, 14))
+        far = lambda a, b: edit_exact(item, text[a:b])
+        distance, end, start = min((far(a, b), b, -a) for b in range(len(text) + 1) for a in range(b + 1))
+        got = decontamination.closest_passage(np.array(item, np.uint64), np.array(text, np.uint64), 6)
+        assert got[0] == distance and (distance > 6 or got == (distance, -start, end)), (item, text)
+
+
+def edit_exact(a, b):
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a, 1):
+        new = [i]
+        for j, y in enumerate(b, 1):
+            new.append(min(row[j - 1] + (x != y), row[j] + 1, new[-1] + 1))
+        row = new
+    return row[-1]
+
+
+def test_long_text_holds_an_item_at_its_end(spark, pool):
+    rnd = random.Random(5)
+    item = words(rnd, 20, pool)
+    long = words(rnd, 60_000, pool)
+    bench = spark.createDataFrame([(1, item)], "item_id long, text string")
+    got = decontamination.contaminated(spark, frame(spark, [(1, long, "en", "s"), (2, f"{long} {item}", "en", "s")]), bench).collect()
+    assert [(r["doc_id"], r["start"], r["distance"]) for r in got] == [(2, 60_000, 0)]
+
+
 # top-k
 
 
@@ -362,6 +452,20 @@ def test_packing_matches_brute_force():
     assert got == brute_pack(items, 100)
 
 
+def test_shards_match_brute_force(spark):
+    """The query's way, with several shards: each shard is packed like the plain version packs it alone."""
+    rnd = random.Random(16)
+    items = [(d, rnd.randrange(1, 101), rnd.choice([None, "s0", "s0", "s1", "s2", "s3"]), rnd.choice([None, 1, 2, 3] + list(range(10, 400)))) for d in range(600)]
+    df = spark.createDataFrame(items, "doc_id long, length long, source string, cluster long")
+    shards = spark.createDataFrame([(i[0], *i[1:]) for i in items], "doc_id long, length long, source string, cluster long").select("doc_id", F.pmod(F.xxhash64("doc_id", "cluster", "length"), F.lit(6)).alias("shard"))
+    shard = {r["doc_id"]: r["shard"] for r in shards.collect()}
+    got = {r["doc_id"]: (r["bin"], r["start"]) for r in packing.pack(df, 600, 100, 100).collect()}
+    want = {}
+    for s in set(shard.values()):
+        want |= {d: ((s << 32) + b, at) for d, (b, at) in brute_pack([i for i in items if shard[i[0]] == s], 100).items()}
+    assert len(set(shard.values())) == 6 and got == want
+
+
 def test_packing_edge_cases(spark):
     rows = [(1, "w " * 5000, "en", "s"), (2, None, "en", None), (3, "", "en", "s"), (4, "a b", "en", "t"), (4, "a b", "en", "u"), (None, "c d e", None, None), (5, "x y", "en", "s")]
     got = packing.pack_documents(frame(spark, rows)).collect()
