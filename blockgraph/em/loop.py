@@ -3,7 +3,8 @@
 from __future__ import annotations
 
 import time
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 from dataclasses import dataclass, field
 from typing import Any, Protocol
 
@@ -37,7 +38,7 @@ class Trace:
     began: float = field(default_factory=time.monotonic)
 
     def add(self, entropy: float, moved: int = 0) -> None:
-        self.rows.append((self.run_id, len(self.rows), time.monotonic() - self.began, float(entropy), int(moved)))
+        self.rows.append((self.run_id, len(self.rows), self.elapsed(), float(entropy), int(moved)))
 
     @property
     def entropies(self) -> list[float]:
@@ -46,6 +47,15 @@ class Trace:
     def elapsed(self) -> float:
         return time.monotonic() - self.began
 
+    @contextmanager
+    def untimed(self) -> Iterator[None]:
+        """What runs inside doesn't count as elapsed: measuring, as opposed to fitting."""
+        paused = time.monotonic()
+        try:
+            yield
+        finally:
+            self.began += time.monotonic() - paused
+
     def to_df(self, spark: SparkSession) -> DataFrame:
         return spark.createDataFrame(self.rows, TRACE)
 

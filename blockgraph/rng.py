@@ -33,6 +33,13 @@ def portable_numpy(seed: int, purpose: str, round_: int, ids: np.ndarray) -> np.
     return (np.frombuffer(digests, ">u8")[::2] >> np.uint64(64 - 4 * HEX_DIGITS)) / SPAN
 
 
+def portable_texts(seed: int, purpose: str, keys: list[str]) -> np.ndarray:
+    """portable(seed, purpose, ...) for texts of the remaining keys, joined by |, outside Spark."""
+    prefix = f"{seed}|{purpose}|"
+    digests = b"".join(hashlib.md5(f"{prefix}{k}".encode()).digest() for k in keys)
+    return (np.frombuffer(digests, ">u8")[::2] >> np.uint64(64 - 4 * HEX_DIGITS)) / SPAN
+
+
 def fast(seed: int, purpose: str, *keys: Column | int | str) -> Column:
     """The same idea over xxhash64: not portable, cheaper."""
     return F.shiftrightunsigned(F.xxhash64(F.lit(seed), F.lit(purpose), *[k if isinstance(k, Column) else F.lit(k) for k in keys]), 11) / F.lit(float(1 << 53))
@@ -48,13 +55,37 @@ def portable_sql(seed: int, purpose: str, *keys: str) -> str:
 
 
 def cumulative(vec: Column) -> Column:
-    """Running sums of a vector."""
-    return F.transform(F.sequence(F.lit(1), F.size(vec)), lambda i: F.aggregate(F.slice(vec, F.lit(1), i), F.lit(0.0), lambda s, x: s + x))
+    """Running sums of a vector, in one pass."""
+
+    @F.pandas_udf("array<double>")
+    def running(vectors: pd.Series) -> pd.Series:
+        return vectors.map(np.cumsum)
+
+    return running(vec)
+
+
+def search_steps(blocks: int) -> list[int]:
+    """Falling powers of two for a binary search among `blocks` running sums."""
+    return [1 << k for k in reversed(range(max(1, blocks.bit_length())))]
 
 
-def draw_block(cum: Column, u: Column) -> Column:
-    """Which block a uniform number falls into: the first running sum above it, the last block past the end."""
-    return F.least(F.size(F.filter(cum, lambda c: c <= u)), F.size(cum) - 1).cast("int")
+def draw_block(cum: Column, u: Column, blocks: int = 1 << 16) -> Column:
+    """Which block a uniform number falls into: the first running sum above it, the last block past the end. By binary
+    search: log2(blocks) looks, where cum has at most `blocks` sums."""
+    jump = lambda at, step: F.when(F.get(cum, at + step - 1) <= u, at + step).otherwise(at)  # null past the end: stay
+    below = F.aggregate(F.array(*[F.lit(k) for k in search_steps(blocks)]), F.lit(0), jump)
+    return F.least(below, F.size(cum) - 1).cast("int")
+
+
+def draw_rows(cum: np.ndarray, u: np.ndarray) -> np.ndarray:
+    """draw_block for rows of running sums (rows x blocks) and uniform numbers (rows x draws)."""
+    rows, blocks = cum.shape
+    flat, first = cum.ravel(), np.arange(rows)[:, None] * blocks
+    at = np.zeros(u.shape, np.int64)
+    for step in search_steps(blocks):
+        ahead = at + step
+        at = np.where((ahead <= blocks) & (flat[first + np.minimum(ahead, blocks) - 1] <= u), ahead, at)
+    return np.minimum(at, blocks - 1)
 
 
 def alias_arrays(vec: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -90,12 +121,22 @@ def draw_alias(table: Column, u: Column) -> Column:
     return F.when(rest < F.get(table["keep"], slot), slot).otherwise(F.get(table["other"], slot))
 
 
+def numpy_uniform_pair(seed: int, *keys: np.ndarray | int) -> tuple[np.ndarray, np.ndarray]:
+    """Two uniform numbers of 32 bits each from one hash of integer keys."""
+    state = _mixed(seed, keys)
+    return (state >> np.uint64(32)) / float(1 << 32), (state & np.uint64(0xFFFFFFFF)) / float(1 << 32)
+
+
 def numpy_uniform(seed: int, *keys: np.ndarray | int) -> np.ndarray:
     """Uniform numbers from integer keys, for the Arrow backends."""
+    return (_mixed(seed, keys) >> np.uint64(11)) / float(1 << 53)
+
+
+def _mixed(seed: int, keys: tuple) -> np.ndarray:
     state = np.uint64((seed & 0xFFFFFFFF) * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF)
     with np.errstate(over="ignore"):
         for key in keys:
             state = (np.asarray(key).astype(np.uint64) + state) * np.uint64(0xBF58476D1CE4E5B9)
             state = (state ^ (state >> np.uint64(29))) * np.uint64(0x94D049BB133111EB)
             state = state ^ (state >> np.uint64(32))
-    return (state >> np.uint64(11)) / float(1 << 53)
+    return state

@@ -11,9 +11,11 @@ from pyspark.sql import functions as F
 
 from ..em.loop import Stop, Trace
 from ..init import random_cat, random_mem
+from ..plans.placement import grid, replicate_for_grid
 from ..plans.state import drop_state, write_state
-from ..rng import cumulative, draw_block, fast, numpy_uniform, portable
-from .model import EPS, WIDE, SoftFit, attach, entropy, neighbour_mean, tensor_from, total, weights
+from ..rng import cumulative, draw_block, fast, portable
+from .kernel import edge_entropy, edge_pass, new_tensor, sums_by
+from .model import EPS, WIDE, SoftFit, attach, entropy, flat_tensor, neighbour_mean, tensor_from, total, weights
 
 
 def _mass(shared: DataFrame, na: int, nb: int) -> DataFrame:
@@ -61,43 +63,48 @@ def exact_step(edges: DataFrame, left: DataFrame, right: DataFrame, cat: DataFra
     return new_left, neighbour_mean(back, nb) if bipartite else new_left, tensor_from(symmetric_mass(mass) if symmetric else mass, cat, smoothing)
 
 
-def drawn_shares(edges: DataFrame, left: DataFrame, right: DataFrame, cat: DataFrame, sizes: tuple[int, int, int], draws: int, seed: int, round_: int, uniform: Callable[..., Column] = portable) -> DataFrame:
-    """Edges with shares from `draws` block pairs drawn from both memberships, weighted by the tensor.
+def drawn_pairs(edges: DataFrame, left: DataFrame, right: DataFrame, cat: DataFrame, sizes: tuple[int, int, int], draws: int, seed: int, round_: int, uniform: Callable[..., Column] = portable) -> DataFrame:
+    """src, dst, cat, d: `draws` block pairs (a, b, x) drawn from both memberships, weighted by the tensor.
 
-    Running sums are built once a vertex; after the first join only the draws travel, not the vector. Shares are
-    normalised once an edge, so a block drawn twice counts twice; weights have a floor, so they never all vanish.
+    Running sums are built once a vertex, in one pass; after the first join only the draws travel, not the vector; a
+    draw is a binary search. Weights x add up to 1 an edge, so a block drawn twice counts twice; they have a floor, so
+    they never all vanish.
     """
     na, nb, nc = sizes
     cl = left.select(F.col("id").alias("src"), cumulative(F.col("vec")).alias("cl"))
     cr = right.select(F.col("id").alias("dst"), cumulative(F.col("vec")).alias("cr"))
 
-    def drawn(cum: str, purpose: str) -> Column:
-        return F.array(*[draw_block(F.col(cum), uniform(seed, purpose, round_, F.col("src"), F.col("dst"), t)) for t in range(draws)])
-
-    with_left = edges.select("src", "dst", "cat").join(cl, "src").select("src", "dst", "cat", drawn("cl", "drawl").alias("dl"))
-    with_both = with_left.join(cr, "dst").select("src", "dst", "cat", "dl", drawn("cr", "drawr").alias("dr"))
-    from .model import flat_tensor
+    def drawn(cum: str, purpose: str, blocks: int) -> Column:
+        numbers = F.array(*[uniform(seed, purpose, round_, F.col("src"), F.col("dst"), t) for t in range(draws)])
+        return F.transform(numbers, lambda u: draw_block(F.col(cum), u, blocks))
 
+    with_left = edges.select("src", "dst", "cat").join(cl, "src").select("src", "dst", "cat", drawn("cl", "drawl", na).alias("dl"))
+    with_both = with_left.join(cr, "dst").select("src", "dst", "cat", "dl", drawn("cr", "drawr", nb).alias("dr"))
     met = with_both.join(F.broadcast(flat_tensor(cat).select("theta")))
     weight = F.zip_with("dl", "dr", lambda a, b: F.struct(a.alias("a"), b.alias("b"), F.greatest(F.get("theta", (a * nb + b) * nc + F.col("cat")), F.lit(EPS)).alias("w")))
     weighed = met.select("src", "dst", "cat", weight.alias("d"))
     weighed = weighed.withColumn("all", F.aggregate("d", F.lit(0.0), lambda s, d: s + d["w"]))
+    return weighed.select("src", "dst", "cat", F.transform("d", lambda d: F.struct(d["a"].alias("a"), d["b"].alias("b"), (d["w"] / F.col("all")).alias("x"))).alias("d"))
 
-    def spread(size: int, key: Callable[[Column], Column]) -> Column:
-        return F.transform(F.sequence(F.lit(0), F.lit(size - 1)), lambda k: F.aggregate("d", F.lit(0.0), lambda s, d: s + F.when(key(d) == k, d["w"]).otherwise(0.0)) / F.col("all"))
 
-    return weighed.select("src", "dst", "cat", spread(na, lambda d: d["a"]).alias("sl"), spread(nb, lambda d: d["b"]).alias("sr"), F.transform("d", lambda d: F.struct((d["a"] * nb + d["b"]).alias("k"), (d["w"] / F.col("all")).alias("x"))).alias("mass"))
+def _mean_of(sums: DataFrame, blocks: int) -> DataFrame:
+    """id, vec from id, k, x: the shares of a vertex add up to its degree."""
+    cells = sums.groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct("k", "x"))).alias("m"), F.sum("x").alias("deg"))
+    return cells.select("id", F.transform(F.sequence(F.lit(0), F.lit(blocks - 1)), lambda k: F.coalesce(F.try_element_at("m", k), F.lit(0.0)) / F.col("deg")).alias("vec"))
 
 
 def sampled_step(edges: DataFrame, left: DataFrame, right: DataFrame, cat: DataFrame, sizes: tuple[int, int, int], draws: int, seed: int, round_: int, bipartite: bool = True, symmetric: bool = False, smoothing: float = 0.0, uniform: Callable[..., Column] = portable) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """One Monte-Carlo round."""
+    """One Monte-Carlo round. Each draw gives three sparse shares (left block, right block, tensor cell), which are summed
+    in one pass over the edges: O(draws) rows an edge before the map-side sums, whatever the number of blocks."""
     na, nb, nc = sizes
-    shared = drawn_shares(edges, left, right, cat, sizes, draws, seed, round_, uniform)
-    there, back = _ends(shared, bipartite)
-    cells = shared.select(F.col("cat").alias("c"), F.explode("mass").alias("m")).groupBy("c", "m.k").agg(F.sum("m.x").alias("m"))
-    mass = cells.select((F.col("k") / nb).cast("int").alias("a"), (F.col("k") % nb).alias("b"), "c", "m")
-    new_left = neighbour_mean(there, na)
-    return new_left, neighbour_mean(back, nb) if bipartite else new_left, tensor_from(symmetric_mass(mass) if symmetric else mass, cat, smoothing)
+    pairs = drawn_pairs(edges, left, right, cat, sizes, draws, seed, round_, uniform)
+    share = lambda kind, id_, k, d: F.struct(F.lit(kind).alias("kind"), id_.cast("long").alias("id"), k.cast("int").alias("k"), d["x"].alias("x"))
+    rows = F.flatten(F.transform("d", lambda d: F.array(share(0, F.col("src"), d["a"], d), share(1 if bipartite else 0, F.col("dst"), d["b"], d), share(2, F.col("cat"), d["a"] * nb + d["b"], d))))
+    sums = write_state(pairs.select(F.inline(rows)).groupBy("kind", "id", "k").agg(F.sum("x").alias("x")), "shares")
+    cells = sums.where("kind = 2").select((F.col("k") / nb).cast("int").alias("a"), (F.col("k") % nb).alias("b"), F.col("id").cast("int").alias("c"), F.col("x").alias("m"))
+    new_left = _mean_of(sums.where("kind = 0"), na)
+    new_left._pass = sums
+    return new_left, _mean_of(sums.where("kind = 1"), nb) if bipartite else new_left, tensor_from(symmetric_mass(cells) if symmetric else cells, cat, smoothing)
 
 
 def _arrow_edges(na: int, nb: int, nc: int, theta: np.ndarray, draws: int | None, seed: int, round_: int):
@@ -113,37 +120,11 @@ def _arrow_edges(na: int, nb: int, nc: int, theta: np.ndarray, draws: int | None
         for batch in batches:
             seen = True
             src, dst, c = (batch.column(k).to_numpy() for k in range(3))
-            ml = batch.column(3).flatten().to_numpy().reshape(-1, na)
-            mr = batch.column(4).flatten().to_numpy().reshape(-1, nb)
-            sl, sr = np.empty_like(ml), np.empty_like(mr)
-            step = max(1, (1 << 20) // (na * nb))
-            for at in range(0, len(src), step):
-                own = slice(at, at + step)
-                for category in range(nc):
-                    e = np.flatnonzero(c[own] == category) + at
-                    if not len(e):
-                        continue
-                    if draws is None:
-                        left = ml[e] @ tensor[:, :, category]
-                        p = np.maximum((left * mr[e]).sum(axis=1), EPS)
-                        right = mr[e] @ tensor[:, :, category].T
-                        sl[e], sr[e] = ml[e] * right / p[:, None], mr[e] * left / p[:, None]
-                        mass[category] += tensor[:, :, category] * ((ml[e] / p[:, None]).T @ mr[e])
-                        cost -= np.log(p).sum()
-                    else:
-                        t = np.arange(draws)[None, :]
-                        a = _draw(ml[e], numpy_uniform(seed, src[e][:, None], dst[e][:, None], t, round_ * 2))
-                        b = _draw(mr[e], numpy_uniform(seed, src[e][:, None], dst[e][:, None], t, round_ * 2 + 1))
-                        w = np.maximum(tensor[a, b, category], EPS)
-                        w /= w.sum(axis=1, keepdims=True)
-                        row = np.arange(len(e))[:, None]
-                        sl[e] = np.bincount((row * na + a).ravel(), w.ravel(), len(e) * na).reshape(-1, na)
-                        sr[e] = np.bincount((row * nb + b).ravel(), w.ravel(), len(e) * nb).reshape(-1, nb)
-                        mass[category] += np.bincount((a * nb + b).ravel(), w.ravel(), na * nb).reshape(na, nb)
+            sl, sr, part, more = edge_pass(src, dst, c, _vectors(batch, 3, na), _vectors(batch, 4, nb), tensor, draws, seed, round_)
+            mass, cost = mass + part, cost + more
             for kind, ids, shares in ((0, src, sl), (1, dst, sr)):
                 keys, where = np.unique(ids, return_inverse=True)
-                sums = np.stack([np.bincount(where, shares[:, k], len(keys)) for k in range(shares.shape[1])], axis=1)
-                yield _rows(kind, keys, sums, np.bincount(where), np.zeros(len(keys)))
+                yield _rows(kind, keys, sums_by(where, shares, len(keys)), np.bincount(where), np.zeros(len(keys)))
         if seen:
             rows = nc * na
             yield _rows(2, np.arange(rows), mass.reshape(rows, nb), np.zeros(rows, np.int64), np.where(np.arange(rows) == 0, cost, 0.0))
@@ -151,15 +132,69 @@ def _arrow_edges(na: int, nb: int, nc: int, theta: np.ndarray, draws: int | None
     return run
 
 
-def _draw(rows: np.ndarray, u: np.ndarray) -> np.ndarray:
-    cum = np.cumsum(rows, axis=1)
-    return np.minimum((cum[:, None, :] <= u[:, :, None]).sum(axis=2), rows.shape[1] - 1)
+def _vectors(batch: pa.RecordBatch, column: int, size: int) -> np.ndarray:
+    return batch.column(column).flatten().to_numpy().reshape(-1, size)
+
+
+def _met(edges: DataFrame, left: DataFrame, right: DataFrame) -> DataFrame:
+    """src, dst, cat and both vectors, by two shuffled joins."""
+    return edges.select("src", "dst", "cat").join(left.select(F.col("id").alias("src"), F.col("vec").alias("ml")), "src").join(right.select(F.col("id").alias("dst"), F.col("vec").alias("mr")), "dst").select("src", "dst", "cat", "ml", "mr")
+
+
+SUMS = "kind int, id long, vec array<double>, n long, cost double"
+
+
+def _pass(edges: DataFrame, left: DataFrame, right: DataFrame, theta: np.ndarray, sizes: tuple[int, int, int], draws: int | None, seed: int, round_: int, measure: bool = False) -> DataFrame:
+    """Rows of SUMS for one pass over the edges; measure: only the entropy, on a row of kind 2.
+
+    Edges that placement.grid() dealt stay where they are: each cell gets the vectors of its vertices.
+    """
+    na, nb, nc = sizes
+    if not {"su", "sv"} <= set(edges.columns):
+        work = _arrow_entropy(na, nb, nc, theta) if measure else _arrow_edges(na, nb, nc, theta, draws, seed, round_)
+        return _met(edges, left, right).mapInArrow(work, SUMS)
+    side = edges._grid_side
+    sent = [replicate_for_grid(state.select("id", "vec"), side, "id", end).select("su", "sv", F.lit(kind).alias("kind"), "id", "vec") for kind, (state, end) in enumerate(((left, "src"), (right, "dst")))]
+    cells = edges.select("su", "sv", "src", "dst", "cat").groupBy("su", "sv")
+    return cells.cogroup(sent[0].unionAll(sent[1]).groupBy("su", "sv")).applyInArrow(_grid_cell(na, nb, nc, theta, draws, seed, round_, measure), SUMS)
+
+
+def _grid_cell(na: int, nb: int, nc: int, theta: np.ndarray, draws: int | None, seed: int, round_: int, measure: bool):
+    def cell(edges: pa.Table, states: pa.Table) -> pa.Table:
+        src, dst, c = (edges.column(k).to_numpy() for k in ("src", "dst", "cat"))
+        kind, ids = states.column("kind").to_numpy(), states.column("id").to_numpy()
+        ends = []
+        for which, (own, size) in enumerate(((src, na), (dst, nb))):
+            here = np.flatnonzero(kind == which)
+            vectors = states.column("vec").take(pa.array(here)).combine_chunks().flatten().to_numpy().reshape(-1, size)
+            order = np.argsort(ids[here], kind="stable")
+            ends.append(vectors[order[np.searchsorted(ids[here][order], own)]])
+        batch = pa.RecordBatch.from_arrays([pa.array(src), pa.array(dst), pa.array(c), _lists(ends[0]), _lists(ends[1])], ["src", "dst", "cat", "ml", "mr"])
+        work = _arrow_entropy(na, nb, nc, theta) if measure else _arrow_edges(na, nb, nc, theta, draws, seed, round_)
+        return pa.Table.from_batches(list(work(iter([batch]))))
+
+    return cell
+
+
+def _arrow_entropy(na: int, nb: int, nc: int, theta: np.ndarray):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cost = sum(edge_entropy(b.column(2).to_numpy(), _vectors(b, 3, na), _vectors(b, 4, nb), theta.reshape(na, nb, nc)) for b in batches)
+        yield _rows(2, np.zeros(1, np.int64), np.zeros((1, 1)), np.zeros(1, np.int64), np.array([float(cost)]))
+
+    return run
+
+
+def arrow_entropy(edges: DataFrame, left: DataFrame, right: DataFrame, theta: np.ndarray, sizes: tuple[int, int, int]) -> float:
+    return _pass(edges, left, right, theta, sizes, None, 0, 0, measure=True).agg(F.sum("cost")).first()[0] or 0.0
+
+
+def _lists(vectors: np.ndarray) -> pa.ListArray:
+    offsets = pa.array(np.arange(len(vectors) + 1) * vectors.shape[1], pa.int32())
+    return pa.ListArray.from_arrays(offsets, pa.array(np.ascontiguousarray(vectors).ravel()))
 
 
 def _rows(kind: int, ids: np.ndarray, vectors: np.ndarray, n: np.ndarray, cost: np.ndarray) -> pa.RecordBatch:
-    offsets = pa.array(np.arange(len(ids) + 1) * vectors.shape[1], pa.int32())
-    vec = pa.ListArray.from_arrays(offsets, pa.array(np.ascontiguousarray(vectors).ravel()))
-    return pa.RecordBatch.from_arrays([pa.array(np.full(len(ids), kind, np.int32)), pa.array(ids.astype(np.int64)), vec, pa.array(n.astype(np.int64)), pa.array(cost)], ["kind", "id", "vec", "n", "cost"])
+    return pa.RecordBatch.from_arrays([pa.array(np.full(len(ids), kind, np.int32)), pa.array(ids.astype(np.int64)), _lists(vectors), pa.array(n.astype(np.int64)), pa.array(cost)], ["kind", "id", "vec", "n", "cost"])
 
 
 def arrow_step(edges: DataFrame, left: DataFrame, right: DataFrame, theta: np.ndarray, sizes: tuple[int, int, int], draws: int | None, seed: int = 1, round_: int = 1) -> tuple[DataFrame, DataFrame, np.ndarray, float]:
@@ -169,16 +204,14 @@ def arrow_step(edges: DataFrame, left: DataFrame, right: DataFrame, theta: np.nd
     Sums of a batch are sent, not edges, and meet by vertex.
     """
     na, nb, nc = sizes
-    met = edges.select("src", "dst", "cat").join(left.select(F.col("id").alias("src"), F.col("vec").alias("ml")), "src").join(right.select(F.col("id").alias("dst"), F.col("vec").alias("mr")), "dst").select("src", "dst", "cat", "ml", "mr")
-    sent = met.mapInArrow(_arrow_edges(na, nb, nc, theta, draws, seed, round_), "kind int, id long, vec array<double>, n long, cost double")
+    sent = _pass(edges, left, right, theta, sizes, draws, seed, round_)
     wide = max(na, nb)
     sums = sent.groupBy("kind", "id").agg(F.sum("n").alias("deg"), F.sum("cost").alias("cost"), *[F.sum(F.get("vec", F.lit(k))).alias(f"s{k}") for k in range(wide)])
     share = lambda k: F.when(F.col("kind") < 2, F.try_divide(F.col(f"s{k}"), F.col("deg"))).otherwise(F.col(f"s{k}"))
     state = write_state(sums.select("kind", "id", "cost", F.array(*[share(k) for k in range(wide)]).alias("vec")), "mem")
     parts = state.where("kind = 2").orderBy("id").select("vec", "cost").toPandas()  # A * C rows
-    mass = (np.array([v[:nb] for v in parts["vec"]], float) if len(parts) else np.zeros((nc * na, nb))).reshape(nc, na, nb).transpose(1, 2, 0)
-    whole = mass.sum(axis=2, keepdims=True)
-    new = np.where(whole > 0, mass / np.where(whole > 0, whole, 1), theta.reshape(na, nb, nc))
+    mass = (np.array([v[:nb] for v in parts["vec"]], float) if len(parts) else np.zeros((nc * na, nb))).reshape(nc, na, nb)
+    new = new_tensor(mass, theta.reshape(na, nb, nc))
     pick = lambda kind, size: state.where(F.col("kind") == kind).select("id", F.slice("vec", 1, size).alias("vec"))
     out = pick(0, na), pick(1, nb), new.ravel(), float(parts["cost"].sum())
     out[0]._state_path = getattr(state, "_state_path", None)
@@ -211,9 +244,11 @@ def _fit(edges: DataFrame, sizes: tuple[int, int, int], seed: int, stop: Stop, s
         new_right = write_state(new[1], "soft") if bipartite else new_left
         for old in (left, right, cat) if bipartite else (left, cat):
             drop_state(old)
+        drop_state(getattr(new[0], "_pass", None))
         left, right, cat = new_left, new_right, new_cat
         if number % eval_every == 0:
-            trace.add(entropy(edges, left, right, cat, sizes).first()[0])
+            with trace.untimed():
+                trace.add(entropy(edges, left, right, cat, sizes).first()[0])
     return SoftFit(left, right, cat, trace)
 
 
@@ -234,25 +269,30 @@ def fit_sampled(edges: DataFrame, a_blocks: int, b_blocks: int, categories: int,
     return _fit(edges, sizes, seed, stop or Stop(max_iter=20), step, bipartite, "sampled", eval_every)
 
 
-def fit_arrow(edges: DataFrame, a_blocks: int, b_blocks: int, categories: int, draws: int | None = None, seed: int = 1, stop: Stop | None = None) -> SoftFit:
-    """The bipartite fits with the numpy backend. The trace of an exact fit comes free with the rounds."""
+def fit_arrow(edges: DataFrame, a_blocks: int, b_blocks: int, categories: int, draws: int | None = None, seed: int = 1, stop: Stop | None = None, grid_side: int = 0) -> SoftFit:
+    """The bipartite fits with the numpy backend, sampled if draws are given. The entropy after each round is measured
+    outside the time of the trace, so sampled fits stop by tolerance too. grid_side: deal the edges on a grid once, so that
+    they stay and only vectors move, each to grid_side cells."""
     sizes, stop = (a_blocks, b_blocks, categories), stop or Stop(max_iter=20)
     left, right, cat = starts(edges, sizes, seed)
     left, right = write_state(left, "soft"), write_state(right, "soft")
+    if grid_side:
+        edges = grid(edges.select("src", "dst", "cat"), grid_side).persist()
+        edges._grid_side = grid_side
     theta = np.array([r["p"] for r in cat.orderBy("a", "b", "c").collect()])
     trace = Trace("exact" if draws is None else f"sampled{draws}")
-    for number in range(1, stop.max_iter + 1):
-        new_left, new_right, new_theta, cost = arrow_step(edges, left, right, theta, sizes, draws, seed, number)
-        if draws is None:
-            trace.add(cost)
+    with trace.untimed():
+        trace.add(arrow_entropy(edges, left, right, theta, sizes))
+    while not stop.reached(trace.entropies, trace.elapsed()):
+        new_left, new_right, theta, _ = arrow_step(edges, left, right, theta, sizes, draws, seed, len(trace.rows))
         drop_state(left)
-        left, right, theta = new_left, new_right, new_theta
-        if stop.reached(trace.entropies, trace.elapsed()):
-            break
-    grid = [(a, b, c, float(theta[(a * b_blocks + b) * categories + c])) for a in range(a_blocks) for b in range(b_blocks) for c in range(categories)]
-    cat = edges.sparkSession.createDataFrame(grid, "a int, b int, c int, p double")
-    trace.add(entropy(edges, left, right, cat, sizes).first()[0])
-    return SoftFit(left, right, cat, trace)
+        left, right = new_left, new_right
+        with trace.untimed():
+            trace.add(arrow_entropy(edges, left, right, theta, sizes))
+    if grid_side:
+        edges.unpersist()
+    table = [(a, b, c, float(theta[(a * b_blocks + b) * categories + c])) for a in range(a_blocks) for b in range(b_blocks) for c in range(categories)]
+    return SoftFit(left, right, edges.sparkSession.createDataFrame(table, "a int, b int, c int, p double"), trace)
 
 
 def fit_auto(edges: DataFrame, a_blocks: int, b_blocks: int, categories: int, draws: int = 20, **more) -> SoftFit:
