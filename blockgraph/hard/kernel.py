@@ -58,8 +58,15 @@ CELLS = 1 << 17
 
 
 def table_scores(graph: Graph, lab: np.ndarray, k: int, chosen: np.ndarray) -> np.ndarray:
-    """chosen x blocks: table scores, own block first corrected like all touched ones. By slices that fit a cache."""
+    """chosen x blocks: table scores of vertices of a graph that is in memory."""
     size, hit, miss = graph.counts(lab, k)
+    return scores_of(size, hit, miss, *graph.links(chosen, lab, k), lab[chosen])
+
+
+def scores_of(size: np.ndarray, hit: np.ndarray, miss: np.ndarray, row: np.ndarray, b: np.ndarray, x: np.ndarray, own_block: np.ndarray) -> np.ndarray:
+    """vertices x blocks: table scores from block statistics (size, symmetric hit and miss) and links by row: x links of
+    vertex `row` into block b, touched blocks and the own block. By slices that fit a cache."""
+    k, many = len(size), len(own_block)
     now = cost(hit, miss)
     enter = cost(hit, miss + size[None, :]) - now
     leave = now - cost(hit, miss - (size[None, :] - np.eye(k)))
@@ -67,13 +74,13 @@ def table_scores(graph: Graph, lab: np.ndarray, k: int, chosen: np.ndarray) -> n
     # of a pair (a, b), by b: what entering costs but for the two terms that depend on the vertex's own links
     base = (g(whole) - now - enter).T
     base_own = (g(whole - 1) - now - enter).T
-    hit_t, rest_t = hit.T.astype(np.int64), (miss + size[None, :]).T
-    row, b, x = graph.links(chosen, lab, k)
-    g_hit = g(np.arange(len(graph.src) + int(x.max(initial=0)) + 2, dtype=float))  # the own column is looked up before it is replaced
-    y = lab[chosen][row]
+    hit_t, rest_t = hit.T, (miss + size[None, :]).T
+    most = int(hit.max(initial=0) + x.max(initial=0)) + 2
+    g_hit = g(np.arange(most, dtype=float)) if most <= 1 << 24 else None  # a table of logarithms where it is small
+    y = own_block[row]
     own = b == y
-    scores = np.tile(enter.sum(axis=1), (len(chosen), 1))
-    scores[np.arange(len(chosen)), lab[chosen]] = leave.sum(axis=1)[lab[chosen]]
+    scores = np.tile(enter.sum(axis=1), (many, 1))
+    scores[np.arange(many), own_block] = leave.sum(axis=1)[own_block]
     starts = np.flatnonzero(np.diff(row, prepend=-1))
     step = max(1, CELLS // k)
     at = 0
@@ -85,20 +92,38 @@ def table_scores(graph: Graph, lab: np.ndarray, k: int, chosen: np.ndarray) -> n
         left = rest_t[bs] - (xs + os)[:, None]
         np.maximum(left, 1.0, out=left)
         part = np.where(os[:, None], base_own[bs], base[bs])
-        part -= g_hit[hit_t[bs] + xs.astype(np.int64)[:, None]]
+        hits = hit_t[bs] + xs[:, None]
+        part -= g(hits) if g_hit is None else g_hit[hits.astype(np.int64)]
         part -= left * np.log(left)
         k_rows = np.arange(len(bs))
         apart = size[bs] - os - xs
         part[k_rows, ys] = now[ys, bs] - cost(hit[ys, bs] - xs, miss[ys, bs] - apart) - leave[ys, bs]
-        scores[at:upto] += np.add.reduceat(part, starts[at:upto] - starts[at], axis=0)
+        scores[row[starts[at:upto]]] += np.add.reduceat(part, starts[at:upto] - starts[at], axis=0)
         at = upto
     return scores
 
 
-def rounds(graph: Graph, lab: np.ndarray, k: int, frac: float | Sequence[float], max_iter: int, seed: int, ids: np.ndarray | None = None, stop: Stop | None = None) -> Iterator[tuple[np.ndarray, float, int]]:
+def best_blocks(scores: np.ndarray, own_block: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Best block and gain: the own block unless another is better by more than 1e-9, the smallest among equals."""
+    own = scores[np.arange(len(own_block)), own_block]
+    gain = own - scores.min(axis=1)
+    go = gain > 1e-9
+    return np.where(go, np.round(scores, 9).argmin(axis=1), own_block), np.where(go, gain, 0.0)
+
+
+def allowed_to_leave(gain: np.ndarray, own_block: np.ndarray, ids: np.ndarray, size: np.ndarray, min_block: int) -> np.ndarray:
+    """Which departures leave every block with min_block members: the best gains of each block, then the smallest ids."""
+    order = np.lexsort((ids, -gain, own_block))
+    first = np.searchsorted(own_block[order], own_block[order])
+    out = np.zeros(len(gain), bool)
+    out[order] = np.arange(len(order)) - first < np.maximum(0, size[own_block[order]] - min_block)
+    return out
+
+
+def rounds(graph: Graph, lab: np.ndarray, k: int, frac: float | Sequence[float], max_iter: int, seed: int, ids: np.ndarray | None = None, stop: Stop | None = None, min_block: int = 0, damping: float = 0.0) -> Iterator[tuple[np.ndarray, float, int]]:
     """Yield (labels, entropy, moved) after each round of re-deciding a random share of the vertices: the draws, shares,
     ties and stopping of the DataFrame rounds. ids: names of the vertices; frac: one share, or one a round; without
-    stop there are max_iter rounds."""
+    stop there are max_iter rounds; damping: the share of moves that are held back."""
     lab, began = lab.copy(), time.monotonic()
     ids = np.arange(graph.n) if ids is None else ids
     fracs = [frac] * max_iter if np.isscalar(frac) else frac
@@ -109,33 +134,114 @@ def rounds(graph: Graph, lab: np.ndarray, k: int, frac: float | Sequence[float],
         chosen = np.flatnonzero(portable_numpy(seed, "choose", number, ids) < frac) if frac < 1 else np.arange(graph.n)
         moved = 0
         if len(chosen):
-            scores = table_scores(graph, lab, k, chosen)
-            own = scores[np.arange(len(chosen)), lab[chosen]]
-            best = np.round(scores, 9).argmin(axis=1)
-            go = own - scores.min(axis=1) > 1e-9
-            moved = int(go.sum())
+            best, gain = best_blocks(table_scores(graph, lab, k, chosen), lab[chosen])
+            go = np.flatnonzero(best != lab[chosen])
+            if damping:
+                go = go[portable_numpy(seed, "damp", number, ids[chosen[go]]) >= damping]
+            if min_block:
+                go = go[allowed_to_leave(gain[go], lab[chosen[go]], ids[chosen[go]], np.bincount(lab, minlength=k), min_block)]
+            moved = len(go)
             lab[chosen[go]] = best[go]
         entropies.append(graph.entropy(lab, k))
         yield lab.copy(), entropies[-1], moved
 
 
-def polish(graph: Graph, lab: np.ndarray, k: int, max_moves: int = 10_000) -> tuple[np.ndarray, int]:
-    """Single exact moves, best first, until none lowers the entropy: a locally optimal labeling."""
-    lab, now = lab.copy(), graph.entropy(lab, k)
-    for moves in range(max_moves):
-        best = (-1e-9, -1, -1)
-        for v in range(graph.n):
-            old = lab[v]
-            for a in range(k):
-                if a != old:
-                    lab[v] = a
-                    best = min(best, (graph.entropy(lab, k) - now, v, a))
-            lab[v] = old
-        if best[1] < 0:
+def exact_changes(graph: Graph, lab: np.ndarray, k: int) -> np.ndarray:
+    """vertices x blocks: entropy change of each single move, all partners counted; 0 at the own block."""
+    size, hit, miss = graph.counts(lab, k)
+    everyone = np.arange(graph.n)
+    row, b, x = graph.links(everyone, lab, k)
+    links = np.zeros((graph.n, k))
+    links[row, b] = x
+    out = np.zeros((graph.n, k))
+    for v in everyone:
+        y, own = lab[v], links[v]
+        apart = size - (np.arange(k) == y) - own
+        h, m = hit.copy(), miss.copy()
+        h[y] -= own
+        m[y] -= apart
+        h[:, y], m[:, y] = h[y], m[y]
+        enter = (cost(h + own[None, :], m + apart[None, :]) - cost(h, m)).sum(axis=1)
+        out[v] = enter - enter[y]
+    return out
+
+
+def polish(graph: Graph, lab: np.ndarray, k: int) -> tuple[np.ndarray, int]:
+    """Single exact moves, best first, until none lowers the entropy: a locally optimal labeling. Each move lowers the
+    entropy by more than a margin, so it ends."""
+    lab, moves = lab.copy(), 0
+    while True:
+        change = exact_changes(graph, lab, k)
+        v, a = np.unravel_index(np.round(change, 9).argmin(), change.shape)
+        if change[v, a] >= -1e-9:
             return lab, moves
-        lab[best[1]] = best[2]
-        now += best[0]
-    return lab, max_moves
+        lab[v], moves = a, moves + 1
+
+
+class RatedPairs:
+    """A rating graph in one task, for hard rounds: positions of both ends and categories."""
+
+    def __init__(self, left_ids: np.ndarray, right_ids: np.ndarray, u: np.ndarray, v: np.ndarray, c: np.ndarray, categories: int) -> None:
+        self.ids, self.ends, self.c, self.categories = (left_ids, right_ids), (u, v), c, categories
+
+    def cells(self, left: np.ndarray, right: np.ndarray, na: int, nb: int) -> np.ndarray:
+        flat = (left[self.ends[0]] * nb + right[self.ends[1]]) * self.categories + self.c
+        return np.bincount(flat, minlength=na * nb * self.categories).reshape(na, nb, self.categories).astype(float)
+
+    def entropy(self, left: np.ndarray, right: np.ndarray, na: int, nb: int) -> float:
+        n = self.cells(left, right, na, nb)
+        return float(g(n.sum(axis=2)).sum() - g(n).sum())
+
+    def scores(self, side: int, own: np.ndarray, other: np.ndarray, k: int, k_other: int, chosen: np.ndarray) -> np.ndarray:
+        """chosen x blocks: exact change of the entropy when an item of the side joins a block after leaving its own."""
+        position = np.full(len(own), -1)
+        position[chosen] = np.arange(len(chosen))
+        row = position[self.ends[side]]
+        e = np.flatnonzero(row >= 0)
+        cell = (row[e] * k_other + other[self.ends[1 - side][e]]) * self.categories + self.c[e]
+        cells, x = np.unique(cell, return_counts=True)
+        pairs, where = np.unique(cells // self.categories, return_inverse=True)
+        sums = np.bincount(where, x)
+        n = self.cells(own, other, k, k_other) if side == 0 else self.cells(other, own, k_other, k).transpose(1, 0, 2)
+        out = np.zeros((len(chosen), k))
+        own_block = own[chosen]
+
+        def add(rows: np.ndarray, base: np.ndarray, amount: np.ndarray, sign: int) -> None:
+            step = max(1, CELLS // k)
+            for at in range(0, len(rows), step):
+                s = slice(at, at + step)
+                before = base[:, s].T.copy()
+                mine = np.arange(before.shape[0])
+                before[mine, own_block[rows[s]]] -= amount[s]
+                change = sign * (g(before + amount[s, None]) - g(before))
+                first = np.flatnonzero(np.diff(rows[s], prepend=-1))
+                out[rows[s][first]] += np.add.reduceat(change, first, axis=0)
+
+        add(pairs // k_other, n.sum(axis=2)[:, pairs % k_other], sums.astype(float), 1)
+        out[:, np.bincount(own, minlength=k) == 0] = np.inf  # an empty block takes nobody, as in the DataFrame rounds
+        add(cells // self.categories // k_other, n[:, cells // self.categories % k_other, cells % self.categories], x.astype(float), -1)
+        return out
+
+    def rounds(self, left: np.ndarray, right: np.ndarray, na: int, nb: int, frac, seed: int, trace, stop: Stop) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """Yield both labelings at the start and after each round, one side after the other, as the DataFrame rounds do."""
+        labels, sizes = [left.copy(), right.copy()], (na, nb)
+        with trace.untimed():
+            trace.add(self.entropy(*labels, na, nb))
+        yield labels[0], labels[1]
+        while not stop.reached(trace.entropies, trace.elapsed()):
+            number, moved = len(trace.rows), 0
+            share = frac(number) if callable(frac) else frac
+            for side, name in enumerate("lr"):
+                own, other = labels[side], labels[1 - side]
+                chosen = np.flatnonzero(portable_numpy(seed, f"choose{name}", number, self.ids[side]) < share) if share < 1 else np.arange(len(own))
+                if len(chosen):
+                    best, _ = best_blocks(self.scores(side, own, other, sizes[side], sizes[1 - side], chosen), own[chosen])
+                    moved += int((best != own[chosen]).sum())
+                    labels[side] = own.copy()
+                    labels[side][chosen] = best
+            with trace.untimed():
+                trace.add(self.entropy(*labels, na, nb), moved)
+            yield labels[0], labels[1]
 
 
 def brute_force(graph: Graph, k: int) -> tuple[float, tuple[int, ...]]:

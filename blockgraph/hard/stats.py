@@ -48,7 +48,8 @@ def block_pairs(edges: DataFrame, labels: DataFrame, n_blocks: int, right: DataF
     hits = ends.groupBy("a", "b").agg(F.count("*").alias("hit"))
     rows = block_sizes(labels, n_blocks, "a").withColumnRenamed("n", "na")
     columns = block_sizes(labels if right is None else right, right_blocks or n_blocks, "b").withColumnRenamed("n", "nb")
-    grid = F.broadcast(rows).join(F.broadcast(columns), F.col("a") <= F.col("b") if undirected else F.lit(True))
+    partners = F.sequence(F.col("a") if undirected else F.lit(0), F.lit((right_blocks or n_blocks) - 1))
+    grid = rows.withColumn("b", F.explode(partners)).join(columns, "b")
     na, nb = F.col("na").cast("double"), F.col("nb").cast("double")
     own = na * (na - 1) / (2 if undirected else 1)
     pairs = na * nb if right is not None else F.when(F.col("a") == F.col("b"), own).otherwise(na * nb)
@@ -74,10 +75,20 @@ def full_pairs(stats: DataFrame) -> DataFrame:
 
 def cost_tables(stats: DataFrame) -> DataFrame:
     """a, b, enter, leave: what an isolated vertex changes when it joins or leaves block a, by partner block b."""
+    return cost_rows(full_pairs(stats), True)
+
+
+def turned_pairs(stats: DataFrame) -> DataFrame:
+    """Statistics of ordered block pairs seen from the other end."""
+    return stats.select(F.col("b").alias("a"), F.col("a").alias("b"), F.col("nb").alias("na"), F.col("na").alias("nb"), "pairs", "hit", "miss")
+
+
+def cost_rows(rows: DataFrame, own_side: bool) -> DataFrame:
+    """The same for given rows of block pairs; own_side: both blocks are of one side, a vertex is no partner of itself."""
     hit, miss = F.col("hit"), F.col("miss")
     now = pair_cost(hit, miss)
-    fewer = F.col("nb") - F.when(F.col("a") == F.col("b"), 1).otherwise(0)
-    return full_pairs(stats).select("a", "b", "na", "nb", "hit", "miss", (pair_cost(hit, miss + F.col("nb")) - now).alias("enter"), (now - pair_cost(hit, miss - fewer)).alias("leave"))
+    fewer = F.col("nb") - F.when(F.col("a") == F.col("b"), 1).otherwise(0) if own_side else F.col("nb")
+    return rows.select("a", "b", "na", "nb", "hit", "miss", (pair_cost(hit, miss + F.col("nb")) - now).alias("enter"), (now - pair_cost(hit, miss - fewer)).alias("leave"))
 
 
 def profile_rating_entropy(edges: DataFrame, left: DataFrame, right: DataFrame) -> DataFrame:

@@ -13,6 +13,11 @@ def small_or_shuffled(df: DataFrame, rows: int, bytes_per_row: int, limit: int =
     return F.broadcast(df) if rows * bytes_per_row <= limit else df
 
 
+def pairs_table(df: DataFrame, n_blocks: int | None) -> DataFrame:
+    """A table with a row a block pair: broadcast if its size is known and small, else left to the planner."""
+    return df if n_blocks is None else small_or_shuffled(df, n_blocks * n_blocks, 64)
+
+
 def grid(edges: DataFrame, side: int) -> DataFrame:
     """Edges dealt on a side x side grid of vertex hashes: each vertex table row is needed by `side` cells only."""
     cell = lambda c: F.pmod(F.xxhash64(c), F.lit(side)).cast("int")

@@ -8,6 +8,7 @@ from .. import init
 from ..graph import vertices
 from ..hard import fit as hf
 from ..hard import score, stats
+from ..hard.problems import BipartiteGraph, DirectedGraph, ObservedWeights, SimpleGraph
 from ..plans.state import write_state
 from ..rng import portable, portable_sql
 from ..sources import tables as t
@@ -336,7 +337,132 @@ def hard_fit_trace(spark, sf_dir):
     edges = _graph(spark, sf_dir)
     from ..em.loop import Stop
 
-    return hf.fit_simple(edges, K, 0.1, seed=SEED, stop=Stop(max_iter=30)).trace.to_df(spark)
+    return hf.fit_simple(edges, K, 0.1, seed=SEED, stop=Stop(max_iter=30), backend="task").trace.to_df(spark)
+
+
+@query()
+def hard_fit_frames_trace(spark, sf_dir):
+    """The first rounds of the same fit with all tables distributed: the same entropies and moves."""
+    from ..em.loop import Stop
+
+    return hf.fit_simple(_graph(spark, sf_dir), K, 0.1, seed=SEED, stop=Stop(max_iter=3)).trace.to_df(spark).drop("elapsed_s")
+
+
+@query(f"{ROUND1} SELECT id, lab FROM lab1")
+def hard_round_arrow(spark, sf_dir):
+    """hard_round_labels with table scores in numpy batches."""
+    edges = _graph(spark, sf_dir)
+    return hf.one_round(edges, _labels(edges), K, FRAC, "arrow", SEED, 1).select("id", "lab")
+
+
+def _one_turn(problem, state, side):
+    """Labels of a side after one generic round."""
+    moves = hf.plan_moves(problem, state, side, FRAC, SEED, 1, problem.statistics(state))
+    return hf.apply_moves(state[side], moves).select("id", "lab")
+
+
+@query(f"{ROUND1} SELECT id, lab FROM lab1")
+def reassign_simple(spark, sf_dir):
+    """One round of the generic reassignment on the simple-graph problem."""
+    edges = _graph(spark, sf_dir)
+    return _one_turn(SimpleGraph(edges, K), {"": _labels(edges)}, "")
+
+
+def _dense_sql(links: str, table: str, sizes: str, hit: str, own: bool) -> str:
+    """Score part by all partner blocks: links(id, b, x), table(a, b, hit, miss), sizes(b, n)."""
+    s = "(s.n - CASE WHEN s.b = l.lab THEN 1 ELSE 0 END)" if own else "s.n"
+    x = "coalesce(k.x, 0)"
+    stay = f"{cost_sql(f't.{hit}', 't.miss')} - {cost_sql(f't.{hit} - {x}', f't.miss - ({s} - {x})')}"
+    enter = f"{cost_sql(f't.{hit} + {x}', f't.miss + ({s} - {x})')} - {cost_sql(f't.{hit}', 't.miss')}"
+    return f"SELECT l.id, l.lab AS y, t.a, CASE WHEN t.a = l.lab THEN {stay} ELSE {enter} END AS part FROM l JOIN {table} t ON TRUE JOIN {sizes} s ON s.b = t.b LEFT JOIN {links} k ON k.id = l.id AND k.b = t.b"
+
+
+def _picked_sql(side: str = "") -> str:
+    return f"SELECT l.id, CASE WHEN {portable_sql(SEED, f'choose{side}', '1', 'l.id')} < {FRAC} THEN mv.lab ELSE l.lab END AS lab FROM l JOIN mv ON mv.id = l.id"
+
+
+DIRECTED_ROUND = f"""WITH g0 AS ({t.G7}), l AS ({label_sql(3, source='g0')}), g AS (SELECT src, dst FROM g0 WHERE src <> dst), nn AS (SELECT lab AS b, count(*) AS n FROM l GROUP BY 1),
+h AS (SELECT x.lab AS a, y.lab AS b, count(*) AS hit FROM g JOIN l x ON x.id = src JOIN l y ON y.id = dst GROUP BY 1, 2),
+so AS (SELECT x.b AS a, y.b AS b, coalesce(hit, 0) AS hit, CASE WHEN x.b = y.b THEN x.n * (x.n - 1) ELSE x.n * y.n END - coalesce(hit, 0) AS miss FROM nn x CROSS JOIN nn y LEFT JOIN h ON h.a = x.b AND h.b = y.b),
+si AS (SELECT b AS a, a AS b, hit, miss FROM so),
+lo AS (SELECT src AS id, lab AS b, count(*) AS x FROM g JOIN l ON l.id = dst GROUP BY 1, 2), li AS (SELECT dst AS id, lab AS b, count(*) AS x FROM g JOIN l ON l.id = src GROUP BY 1, 2),
+sc AS (SELECT id, y, a, sum(part) AS score FROM ({_dense_sql('lo', 'so', 'nn', 'hit', True)} UNION ALL {_dense_sql('li', 'si', 'nn', 'hit', True)}) GROUP BY 1, 2, 3), {move_cte()}
+{_picked_sql()}"""
+
+
+@query(DIRECTED_ROUND)
+def reassign_directed(spark, sf_dir):
+    edges = t.g7_trade(spark, sf_dir)
+    labels = init.random_labels(vertices(edges), 3, SEED)
+    return _one_turn(DirectedGraph(edges.where("src <> dst").select("src", "dst"), 3), {"": labels}, "")
+
+
+BIPARTITE_ROUND = f"""WITH g AS ({t.G5}), {side_sql('l', 'src', 3, SEED)}, {side_sql('r', 'dst', 4, SEED + 1)},
+na AS (SELECT lab AS a, count(*) AS n FROM l GROUP BY 1), nn AS (SELECT lab AS b, count(*) AS n FROM r GROUP BY 1),
+h AS (SELECT l.lab AS a, r.lab AS b, count(*) AS hit FROM g JOIN l ON l.id = src JOIN r ON r.id = dst GROUP BY 1, 2),
+st AS (SELECT na.a, nn.b, coalesce(hit, 0) AS hit, na.n * nn.n - coalesce(hit, 0) AS miss FROM na CROSS JOIN nn LEFT JOIN h ON h.a = na.a AND h.b = nn.b),
+lk AS (SELECT src AS id, lab AS b, count(*) AS x FROM g JOIN r ON r.id = dst GROUP BY 1, 2),
+sc AS (SELECT id, y, a, sum(part) AS score FROM ({_dense_sql('lk', 'st', 'nn', 'hit', False)}) GROUP BY 1, 2, 3), {move_cte()}
+{_picked_sql('l')}"""
+
+
+@query(BIPARTITE_ROUND)
+def reassign_bipartite(spark, sf_dir):
+    """One turn of the left side where all pairs are possible."""
+    edges = t.g5_like(spark, sf_dir).select("src", "dst")
+    left, right = _sides(edges)
+    return _one_turn(BipartiteGraph(edges, 3, 4), {"l": left, "r": right}, "l")
+
+
+_B2 = "coalesce(c.{0}, 0) - CASE WHEN k.a = q.y THEN q.{0} ELSE 0 END"
+_W2, _R2 = f"({_B2.format('w')})", f"({_B2.format('rest')})"
+BINOMIAL_ROUND = f"""{RATED}, c AS (SELECT a, b, sum(w) AS w, sum(trials - w) AS rest FROM en GROUP BY 1, 2), k AS (SELECT DISTINCT lab AS a FROM l),
+q AS (SELECT src AS id, a AS y, b, sum(w) AS w, sum(trials - w) AS rest FROM en GROUP BY 1, 2, 3),
+sc AS (SELECT q.id, q.y, k.a, sum({cost_sql(f'{_W2} + q.w', f'{_R2} + q.rest')} - {cost_sql(_W2, _R2)}) AS score FROM q CROSS JOIN k LEFT JOIN c ON c.a = k.a AND c.b = q.b GROUP BY 1, 2, 3), {move_cte()}
+{_picked_sql('l')}"""
+
+
+@query(BINOMIAL_ROUND)
+def reassign_binomial(spark, sf_dir):
+    """One turn of the left side with binomial weights on observed edges."""
+    edges = t.g4_rating(spark, sf_dir)
+    left, right = _sides(edges)
+    return _one_turn(ObservedWeights.binomial(edges, 3, 4), {"l": left, "r": right}, "l")
+
+
+@query(f"{RATING_ROUND}")
+def reassign_rating(spark, sf_dir):
+    """One turn of the left side with ratings on observed edges."""
+    edges = t.g4_rating(spark, sf_dir)
+    left, right = _sides(edges)
+    return _one_turn(ObservedWeights.ratings(edges, 3, 4), {"l": left, "r": right}, "l")
+
+
+MIN_BLOCK = 250
+MIN_SIZE = f"""{ROUND1.replace(f'lab1 AS', 'lab9 AS')}, go AS (SELECT s.id, s.y, m.lab, s.stay - s.least_score AS gain FROM (SELECT id, y, min(score) AS least_score, max(CASE WHEN a = y THEN score END) AS stay FROM sc_1 GROUP BY 1, 2) s JOIN mv_1 m USING (id)
+  WHERE m.lab <> s.y AND {portable_sql(SEED, 'choose', '1', 's.id')} < {FRAC}),
+rk AS (SELECT *, row_number() OVER (PARTITION BY y ORDER BY round(gain, 7) DESC, id) AS k FROM go)
+SELECT a AS lab, n - least(n_go, greatest(0, n - {MIN_BLOCK})) AS stays FROM sz_1 JOIN (SELECT y, count(*) AS n_go FROM rk GROUP BY 1) ON y = a"""
+
+
+@query(MIN_SIZE)
+def min_size_refusal(spark, sf_dir):
+    """How many members each block keeps when departures below MIN_BLOCK are refused."""
+    edges = _graph(spark, sf_dir)
+    after = hf.one_round(edges, _labels(edges), K, FRAC, "table", SEED, 1, MIN_BLOCK)
+    left = after.groupBy(F.col("was").alias("lab")).agg(F.count_if(F.col("lab") == F.col("was")).alias("stays"), F.count_if(F.col("lab") != F.col("was")).alias("left"))
+    return left.where("left > 0 OR stays >= 0").select("lab", "stays")
+
+
+@query(
+    f"""WITH g AS (SELECT * FROM {TOY} q), lab AS ({TOY_LABELS}), {stats_cte(k=2)}, {table_cte()}, {EXACT_CTE},
+    gains AS (SELECT e.id, max(CASE WHEN a = y THEN score END) - min(score) AS gain FROM ex e GROUP BY e.id)
+    SELECT CAST(id AS BIGINT) AS id, lab FROM lab WHERE (SELECT max(gain) <= 1e-9 FROM gains)"""
+)
+def polished_labels(spark, sf_dir):
+    """Single exact moves from 000011 on the toy graph end in its locally optimal labeling."""
+    edges, start = toy(spark, (0, 0, 0, 0, 1, 1))
+    return hf.polish(edges, start, 2)[0]
 
 
 @query()
