@@ -1,4 +1,9 @@
-"""Release of graphs from block summaries: sizes and densities only, re-expanded into random graphs."""
+"""Release of graphs from block summaries: sizes and densities only, re-expanded into random graphs.
+
+What is released has ids of its own: the members of block a are first(a), first(a) + 1, ...; a member's number says its
+block and nothing else, since no original id enters. expand() with member_ranks() is the owner's view of the same graph,
+with original ids, for measuring only.
+"""
 
 from __future__ import annotations
 
@@ -9,6 +14,7 @@ from pyspark.sql import functions as F
 
 from ..graph import vertices
 from ..hard.stats import block_pairs, block_sizes, full_pairs, pair_cost
+from ..plans.state import write_state
 from ..rng import numpy_uniform, portable
 
 SLICE = 100_000
@@ -33,28 +39,55 @@ def member_ranks(labels: DataFrame, ranges: int = 256, seed: int = 0) -> DataFra
 
 
 def draw_counts(summary_: DataFrame, replicas: int, seed: int, mode: str = "binomial") -> DataFrame:
-    """replica, a, b, pairs, na, nb, cnt: edges to draw for each block pair; one row a pair, drawn in the driver."""
-    rows = []
-    for r in summary_.collect():
-        for replica in range(replicas):
-            if mode == "fixed_count":
-                n = r["hit"]
-            else:
-                n = int(np.random.default_rng([seed, replica, r["a"], r["b"]]).binomial(r["pairs"], min(1.0, r["density"]))) if r["pairs"] else 0
-            rows.append((replica, r["a"], r["b"], r["pairs"], r["na"], r["nb"], int(n)))
-    return summary_.sparkSession.createDataFrame(rows, "replica int, a int, b int, pairs long, na long, nb long, cnt long")
+    """replica, a, b, pairs, na, nb, cnt: edges to draw for each block pair that can have any, drawn in the tasks as a
+    function of (seed, replica, a, b)."""
+    numbers = F.explode(F.sequence(F.lit(0), F.lit(replicas - 1))).alias("replica")
+    rows = summary_.where((F.col("pairs") > 0) & (F.col("hit") > 0)).select(numbers, *[F.col(c).cast("int").alias(c) for c in ("a", "b")], *[F.col(c).cast("long").alias(c) for c in ("pairs", "na", "nb", "hit")], F.least("density", F.lit(1.0)).alias("density"))
+    if mode == "fixed_count":
+        return rows.select("replica", "a", "b", "pairs", "na", "nb", F.col("hit").alias("cnt"))
 
+    def draw(batches):
+        for frame in batches:
+            frame["cnt"] = [int(np.random.default_rng([seed, r.replica, r.a, r.b]).binomial(r.pairs, r.density)) for r in frame.itertuples()]
+            yield frame[["replica", "a", "b", "pairs", "na", "nb", "cnt"]]
+
+    return rows.mapInPandas(draw, "replica int, a int, b int, pairs long, na long, nb long, cnt long")
 
-def expand(counts: DataFrame, ranks: DataFrame, seed: int) -> DataFrame:
-    """replica, src, dst: cnt distinct pairs of each block pair, chosen by a keyed permutation of pair numbers.
+
+def _numbered(counts: DataFrame, seed: int) -> DataFrame:
+    """replica, a, b, i, j: cnt distinct pairs of members of each block pair, by a keyed permutation of pair numbers.
 
     Distinct numbers stay distinct, so no shuffle removes repeats; work and rows grow with the edges, not the pairs.
     """
     slices = counts.where("cnt > 0").withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("cnt") - 1) / SLICE))))
-    numbered = slices.mapInPandas(_draw_pairs(seed), "replica int, a int, b int, i long, j long")
+    return slices.mapInPandas(_draw_pairs(seed), "replica int, a int, b int, i long, j long")
+
+
+def new_ids(summary_: DataFrame) -> DataFrame:
+    """a, n, first: the released ids of block a are first .. first + n - 1; one row a block."""
+    sizes = summary_.where("a = b").select("a", F.col("na").cast("long").alias("n"))
+    before = F.coalesce(F.sum("n").over(W.orderBy("a").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    return sizes.select("a", "n", before.alias("first"))
+
+
+def new_labels(summary_: DataFrame) -> DataFrame:
+    """id, lab of the vertices of a release, those without edges included."""
+    return new_ids(summary_).where("n > 0").select(F.explode(F.sequence(F.col("first"), F.col("first") + F.col("n") - 1)).alias("id"), F.col("a").alias("lab"))
+
+
+def released(summary_: DataFrame, counts: DataFrame, seed: int) -> DataFrame:
+    """replica, src, dst with new ids: from the summary and the drawn counts alone."""
+    firsts = new_ids(summary_).select("a", "first")
+    met = _numbered(counts, seed).join(firsts, "a").withColumn("u", F.col("i") + F.col("first")).drop("first")
+    met = met.join(firsts.withColumnRenamed("a", "b"), "b").withColumn("v", F.col("j") + F.col("first"))
+    return met.select("replica", F.least("u", "v").alias("src"), F.greatest("u", "v").alias("dst"))
+
+
+def expand(counts: DataFrame, ranks: DataFrame, seed: int) -> DataFrame:
+    """replica, src, dst: the owner's view of a release, with the ids that ranks has for the members."""
     left = ranks.select(F.col("a"), F.col("rank").alias("i"), F.col("id").alias("u"))
     right = ranks.select(F.col("a").alias("b"), F.col("rank").alias("j"), F.col("id").alias("v"))
-    met = numbered.join(left, ["a", "i"]).join(right, ["b", "j"])
+    met = _numbered(counts, seed).join(left, ["a", "i"]).join(right, ["b", "j"])
     return met.select("replica", F.least("u", "v").alias("src"), F.greatest("u", "v").alias("dst"))
 
 
@@ -95,9 +128,22 @@ def _draw_pairs(seed: int):
     return draw
 
 
-def anonymised(edges: DataFrame, labels: DataFrame, n_blocks: int, seed: int = 1, replicas: int = 5, mode: str = "binomial") -> DataFrame:
-    """replica, src, dst: graphs drawn from the blocks of a labeling."""
-    return expand(draw_counts(summary(edges, labels, n_blocks), replicas, seed, mode), member_ranks(labels), seed)
+def anonymised(edges: DataFrame, labels: DataFrame, n_blocks: int, seed: int = 1, replicas: int = 5, mode: str = "binomial", min_block: int = 0) -> DataFrame:
+    """replica, src, dst: graphs drawn from the blocks of a labeling, with new ids. min_block: blocks below it are
+    merged into others first, so that every released vertex has that many equals; fails if there are fewer vertices."""
+    if min_block:
+        labels = enough_members(edges, labels, n_blocks, min_block)
+    whole = write_state(summary(edges, labels, n_blocks), "summary")
+    return released(whole, draw_counts(whole, replicas, seed, mode), seed)
+
+
+def enough_members(edges: DataFrame, labels: DataFrame, n_blocks: int, min_block: int) -> DataFrame:
+    """labels whose blocks all have min_block members."""
+    labels = merge_until(edges, write_state(labels.select("id", "lab"), "labels"), n_blocks, min_block)
+    smallest = labels.groupBy("lab").agg(F.count("*").alias("n")).agg(F.min("n")).first()[0]
+    if smallest is not None and smallest < min_block:
+        raise ValueError(f"{smallest} vertices cannot make a block of {min_block}")
+    return labels
 
 
 def erdos_renyi(edges: DataFrame, seed: int = 1, replicas: int = 1) -> DataFrame:
@@ -149,8 +195,6 @@ def merge_small(edges: DataFrame, labels: DataFrame, n_blocks: int, min_block: i
 
 def merge_until(edges: DataFrame, labels: DataFrame, n_blocks: int, min_block: int) -> DataFrame:
     """merge_small until every block has min_block members."""
-    from ..plans.state import write_state
-
     for _ in range(n_blocks):
         if labels.groupBy("lab").agg(F.count("*").alias("n")).where(F.col("n") < min_block).isEmpty():
             break

@@ -19,6 +19,7 @@ from ..rng import portable_sql
 from ..sources import tables as t
 from .base import cost_sql, query
 from .hard import K, SEED, _graph, _labels, label_sql, stats_cte, toy
+from .soft import cat_sql, mem_sql
 
 KM = 3
 LOG2PI = repr(math.log(2 * math.pi))
@@ -250,7 +251,7 @@ def expand_block_counts(spark, sf_dir):
     """Edges of each block pair after an exact-count release: the counts of the original."""
     edges, labels = _setup(spark, sf_dir)
     out = release.anonymised(edges, labels, K, SEED, 1, "fixed_count")
-    ends = stats.labelled(out, labels).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), "src", "dst").distinct()
+    ends = stats.labelled(out, release.new_labels(release.summary(edges, labels, K))).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), "src", "dst").distinct()
     return ends.groupBy("a", "b").agg(F.count("*").alias("n"))
 
 
@@ -269,7 +270,25 @@ def expand_sparse(spark, sf_dir):
     return release.anonymised(edges, labels, K, SEED, 2)
 
 
-@query()
+@query(f"{BASE} SELECT CAST((SELECT sum(n) FROM sz) AS BIGINT) AS vertices, CAST(0 AS BIGINT) AS least_id, CAST((SELECT sum(n) FROM sz) - 1 AS BIGINT) AS largest_id, 0 AS outside, (SELECT count(*) FROM sz WHERE n > 0) AS blocks")
+def released_ids(spark, sf_dir):
+    """Ids of a release: numbers by block, whatever the original ids; none of them enters."""
+    edges, labels = _setup(spark, sf_dir)
+    shift = 10**9  # other original ids, the same graph: the release must not change
+    moved = edges.select((F.col("src") + shift).alias("src"), (F.col("dst") + shift).alias("dst"))
+    one = release.anonymised(edges, labels, K, SEED, 1)
+    other = release.anonymised(moved, labels.select((F.col("id") + shift).alias("id"), "lab"), K, SEED, 1)
+    outside = one.exceptAll(other).count() + other.exceptAll(one).count()
+    new = release.new_labels(release.summary(edges, labels, K))
+    return new.agg(F.count("*").alias("vertices"), F.min("id").alias("least_id"), F.max("id").alias("largest_id"), F.lit(outside).alias("outside"), F.countDistinct("lab").alias("blocks"))
+
+
+SOFT_N = f"""WITH ids AS (SELECT CAST(n_nationkey AS BIGINT) AS id FROM nation), {mem_sql('m0', 'SELECT id FROM ids', 3, 'l')}, {cat_sql(3, 3, 2)}, dn AS (SELECT a, b, p FROM cat0 WHERE c = 1),
+pr AS (SELECT x.id AS src, y.id AS dst, sum(x.p * y.p * dn.p) AS pred FROM m0 x JOIN m0 y ON x.id < y.id JOIN dn ON dn.a = x.k AND dn.b = y.k GROUP BY 1, 2)
+SELECT src, dst FROM pr WHERE {portable_sql(SEED, 'expandsoft', 'src', 'dst')} < pred"""
+
+
+@query(SOFT_N)
 def expand_soft(spark, sf_dir):
     """A release from soft memberships over the nation graph."""
     ids = t.table(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("long").alias("id"))

@@ -165,7 +165,7 @@ def sampled_em_entropy_trace(spark, sf_dir):
 )
 def discrete_draw(spark, sf_dir):
     right = steps.starts(_edges(spark, sf_dir), SIZES, SEED)[1]
-    return right.select("id", draw_block(cumulative(F.col("vec")), portable(SEED, "draw", F.col("id"))).alias("block"))
+    return right.select("id", cumulative(F.col("vec")).alias("cum")).select("id", draw_block(F.col("cum"), portable(SEED, "draw", F.col("id")), B).alias("block"))
 
 
 UNI = f"""WITH e AS (SELECT src, dst, CASE WHEN w >= 2 THEN 1 ELSE 0 END AS cat FROM ({t.G1})), {mem_sql('m0', 'SELECT src AS id FROM e UNION SELECT dst FROM e', 2, 'l')}, {cat_sql(2, 2, 2)},

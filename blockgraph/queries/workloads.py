@@ -10,38 +10,77 @@ from ..sources import tables as t
 from .base import query
 
 
+BUDGET_S = 8.0
+
+
+@query()
+def workload_rating_curves(spark, sf_dir):
+    """Entropy and test error against seconds: exact and sampled (10, 20, 30 draws) fits of planted ratings, 10 + 10
+    blocks, five folds, a time budget a fit."""
+    return w.rating(spark, sf_dir, "p2", 10, 10, (None, 10, 20, 30), budget_s=BUDGET_S, hard=False)
+
+
 @query()
 def workload_rating(spark, sf_dir):
-    """Exact, sampled (10, 20, 30 draws) and hard fits of planted ratings: training entropy, test RMSE, seconds."""
-    return w.rating(spark, sf_dir, "p2", 5, 5, (None, 10, 20, 30), rounds=4)
+    """The same at the end of the budget, averaged over the folds."""
+    return w.final_rounds(w.rating(spark, sf_dir, "p2", 10, 10, (None, 10, 20, 30), budget_s=BUDGET_S, hard=False))
 
 
 @query()
 def workload_rating_given(spark, sf_dir):
     """The same on the given ratings, which have no structure: fits lower the entropy, not the RMSE."""
-    return w.rating(spark, sf_dir, "g4", 5, 5, (None, 20), rounds=3, hard=False)
+    return w.final_rounds(w.rating(spark, sf_dir, "g4", 10, 10, (None, 10, 20, 30), budget_s=BUDGET_S, hard=False))
+
+
+@query()
+def workload_soft_hard_curves(spark, sf_dir):
+    """Sampled (30 draws) and hard fits with 15 + 15 blocks, five folds: entropy and test error after each round."""
+    return w.rating(spark, sf_dir, "p2", 15, 15, (30,), rounds=60, budget_s=3 * BUDGET_S, tol=1e-5)
+
+
+@query()
+def workload_soft_hard(spark, sf_dir):
+    """The same at the end: rounds, seconds, entropy, RMSE."""
+    return w.final_rounds(w.rating(spark, sf_dir, "p2", 15, 15, (30,), rounds=60, budget_s=3 * BUDGET_S, tol=1e-5))
 
 
 @query()
 def workload_block_sweep(spark, sf_dir):
-    return w.block_sweep(spark, sf_dir, (4, 8), 1, 10)
+    """Seconds a round of exact and sampled fits at 5, 10, 20 and 40 blocks a side."""
+    return w.block_sweep(spark, sf_dir, (5, 10, 20, 40), 2)
 
 
 @query()
 def workload_fraction_sparse(spark, sf_dir):
-    """Traces with fractions 0.1 and 1.0 on the sparse co-purchase graph."""
-    return w.fraction(spark, write_state(t.g1_sparse(spark, sf_dir).select("src", "dst"), "edges"), 8, 40)
+    """Traces with fractions 0.1 and 1.0, 100 blocks, 300 rounds, on a sparse heavy-tailed graph."""
+    return w.fraction(spark, w.scaled(spark, sf_dir, w.INTERNET, 0.8), w.INTERNET["blocks"], w.INTERNET["rounds"])
 
 
 @query()
 def workload_fraction_dense(spark, sf_dir):
-    return w.fraction(spark, write_state(t.g1_copurchase(spark, sf_dir).select("src", "dst"), "edges"), 8, 40)
+    """The same with 300 blocks, 150 rounds, on a denser graph."""
+    return w.fraction(spark, w.scaled(spark, sf_dir, w.COAUTHORS, 0.6), w.COAUTHORS["blocks"], w.COAUTHORS["rounds"])
+
+
+BLOCK_COUNTS = (5, 10, 20, 50)
 
 
 @query()
 def workload_anonymise(spark, sf_dir):
-    """Clustering coefficient, degree distance and overlap of releases from optimised and random blocks."""
-    return w.anonymise(spark, t.g1_sparse(spark, sf_dir), (2, 8), replicas=2)
+    """Entropy, path length, clustering coefficient, degree distance and overlap of five releases at each of four block
+    counts, from optimised and from random blocks, on the sparse graph."""
+    return w.anonymise(spark, w.scaled(spark, sf_dir, w.INTERNET, 0.8), BLOCK_COUNTS)
+
+
+@query()
+def workload_anonymise_dense(spark, sf_dir):
+    return w.anonymise(spark, w.scaled(spark, sf_dir, w.COAUTHORS, 0.6), BLOCK_COUNTS)
+
+
+@query()
+def workload_degrees(spark, sf_dir):
+    """Degree distributions of the same releases beside the original's."""
+    return w.degree_distributions(spark, w.scaled(spark, sf_dir, w.INTERNET, 0.8), BLOCK_COUNTS)
 
 
 @query()

@@ -102,6 +102,22 @@ def planted_simple(spark: SparkSession, sf_dir: str, inside: float = 0.02, acros
     return pairs.where(portable(seed, "p1", F.col("src"), F.col("dst")) < chance)
 
 
+def g1_heavy(spark: SparkSession, sf_dir: str, wanted: int, gamma: float = 0.8, seed: int = 1) -> DataFrame:
+    """About `wanted` edges of the co-purchase graph with heavy-tailed degrees: a part has a rank by hash and the weight
+    rank^-gamma, an edge stays with a chance in proportion to both weights."""
+    edges = g1_copurchase(spark, sf_dir).select("src", "dst")
+    n = table(spark, sf_dir, "part").count()
+    weight = lambda c: F.pow(F.floor(portable(seed, "heavy", F.col(c)) * n) + 1, F.lit(-gamma))
+    weighed = edges.withColumn("w", weight("src") * weight("dst"))
+    scale = 1.0
+    for _ in range(6):  # chances end at 1, so the scale is found by repetition
+        kept = weighed.agg(F.sum(F.least(F.lit(1.0), F.col("w") * scale))).first()[0]
+        if not kept:
+            break
+        scale *= wanted / kept
+    return weighed.where(portable(seed, "heavyedge", F.col("src"), F.col("dst")) < F.col("w") * scale).select("src", "dst")
+
+
 def planted_rating(spark: SparkSession, sf_dir: str, keep: float = 0.7, seed: int = 42) -> DataFrame:
     """The pairs of g4 with ratings from planted blocks src mod 4, dst mod 3."""
     block = (2 * (F.col("src") % 4) + 3 * (F.col("dst") % 3)) % 5 + 1
