@@ -7,6 +7,7 @@ from collections.abc import Callable, Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle, StreamingQuery
 
 from ..hard.stats import labelled
 from ..soft import predict, steps
@@ -72,26 +73,59 @@ def clicks_to_purchases(clicks: DataFrame, purchases: DataFrame, within: str = "
     return a.join(b, near).select("src", "click_id", "purchase_id", "click_ts", "purchase_ts")
 
 
-def user_counts(events: DataFrame, idle: str = "2 hours") -> DataFrame:
-    """user_id, n, closed: running event counts of each user, closed when it stays idle for that long in event time."""
-    from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
-
-    limit = int(pd.Timedelta(idle).total_seconds() * 1000)
-
-    def update(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        if state.hasTimedOut:
-            (n,) = state.get
-            state.remove()
-            yield pd.DataFrame({"user_id": [key[0]], "n": [n], "closed": [True]})
-            return
-        (n,) = state.get if state.exists else (0,)
+def read_rate(spark: SparkSession, rows_per_second: int = 100, vertices: int = 1000) -> DataFrame:
+    """src, dst, ts: a synthetic stream of edges, for load tests."""
+    rows = spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).load()
+    end = lambda k: F.pmod(F.xxhash64("value", F.lit(k)), F.lit(vertices))
+    return rows.select(end(0).alias("src"), end(1).alias("dst"), F.col("timestamp").alias("ts"))
+
+
+def late_rows(query: StreamingQuery) -> int:
+    """Rows that came behind the watermark and were dropped, over the progress that the query still remembers."""
+    return sum(operator["numRowsDroppedByWatermark"] for progress in query.recentProgress for operator in progress["stateOperators"])
+
+
+USER_COUNTS = "user_id long, n long, closed boolean"
+
+
+class IdleCounts(StatefulProcessor):
+    """Counts rows of a key; a timer in event time closes and forgets it when it stays idle for `idle_ms`."""
+
+    def __init__(self, idle_ms: int) -> None:
+        self.idle_ms = idle_ms
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.handle = handle
+        self.count = handle.getValueState("count", "n long, due long")
+
+    def handleInputRows(self, key: tuple, rows: Iterator[pd.DataFrame], timerValues: object) -> Iterator[pd.DataFrame]:  # noqa: N802, N803  names of the interface
+        n, due = self.count.get() if self.count.exists() else (0, 0)
         latest = 0
-        for frame in frames:
+        for frame in rows:
             n += len(frame)
             latest = max(latest, int(frame["ts"].max().timestamp() * 1000))
-        state.update((n,))
-        state.setTimeoutTimestamp(max(latest, state.getCurrentWatermarkMs() + 1) + limit)
+        later = max(due, latest + self.idle_ms, timerValues.getCurrentWatermarkInMs() + 1)
+        if due and later != due:
+            self.handle.deleteTimer(due)
+        if later != due:
+            self.handle.registerTimer(later)
+        self.count.update((n, later))
         yield pd.DataFrame({"user_id": [key[0]], "n": [n], "closed": [False]})
 
+    def handleExpiredTimer(self, key: tuple, timerValues: object, expiredTimerInfo: object) -> Iterator[pd.DataFrame]:  # noqa: N802, N803
+        n, _ = self.count.get()
+        self.count.clear()
+        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "closed": [True]})
+
+    def close(self) -> None:
+        pass
+
+
+def user_counts(events: DataFrame, idle: str = "2 hours") -> DataFrame:
+    """user_id, n, closed: running event counts of each user, closed when it stays idle for that long in event time.
+
+    Keyed state with timers; the session's state store must be the RocksDB one, which Spark asks for here.
+    """
     rows = events.withWatermark("ts", "1 hour").select("user_id", "ts")
-    return rows.groupBy("user_id").applyInPandasWithState(update, "user_id long, n long, closed boolean", "n long", "update", GroupStateTimeout.EventTimeTimeout)
+    processor = IdleCounts(int(pd.Timedelta(idle).total_seconds() * 1000))
+    return rows.groupBy("user_id").transformWithStateInPandas(processor, outputStructType=USER_COUNTS, outputMode="Update", timeMode="EventTime")

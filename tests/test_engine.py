@@ -83,7 +83,7 @@ def noisy(planted, noise=0.4):
     return vertices(planted).select("id", F.when(u < noise, F.floor(portable(6, "noise", F.col("id")) * 4)).otherwise(F.col("id") % 4).cast("int").alias("lab"))
 
 
-@pytest.mark.parametrize("backend", ["local", "frames"])
+@pytest.mark.parametrize("backend", ["task", "frames"])
 def test_planted_blocks_return_from_noise(planted, backend):
     start = write_state(noisy(planted), "start")
     fit = hf.fit_simple(planted, 4, 0.3, start=start, stop=Stop(max_iter=12, tol=0), backend=backend)
@@ -97,7 +97,7 @@ def test_planted_blocks_return_from_noise(planted, backend):
 def test_backends_give_equal_labels(planted, frac):
     start = write_state(noisy(planted), "start")
     for stop in (Stop(max_iter=4, tol=0), Stop(max_iter=6, tol=0.05, patience=2)):
-        local, frames = (hf.fit_simple(planted, 4, frac, seed=9, start=start, stop=stop, backend=b) for b in ("local", "frames"))
+        local, frames = (hf.fit_simple(planted, 4, frac, seed=9, start=start, stop=stop, backend=b) for b in ("task", "frames"))
         assert sorted(map(tuple, local.labels.collect())) == sorted(map(tuple, frames.labels.collect()))
         assert [r[4] for r in local.trace.rows] == [r[4] for r in frames.trace.rows]
         assert np.allclose(local.trace.entropies, frames.trace.entropies, rtol=1e-9)
@@ -199,7 +199,7 @@ def test_one_hot_soft_equals_hard_entropy(spark, ratings):
 def test_planted_ratings_are_learnt(spark, sf):
     from blockgraph.eval import workloads
 
-    rows = {r["method"]: r for r in workloads.rating(spark, sf, "p2", 5, 5, (None, 20), rounds=12).collect()}
+    rows = {r["method"]: r for r in workloads.final_rounds(workloads.rating(spark, sf, "p2", 5, 5, (None, 20), rounds=12, folds=(0,))).collect()}
     assert set(rows) == {"exact", "sampled 20", "hard"} and all(r["rmse"] < 1.4 for k, r in rows.items() if k != "hard")
 
 

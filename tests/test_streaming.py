@@ -42,8 +42,17 @@ def test_clicks_meet_purchases(spark, sf, events, tmp_path):
     assert sorted((r["click_id"], r["purchase_id"]) for r in out.collect()) == sorted((r["click_id"], r["purchase_id"]) for r in QUERIES["interval_click_purchase"](spark, sf).collect())
 
 
+ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+
+
 def test_counts_keep_state(spark, sf, events, tmp_path):
-    out = drained(live.user_counts(events), "counts", tmp_path, "update")
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", ROCKS)
+    try:
+        out = drained(live.user_counts(events), "counts", tmp_path, "update")
+    finally:
+        spark.conf.unset("spark.sql.streaming.stateStore.providerClass")
+    real = spark.read.parquet(f"{sf}/events.parquet").groupBy("user_id").agg(F.count("*").alias("n"))
+    assert out.where("NOT closed").groupBy("user_id").agg(F.max("n").alias("n")).exceptAll(real).isEmpty()
     assert out.where("NOT closed").groupBy("user_id").agg(F.max("n").alias("n")).count() == spark.read.parquet(f"{sf}/events.parquet").select("user_id").distinct().count()
 
 
@@ -56,3 +65,32 @@ def test_fold_in_by_batches(spark, sf, tmp_path):
     q = stream.writeStream.foreachBatch(live.fold_in_batches(right, cat, sizes, str(tmp_path / "mem"))).option("checkpointLocation", str(tmp_path / "ck")).trigger(availableNow=True).start()
     q.awaitTermination(120)
     assert spark.read.parquet(str(tmp_path / "mem")).count() == edges.select("src").distinct().count()
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    source = str(tmp_path / "late")
+    row = lambda k, ts: spark.createDataFrame([(k, ts, 1, "view", 1.0, '{"k": 3}')], "event_id long, ts string, user_id long, event_type string, value double, props string").withColumn("ts", F.col("ts").cast("timestamp_ntz"))
+    for k, ts in enumerate(("2024-01-01 10:00:00", "2024-01-05 10:00:00", "2024-01-05 11:00:00", "2024-01-01 09:00:00")):
+        row(k, ts).coalesce(1).write.mode("append").parquet(source)
+        import time
+
+        time.sleep(1.1)  # files are taken in the order of their times
+    # the watermark that rows are held against is the one of the batch before
+    limited = spark.readStream.schema(live.EVENTS).option("maxFilesPerTrigger", 1).parquet(source).withColumn("ts", F.col("ts").cast("timestamp"))
+    counted = limited.withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 hour"), "user_id").count()
+    q = counted.writeStream.outputMode("update").format("memory").queryName("late").option("checkpointLocation", str(tmp_path / "ck-late")).trigger(availableNow=True).start()
+    q.awaitTermination(120)
+    assert live.late_rows(q) == 1
+
+
+def test_rate_source_makes_edges(spark, tmp_path):
+    import time
+
+    q = live.read_rate(spark, 50, 20).writeStream.format("memory").queryName("rate").option("checkpointLocation", str(tmp_path / "ck-rate")).trigger(processingTime="1 second").start()
+    for _ in range(60):
+        time.sleep(1)
+        if spark.table("rate").count():
+            break
+    q.stop()
+    rows = spark.table("rate").collect()
+    assert rows and all(0 <= r["src"] < 20 and 0 <= r["dst"] < 20 for r in rows)
