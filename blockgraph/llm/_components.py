@@ -1,45 +1,13 @@
-"""Connected components of an edge table by alternating large-star and small-star, one written table a round."""
+"""Connected components by alternating large-star and small-star, its rounds in the scratch folder of this package."""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
+from ..plans import stars
 from ._common import forget, materialise
 
 
-def _both_ways(edges: DataFrame) -> DataFrame:
-    return edges.unionAll(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-
-
-def _large_star(edges: DataFrame) -> DataFrame:
-    """Hang each larger neighbour of a node on the node's smallest neighbour (or itself)."""
-    both = _both_ways(edges)
-    least = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-    return both.where("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
-
-
-def _small_star(edges: DataFrame) -> DataFrame:
-    """Hang each node and its smaller neighbours on the smallest of them; edges come as a > b."""
-    least = edges.groupBy("a").agg(F.min("b").alias("m"))
-    moved = edges.join(least, "a").where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
-    return moved.unionAll(least.select("a", F.col("m").alias("b"))).distinct()
-
-
-def _mark(edges: DataFrame) -> tuple:
-    return tuple(edges.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
-
-
 def components(edges: DataFrame, label: str = "components", rounds: int = 200) -> DataFrame:
     """node, root for each node of edges(a, b), long ids; root is the smallest id reachable. Self-loops are ignored."""
-    current = materialise(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), label)
-    mark = _mark(current)
-    for _ in range(rounds):
-        following = materialise(_small_star(_large_star(current)), label)
-        forget(current)
-        current, before, mark = following, mark, _mark(following)
-        if mark == before:
-            break
-    else:
-        raise RuntimeError(f"components did not settle in {rounds} rounds")
-    return current.select(F.col("a").alias("node"), F.col("b").alias("root")).unionAll(current.select(F.col("b").alias("node"), F.col("b").alias("root"))).distinct()
+    return stars.components(edges, label, rounds, materialise, forget)
