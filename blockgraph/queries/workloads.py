@@ -10,7 +10,7 @@ from ..sources import tables as t
 from .base import query
 
 
-BUDGET_S = 8.0
+BUDGET_S = 4.0
 
 
 @query()
