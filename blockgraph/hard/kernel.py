@@ -9,7 +9,7 @@ from collections.abc import Iterator, Sequence
 import numpy as np
 
 from ..em.loop import Stop
-from ..rng import portable_numpy
+from ..rng import decimals, portable_numpy
 
 
 def g(x: np.ndarray) -> np.ndarray:
@@ -126,18 +126,19 @@ def rounds(graph: Graph, lab: np.ndarray, k: int, frac: float | Sequence[float],
     stop there are max_iter rounds; damping: the share of moves that are held back."""
     lab, began = lab.copy(), time.monotonic()
     ids = np.arange(graph.n) if ids is None else ids
+    digits = decimals(ids)
     fracs = [frac] * max_iter if np.isscalar(frac) else frac
     entropies = [graph.entropy(lab, k)]
     while len(entropies) <= max_iter and not (stop and stop.reached(entropies, time.monotonic() - began)):
         number = len(entropies)
         frac = fracs[number - 1]
-        chosen = np.flatnonzero(portable_numpy(seed, "choose", number, ids) < frac) if frac < 1 else np.arange(graph.n)
+        chosen = np.flatnonzero(portable_numpy(seed, "choose", number, digits) < frac) if frac < 1 else np.arange(graph.n)
         moved = 0
         if len(chosen):
             best, gain = best_blocks(table_scores(graph, lab, k, chosen), lab[chosen])
             go = np.flatnonzero(best != lab[chosen])
             if damping:
-                go = go[portable_numpy(seed, "damp", number, ids[chosen[go]]) >= damping]
+                go = go[portable_numpy(seed, "damp", number, digits[chosen[go]]) >= damping]
             if min_block:
                 go = go[allowed_to_leave(gain[go], lab[chosen[go]], ids[chosen[go]], np.bincount(lab, minlength=k), min_block)]
             moved = len(go)
@@ -224,7 +225,7 @@ class RatedPairs:
 
     def rounds(self, left: np.ndarray, right: np.ndarray, na: int, nb: int, frac, seed: int, trace, stop: Stop) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         """Yield both labelings at the start and after each round, one side after the other, as the DataFrame rounds do."""
-        labels, sizes = [left.copy(), right.copy()], (na, nb)
+        labels, sizes, digits = [left.copy(), right.copy()], (na, nb), [decimals(ids) for ids in self.ids]
         with trace.untimed():
             trace.add(self.entropy(*labels, na, nb))
         yield labels[0], labels[1]
@@ -233,7 +234,7 @@ class RatedPairs:
             share = frac(number) if callable(frac) else frac
             for side, name in enumerate("lr"):
                 own, other = labels[side], labels[1 - side]
-                chosen = np.flatnonzero(portable_numpy(seed, f"choose{name}", number, self.ids[side]) < share) if share < 1 else np.arange(len(own))
+                chosen = np.flatnonzero(portable_numpy(seed, f"choose{name}", number, digits[side]) < share) if share < 1 else np.arange(len(own))
                 if len(chosen):
                     best, _ = best_blocks(self.scores(side, own, other, sizes[side], sizes[1 - side], chosen), own[chosen])
                     moved += int((best != own[chosen]).sum())

@@ -26,11 +26,57 @@ def portable(seed: int, purpose: str, *keys: Column | int | str) -> Column:
     return uniform_of(_text(seed, purpose, keys))
 
 
+# Fixed values of MD5: the rotations of its four turns and the starting state. Its 64 addends follow from a rule.
+ROTATIONS = ((7, 12, 17, 22), (5, 9, 14, 20), (4, 11, 16, 23), (6, 10, 15, 21))
+STARTING_STATE = (0x67452301, 0xEFCDAB89, 0x98BADCFE, 0x10325476)
+ADDENDS = np.floor(np.abs(np.sin(np.arange(1, 65))) * 2.0**32).astype(np.uint32)
+ONE_BLOCK = 55
+DECIMALS = 20
+AT_ONCE = 1 << 12
+
+
+def decimals(ids: np.ndarray) -> np.ndarray:
+    """Ids in decimals: one row of bytes each, zeros behind."""
+    texts = np.ascontiguousarray(np.asarray(ids, np.int64).astype(f"S{DECIMALS}"))
+    return texts.view(np.uint8).reshape(len(texts), DECIMALS)
+
+
+def _md5_heads(prefix: bytes, digits: np.ndarray) -> np.ndarray:
+    """First 8 bytes of the md5 of prefix and each row of digits, as big-endian numbers; texts of one block only."""
+    length = len(prefix) + (digits != 0).sum(axis=1)
+    block = np.zeros((len(digits), 64), np.uint8)
+    block[:, : len(prefix)] = np.frombuffer(prefix, np.uint8)
+    block[:, len(prefix) : len(prefix) + DECIMALS] = digits
+    block[np.arange(len(digits)), length] = 0x80
+    words = np.ascontiguousarray(block.view("<u4").T)
+    words[14] = 8 * length
+    a, b, c, d = (np.full(len(digits), x, np.uint32) for x in STARTING_STATE)
+    for turn, rotations in enumerate(ROTATIONS):
+        for k in range(16):
+            if turn == 0:
+                mixed, word = d ^ (b & (c ^ d)), k
+            elif turn == 1:
+                mixed, word = c ^ (d & (b ^ c)), 5 * k + 1
+            elif turn == 2:
+                mixed, word = b ^ c ^ d, 3 * k + 5
+            else:
+                mixed, word = c ^ (b | ~d), 7 * k
+            mixed += a
+            mixed += words[word % 16]
+            mixed += ADDENDS[16 * turn + k]
+            by = rotations[k % 4]
+            a, b, c, d = d, b + (mixed << np.uint32(by) | mixed >> np.uint32(32 - by)), b, c
+    high, low = ((x + np.uint32(first)).byteswap().astype(np.uint64) for x, first in zip((a, b), STARTING_STATE))
+    return high << np.uint64(32) | low
+
+
 def portable_numpy(seed: int, purpose: str, round_: int, ids: np.ndarray) -> np.ndarray:
-    """portable(seed, purpose, round_, id) for an array of ids, outside Spark."""
-    prefix = f"{seed}|{purpose}|{round_}|".encode()
-    digests = b"".join(hashlib.md5(prefix + b"%d" % i).digest() for i in ids.tolist())
-    return (np.frombuffer(digests, ">u8")[::2] >> np.uint64(64 - 4 * HEX_DIGITS)) / SPAN
+    """portable(seed, purpose, round_, id) for an array of ids, or for decimals(ids), outside Spark."""
+    prefix, digits = f"{seed}|{purpose}|{round_}|".encode(), ids if ids.ndim == 2 else decimals(ids)
+    if len(prefix) + DECIMALS > ONE_BLOCK:
+        return portable_texts(seed, purpose, [f"{round_}|{bytes(row[row != 0]).decode()}" for row in digits])
+    heads = [_md5_heads(prefix, digits[at : at + AT_ONCE]) for at in range(0, len(digits), AT_ONCE)]
+    return (np.concatenate([np.zeros(0, np.uint64), *heads]) >> np.uint64(64 - 4 * HEX_DIGITS)) / SPAN
 
 
 def portable_texts(seed: int, purpose: str, keys: list[str]) -> np.ndarray:

@@ -15,7 +15,7 @@ from blockgraph.metrics import privacy as mp
 from blockgraph.plans import placement
 from blockgraph.plans.state import write_state
 from blockgraph.queries.hard import TOY_EDGES, toy
-from blockgraph.rng import alias_arrays, alias_table, draw_alias, fast, numpy_uniform, portable
+from blockgraph.rng import alias_arrays, alias_table, decimals, draw_alias, fast, numpy_uniform, portable, portable_numpy, portable_texts
 from blockgraph.soft import model, steps
 from blockgraph.sources import edges as se
 from blockgraph.sources import tables as t
@@ -256,6 +256,14 @@ def test_draws_may_grow(ratings):
     assert len(fit.trace.entropies) == 3
 
 
+def test_draws_of_arrays_are_those_of_texts():
+    ids = np.concatenate((np.arange(9000), np.random.default_rng(1).integers(-(2**63), 2**63 - 1, 500), [-(2**63), 2**63 - 1, -1]))
+    for purpose in ("choose", "x" * 27, "x" * 28, "x" * 60):  # texts of one block of the hash and longer ones
+        want = portable_texts(7, purpose, [f"12|{i}" for i in ids.tolist()])
+        assert np.array_equal(portable_numpy(7, purpose, 12, ids), want) and np.array_equal(portable_numpy(7, purpose, 12, decimals(ids)), want)
+    assert len(portable_numpy(7, "choose", 12, ids[:0])) == 0
+
+
 def test_random_numbers(spark):
     row = spark.range(1).select(portable(5, "7").alias("u")).first()
     assert abs(row["u"] - 0.2224815922201402) < 1e-15
