@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ._common import ODD, gram_hashes, materialise, mix, text_key, texts_of, word_bounds, word_hashes
+from ._common import ODD, forget, gram_hashes, materialise, mix, text_key, texts_of, word_bounds, word_hashes
 from ._components import components
 
 SHINGLE = 5
@@ -206,7 +206,8 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, block: int = BLOCK) ->
 
     buckets = classes.where(F.length("bands") > 0).select(F.col("doc_id").alias("node"), "bands").mapInArrow(_unpack, "node long, bucket long")
     least = buckets.groupBy("bucket").agg(F.min("node").alias("least"), F.count("*").alias("n")).where("n > 1").drop("n")
-    pairs = buckets.join(least, "bucket").where("node <> least").select(F.col("node").alias("a"), F.col("least").alias("b")).distinct()
+    shared = materialise(buckets.join(least, "bucket").select("node", "bucket", "least"), "shared")  # buckets of one class lead nowhere
+    pairs = shared.where("node <> least").select(F.col("node").alias("a"), F.col("least").alias("b")).distinct()
     clusters = materialise(components(pairs, "clusters"), "clustered")
     large = clusters.groupBy("root").agg(F.count("*").alias("n")).where(F.col("n") > block).select("root")
 
@@ -214,11 +215,13 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, block: int = BLOCK) ->
         """The joining links of all meetings in tasks(node, task)."""
         dealt = tasks.groupBy("node").agg(F.collect_list("task").alias("tasks"))
         known = dealt.withColumn("joined", F.col("node")) if joined is None else dealt.join(joined, "node", "left").withColumn("joined", F.coalesce("joined", "node"))
-        chosen = known.join(classes.select(F.col("doc_id").alias("node"), "key"), "node")
+        chosen = materialise(known.join(classes.select(F.col("doc_id").alias("node"), "key"), "node"), "chosen")  # of known size, so that few need no shuffle of all texts
         texts = rows.withColumnRenamed("doc_id", "node").join(chosen, ["node", "key"]).select("node", "joined", "tasks", "text")
         sets = texts.mapInArrow(_sets, f"node long, joined long, tasks {TASKS}, members binary, signature binary")
         met = sets.select("node", "joined", "members", "signature", F.inline("tasks"))
-        return materialise(met.groupBy("place", "part", "kind").applyInArrow(_confirm, "a long, b long"), label)
+        found = materialise(met.groupBy("place", "part", "kind").applyInArrow(_confirm, "a long, b long"), label)
+        forget(chosen)
+        return found
 
     small = clusters.join(large, "root", "left_anti").select("node", _task("root", F.lit(0), 0, F.lit(-1)).alias("task"))
     if large.isEmpty():
@@ -228,8 +231,12 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, block: int = BLOCK) ->
         stars = pairs.join(inside.select(F.col("node").alias("a")), "a", "left_semi")
         first = links_of(small.unionAll(_star_tasks(stars, block)), None, "links")
         joined = materialise(components(first, "joined").withColumnRenamed("root", "joined"), "joined")
-        rest = _bucket_tasks(buckets.join(inside, "node", "left_semi"), joined, block)
+        rest = _bucket_tasks(shared.select("node", "bucket").join(inside, "node", "left_semi"), joined, block)
         links = first.unionAll(links_of(rest, joined, "links"))
+        forget(inside)
+        forget(joined)
+    forget(shared)
+    forget(clusters)
     groups = components(links.unionAll(_shared_ids(profiles, classes)), "groups").select(F.col("node").alias("doc_id"), "root")
     named = classes.select("same", "doc_id").join(groups, "doc_id", "left").select("same", F.coalesce("root", "doc_id").alias("component_id"))
     alone = F.when(F.col("n_shingles") == 0, F.col("doc_id")).otherwise(F.col("component_id"))  # wordless texts are one class, but no group
