@@ -28,7 +28,7 @@ def vec_sum(vec: Column, size: int) -> Column:
 
 def block_entropy(hits: Column, misses: Column) -> Column:
     """Entropy of the block pairs whose hits and misses two arrays list."""
-    return F.aggregate(F.zip_with(hits, misses, pair_cost), F.lit(0.0), lambda s, x: s + x)
+    return F.aggregate(F.zip_with(hits, misses, lambda hit, miss: pair_cost(hit, miss)), F.lit(0.0), lambda s, x: s + x)
 
 
 def register(spark: SparkSession) -> None:

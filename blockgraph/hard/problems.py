@@ -19,7 +19,7 @@ from ..graph import both_ways
 from ..plans.placement import BROADCAST_BYTES, pairs_table
 from . import kernel
 from .score import SCORERS, best_moves, score_rows
-from .stats import block_pairs, block_sizes, cost_rows, labelled, pair_cost, simple_entropy, turned_pairs, xlogx
+from .stats import block_pairs, block_sizes, c_log, cost_rows, labelled, pair_cost, simple_entropy, turned_pairs, xlogx
 
 State = dict[str, DataFrame]
 
@@ -206,7 +206,7 @@ class ObservedWeights:
         def change(found: DataFrame, counts: DataFrame, keys: list[str], sign: int) -> DataFrame:
             met = found.join(blocks).withColumn("a", F.explode("all_a")).drop("all_a").join(pairs_table(counts, k), ["a", *keys], "left")
             base = F.coalesce("n", F.lit(0.0)) - F.when(F.col("a") == F.col("y"), F.col("x")).otherwise(0.0)
-            return met.select("id", "y", "a", (sign * (xlogx(base + F.col("x")) - xlogx(base))).alias("part"))
+            return met.select("id", "y", "a", (sign * (xlogx(base + F.col("x"), c_log) - xlogx(base, c_log))).alias("part"))
 
         parts = change(sums, pairs, ["b"], 1).unionAll(change(placed, cells, ["b", "k"], -1))
         return parts.groupBy("id", "y", "a").agg(F.sum("part").alias("score"))
