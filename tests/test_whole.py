@@ -16,8 +16,13 @@ def test_degree_pairs_and_grid_of_the_whole_graph(spark, sf):
     for v, d in degree.items():
         having[d].append(v)
     want = sorted((v, w) for v, d in degree.items() for w in having.get(d + 1, []))
-    got = sorted(map(tuple, rel.theta_degree_pairs_all(spark, sf).collect()))
+    rows, classes = rel.theta_degree_pairs_all(spark, sf).collect(), defaultdict(list)
+    for r in rows:
+        classes[r["deg"]].append(r["id"])
+    got = sorted((v, w) for d, low in classes.items() for v in low for w in classes.get(d + 1, []))
     assert got == want and len(got) > rel.theta_degree_pairs(spark, sf).count()
+    above, below = Counter(v for v, _ in want), Counter(w for _, w in want)
+    assert len(rows) == len(degree) and all((r["n_above"], r["n_below"]) == (above[r["id"]], below[r["id"]]) for r in rows)
 
     lab = {r["id"]: r["lab"] for r in rel._labels(rel._graph(spark, sf)).collect()}
     hits = Counter(tuple(sorted((lab[s], lab[d]))) for s, d in edges)
