@@ -39,6 +39,7 @@ SHINGLE = 5
 BANDS, ROWS = 48, 4
 BLOCK = 1024
 AGREE = 108
+SLOTS = 1 << 26
 _LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
 
 
@@ -171,6 +172,22 @@ def _hashed(node: str, parts: Column) -> Column:
     return F.pmod(F.xxhash64(node), parts).cast("int")
 
 
+def _slot(node: str, key: str) -> Column:
+    return F.xxhash64(node, key).bitwiseAND(F.lit(SLOTS - 1)) + 1  # bitmap functions count from 1
+
+
+def likely(rows: DataFrame, chosen: DataFrame) -> DataFrame:
+    """The rows(node, key, ...) that may be among chosen(node, key, ...): all that are and few others. By a bitmap of SLOTS
+    bits (8 MB), whatever the corpus, so texts that meet nobody are not shuffled."""
+    slot = chosen.select(_slot("node", "key").alias("slot"))
+    pieces = slot.groupBy(F.bitmap_bucket_number("slot").alias("piece")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("slot")).alias("bits"))
+    place = F.bitmap_bit_position(_slot("node", "key"))
+    asked = rows.withColumns({"piece": F.bitmap_bucket_number(_slot("node", "key")), "byte": F.floor(place / 8).cast("int") + 1, "bit": F.pmod(place, F.lit(8))})
+    mask = F.element_at(F.array(*[F.lit(1 << k) for k in range(8)]), F.col("bit").cast("int") + 1)
+    held = F.conv(F.hex(F.substring("bits", F.col("byte"), F.lit(1))), 16, 10).cast("int").bitwiseAND(mask) != 0
+    return asked.join(F.broadcast(pieces), "piece").where(held).select(rows.columns)
+
+
 def _star_tasks(pairs: DataFrame, block: int) -> DataFrame:
     """node, task: the smallest class of each bucket and the others, at most about `block` of them a task."""
     parts = pairs.groupBy(F.col("b").alias("least")).agg(F.ceil(F.count("*") / block).cast("int").alias("parts"))
@@ -215,8 +232,8 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, block: int = BLOCK) ->
         """The joining links of all meetings in tasks(node, task)."""
         dealt = tasks.groupBy("node").agg(F.collect_list("task").alias("tasks"))
         known = dealt.withColumn("joined", F.col("node")) if joined is None else dealt.join(joined, "node", "left").withColumn("joined", F.coalesce("joined", "node"))
-        chosen = materialise(known.join(classes.select(F.col("doc_id").alias("node"), "key"), "node"), "chosen")  # of known size, so that few need no shuffle of all texts
-        texts = rows.withColumnRenamed("doc_id", "node").join(chosen, ["node", "key"]).select("node", "joined", "tasks", "text")
+        chosen = materialise(known.join(classes.select(F.col("doc_id").alias("node"), "key"), "node"), "chosen")
+        texts = likely(rows.withColumnRenamed("doc_id", "node"), chosen).join(chosen.hint("merge"), ["node", "key"]).select("node", "joined", "tasks", "text")  # one plan at every size
         sets = texts.mapInArrow(_sets, f"node long, joined long, tasks {TASKS}, members binary, signature binary")
         met = sets.select("node", "joined", "members", "signature", F.inline("tasks"))
         found = materialise(met.groupBy("place", "part", "kind").applyInArrow(_confirm, "a long, b long"), label)

@@ -249,6 +249,19 @@ def test_near_chains_of_different_texts(spark, pool, block):
     assert got == brute_near(rows)
 
 
+def test_near_texts_that_meet_nobody_are_not_shuffled(spark):
+    """All chosen rows pass the bitmap and next to no others do, also at its ends."""
+    from pyspark.sql import functions as F
+
+    rows = spark.range(-2000, 200_000).select(F.col("id").alias("node"), F.xxhash64("id").alias("key"), F.lit("x").alias("text"))
+    chosen = rows.where("node % 7 = 0").select("node", "key")
+    got = near_dedup.likely(rows, chosen)
+    want = chosen.count()
+    assert got.columns == rows.columns and got.join(chosen, ["node", "key"]).count() == want
+    assert want <= got.count() < want + 2000
+    assert near_dedup.likely(rows, chosen.limit(0)).count() == 0
+
+
 def test_near_edge_cases(spark, pool):
     rnd = random.Random(4)
     text = words(rnd, 40, pool)
