@@ -97,9 +97,13 @@ def _best_of_tile(matrix: np.ndarray, n: int, rows: int = 256):
                 key = np.round(pred, 9)
                 here = (seen_at[0] >= at) & (seen_at[0] < at + rows)
                 key[seen_at[0][here] - at, seen_at[1][here]] = -np.inf
-                best = np.argsort(-key, axis=1, kind="stable")[:, :n]
-                u, k = np.nonzero(np.take_along_axis(key, best, 1) > -np.inf)
-                v = best[u, k]
+                k = min(n, len(dst))
+                least = np.partition(key, len(dst) - k, axis=1)[:, len(dst) - k, None]
+                u, v = np.nonzero((key >= least) & (key > -np.inf))  # the n best and all equal to the last
+                order = np.lexsort((v, -key[u, v], u))
+                u, v = u[order], v[order]
+                first = np.arange(len(u)) - np.searchsorted(u, u) < n
+                u, v = u[first], v[first]
                 out = [np.concatenate(pair) for pair in zip(out, (src[at + u], dst[v], pred[u, v]))]
         return pa.table(dict(zip(("src", "dst", "pred"), out)))
 
@@ -107,8 +111,8 @@ def _best_of_tile(matrix: np.ndarray, n: int, rows: int = 256):
 
 
 def top_n_all(train: DataFrame, left: DataFrame, right: DataFrame, cat: DataFrame, values: DataFrame, n: int, block: int = 4096) -> DataFrame:
-    """top_n for all users: blocks of users meet blocks of items as matrices and send on n items a user. The ends of
-    train have memberships."""
+    """top_n for many users: blocks of users meet blocks of items as matrices and send on n items a user. The ends of
+    train are among left and right."""
     cells = mean_tensor(cat, values).collect()
     matrix = np.zeros((max(r["a"] for r in cells) + 1, max(r["b"] for r in cells) + 1))
     for r in cells:

@@ -53,3 +53,18 @@ def test_every_user_gets_unseen_items(spark, sf):
 
 def test_expansion_at_the_surveyed_sizes(spark, sf):
     assert {r["n"] for r in qw.workload_expansion_cost(spark, sf).collect()} == {200, 2000}
+
+
+def test_asked_users_and_items_are_not_joined_pair_by_pair(spark, sf):
+    plan = qs.recommend_top_n(spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "FlatMapGroupsInArrow" in plan and "left_anti" not in plan.lower() and "LeftAnti" not in plan
+
+
+def test_best_items_of_a_tile_with_equal_scores():
+    import pyarrow as pa
+
+    rows = [(0, 1, None, [1.0]), (0, 2, None, [0.0]), *[(1, k, None, [float(x)]) for k, x in enumerate((3, 5, 5, 5, 1))], (2, 1, 1, None)]
+    table = pa.table({name: [r[k] for r in rows] for k, name in enumerate(("kind", "x", "y", "vec"))})
+    out = predict._best_of_tile(np.eye(1), 2)(table).to_pydict()
+    assert list(zip(out["src"], out["dst"])) == [(1, 2), (1, 3), (2, 0), (2, 1)]
+    assert len(predict._best_of_tile(np.eye(1), 9)(table)) == 4 + 5
