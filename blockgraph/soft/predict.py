@@ -3,14 +3,17 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ..plans.state import write_state
+
 
 def mean_tensor(cat: DataFrame, values: DataFrame) -> DataFrame:
     """a, b, mean value of each block pair; values(c, value)."""
@@ -110,21 +113,183 @@ def _best_of_tile(matrix: np.ndarray, n: int, rows: int = 256):
     return tile
 
 
-def top_n_all(train: DataFrame, left: DataFrame, right: DataFrame, cat: DataFrame, values: DataFrame, n: int, block: int = 4096) -> DataFrame:
-    """top_n for many users: blocks of users meet blocks of items as matrices and send on n items a user. The ends of
+LEAF, BATCH = 512, 256
+
+
+def _near_order(vec: np.ndarray, size: int) -> np.ndarray:
+    """Rows in an order in which each run of `size` is close together: halved along the widest dimension."""
+    order, todo = np.arange(len(vec)), [(0, len(vec))]
+    while todo:
+        at, upto = todo.pop()
+        if upto - at > size:
+            own = order[at:upto]
+            wide = np.ptp(vec[own], axis=0).argmax()
+            half = -(-(upto - at) // size) // 2 * size
+            order[at:upto] = own[np.argpartition(vec[own, wide], half)]
+            todo += [(at, at + half), (at + half, upto)]
+    return order
+
+
+def _turned(vec: np.ndarray) -> np.ndarray:
+    """An orthonormal basis along the spread of the rows: bounds by dimension are narrow where rows don't differ, as in
+    the direction of a membership's sum."""
+    apart = vec - vec.mean(axis=0)
+    return np.linalg.eigh(apart.T @ apart)[1]
+
+
+def _frozen(**columns: np.ndarray) -> bytes:
+    sink = pa.BufferOutputStream()
+    table = pa.table(columns)
+    with pa.ipc.new_stream(sink, table.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as out:
+        out.write_table(table)
+    return sink.getvalue().to_pybytes()
+
+
+def _thawed(blob: pa.Scalar) -> list[np.ndarray]:
+    return [c.to_numpy() for c in pa.ipc.open_stream(blob.as_buffer()).read_all().columns]
+
+
+def _by_dimension(vec: np.ndarray) -> dict[str, np.ndarray]:
+    return {f"v{k}": vec[:, k] for k in range(vec.shape[1])}
+
+
+def _rows_of(column: pa.ChunkedArray | pa.Array) -> np.ndarray:
+    flat = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
+    return flat.flatten().to_numpy(zero_copy_only=False).reshape(len(column), -1)
+
+
+def _item_packs(most: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """Items (id, vec) as blobs of at most about `most` items, near ones together."""
+
+    def packed(held: list[pa.RecordBatch]) -> pa.RecordBatch:
+        table = pa.Table.from_batches(held)
+        ids, vec = table.column("id").to_numpy(), _rows_of(table.column("vec"))
+        by_id = np.argsort(ids)  # equal vectors in the order of their ids, whatever the order of arrival
+        order = by_id[_near_order(vec[by_id] @ _turned(vec), LEAF)]
+        return pa.RecordBatch.from_arrays([pa.array([_frozen(id=ids[order], **_by_dimension(vec[order]))], pa.binary())], ["items"])
+
+    def packs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, rows = [], 0
+        for batch in batches:
+            held, rows = [*held, batch], rows + batch.num_rows
+            if rows >= most:
+                yield packed(held)
+                held, rows = [], 0
+        if rows:
+            yield packed(held)
+
+    return packs
+
+
+def _user_pack(matrix: np.ndarray) -> Callable[[pa.Table], pa.Table]:
+    """A block of users as one row: their ids and weights of the items' blocks, near ones together, and what they have seen."""
+
+    def pack(table: pa.Table) -> pa.Table:
+        users = table.filter(pc.is_null(table.column("y")))
+        seen = table.filter(pc.is_valid(table.column("y")))
+        if not len(users):
+            return pa.table({"u": pa.array([], pa.int32()), "users": pa.array([], pa.binary()), "seen": pa.array([], pa.binary())})
+        src, weight = users.column("x").to_numpy(), _rows_of(users.column("vec")) @ matrix
+        order = _near_order(weight @ _turned(weight), BATCH)
+        by_id = np.argsort(src[order])
+        who = by_id[np.searchsorted(src[order], seen.column("x").to_numpy(), sorter=by_id)]
+        what = seen.column("y").to_numpy()
+        by_user = np.lexsort((what, who))
+        blobs = _frozen(id=src[order], **_by_dimension(weight[order])), _frozen(who=who[by_user].astype(np.int32), what=what[by_user])
+        return pa.table({"u": pa.array([table.column("u")[0].as_py()], pa.int32()), "users": pa.array([blobs[0]], pa.binary()), "seen": pa.array([blobs[1]], pa.binary())})
+
+    return pack
+
+
+class _Best:
+    """The n best unseen items of each user of a block, over packs of items. A run of items is scored for those users only
+    whose n-th best so far is not above what the run can reach."""
+
+    def __init__(self, users: list[np.ndarray], seen: list[np.ndarray], n: int) -> None:
+        self.src, self.weight = users[0], np.stack(users[1:], axis=1)
+        self.who, self.what = seen
+        self.n, shape = n, (len(self.src), n)
+        self.key, self.pred, self.dst = np.full(shape, -np.inf), np.zeros(shape), np.full(shape, np.iinfo(np.int64).max)
+
+    def meet(self, items: list[np.ndarray]) -> None:
+        ids, vec = items[0], np.stack(items[1:], axis=1)
+        runs = np.arange(0, len(ids), LEAF)
+        basis = _turned(vec)
+        low, high = (f.reduceat(vec @ basis, runs) for f in (np.minimum, np.maximum))
+        for at in range(0, len(self.src), BATCH):
+            own = slice(at, at + BATCH)
+            w = self.weight[own]
+            turned = w @ basis
+            reach = np.maximum(turned, 0) @ high.T + np.minimum(turned, 0) @ low.T
+            reach += 1e-8 + 1e-12 * np.abs(reach)  # scores are compared by nine digits
+            most = reach.max(axis=0)
+            seen = slice(*np.searchsorted(self.who, (at, at + len(w))))
+            for run in np.argsort(-most, kind="stable"):
+                if most[run] < self.key[own, -1].min():
+                    break
+                users = np.flatnonzero(reach[:, run] >= self.key[own, -1])
+                if len(users):
+                    here = slice(runs[run], runs[run] + LEAF)
+                    self._add(at, users, w[users] @ vec[here].T, ids[here], seen)
+
+    def _add(self, at: int, users: np.ndarray, pred: np.ndarray, ids: np.ndarray, seen: slice) -> None:
+        key = np.round(pred, 9)
+        by_id = np.argsort(ids)
+        place = by_id[np.minimum(np.searchsorted(ids, self.what[seen], sorter=by_id), len(ids) - 1)]
+        met = np.flatnonzero(ids[place] == self.what[seen])
+        line = np.full(BATCH, -1)
+        line[users] = np.arange(len(users))
+        who = line[self.who[seen][met] - at]
+        key[who[who >= 0], place[met][who >= 0]] = -np.inf
+        least = self.key[at + users, -1]
+        if len(ids) > self.n:  # the n best of the run and all equal to the last
+            least = np.maximum(least, np.partition(key, len(ids) - self.n, axis=1)[:, len(ids) - self.n])
+        row, v = np.nonzero((key >= least[:, None]) & (key > -np.inf))
+        if not len(row):
+            return
+        rows = np.unique(row)
+        held = at + users[rows]
+        who = np.concatenate([np.searchsorted(rows, row), np.repeat(np.arange(len(rows)), self.n)])
+        key, value, dst = (np.concatenate([new, old[held].ravel()]) for new, old in ((key[row, v], self.key), (pred[row, v], self.pred), (ids[v], self.dst)))
+        order = np.lexsort((dst, -key, who))
+        first = order[np.arange(len(order)) - np.searchsorted(who[order], who[order]) < self.n]
+        self.key[held], self.pred[held], self.dst[held] = (x[first].reshape(-1, self.n) for x in (key, value, dst))
+
+    def rows(self) -> pa.RecordBatch:
+        u, k = np.nonzero(self.key > -np.inf)
+        return pa.RecordBatch.from_pydict({"src": self.src[u], "dst": self.dst[u, k], "rank": pa.array(k + 1, pa.int32()), "pred": self.pred[u, k]})
+
+
+def _best_over_packs(n: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, best = None, None
+        for batch in batches:
+            for number, users, seen, items in zip(batch.column("u").to_pylist(), *(batch.column(c) for c in ("users", "seen", "items"))):
+                if number != now:
+                    if best:
+                        yield best.rows()
+                    now, best = number, _Best(_thawed(users), _thawed(seen), n)
+                best.meet(_thawed(items))
+        if best:
+            yield best.rows()
+
+    return run
+
+
+def top_n_all(train: DataFrame, left: DataFrame, right: DataFrame, cat: DataFrame, values: DataFrame, n: int, block: int = 1 << 14, pack: int = 1 << 18) -> DataFrame:
+    """top_n for many users: a block of users meets packs of items, which are read where they were written, so no vector is
+    copied by a shuffle. Runs of near items that cannot reach a user's n best are passed over by their bounds. The ends of
     train are among left and right."""
     cells = mean_tensor(cat, values).collect()
     matrix = np.zeros((max(r["a"] for r in cells) + 1, max(r["b"] for r in cells) + 1))
     for r in cells:
         matrix[r["a"], r["b"]] = r["mean"]
-    n_left, n_right = (max(1, math.ceil(side.count() / block)) for side in (left, right))
-    place = lambda c, k: F.pmod(F.xxhash64(F.col(c).cast("long")), F.lit(k)).cast("int")
-    each = lambda k: F.explode(F.sequence(F.lit(0), F.lit(k - 1)))
-    row = lambda df, u, v, kind, x, y, vec: df.select(u.alias("u"), v.alias("v"), F.lit(kind).alias("kind"), F.col(x).cast("long").alias("x"), y.cast("long").alias("y"), vec.cast("array<double>").alias("vec"))
-    none: Column = F.lit(None)
-    users = row(left, place("id", n_left), each(n_right), 0, "id", none, F.col("vec"))
-    items = row(right, each(n_left), place("id", n_right), 1, "id", none, F.col("vec"))
-    seen = row(train, place("src", n_left), place("dst", n_right), 2, "src", F.col("dst"), none)
-    found = users.unionAll(items).unionAll(seen).groupBy("u", "v").applyInArrow(_best_of_tile(matrix, n), "src long, dst long, pred double")
-    order = W.partitionBy("src").orderBy(F.desc(F.round("pred", 9)), "dst")
-    return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= n).select("src", "dst", "rank", "pred")
+    left, right = (write_state(df.select(F.col("id").cast("long").alias("id"), F.col("vec").cast("array<double>").alias("vec")), "members") for df in (left, right))
+    blocks, packs = (max(1, math.ceil(side.count() / most)) for side, most in ((left, block), (right, pack)))
+    place = lambda c: F.pmod(F.xxhash64(F.col(c).cast("long")), F.lit(blocks)).cast("int").alias("u")
+    none = F.lit(None)
+    users = left.select(place("id"), F.col("id").alias("x"), none.cast("long").alias("y"), "vec")
+    seen = train.select(place("src"), F.col("src").cast("long").alias("x"), F.col("dst").cast("long").alias("y"), none.cast("array<double>").alias("vec"))
+    held = users.unionAll(seen).groupBy("u").applyInArrow(_user_pack(matrix), "u int, users binary, seen binary")
+    items = write_state(right.repartition(packs).mapInArrow(_item_packs(pack), "items binary"), "items")
+    return held.crossJoin(items.coalesce(1).hint("shuffle_replicate_nl")).mapInArrow(_best_over_packs(n), "src long, dst long, rank int, pred double")
